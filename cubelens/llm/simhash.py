@@ -214,7 +214,8 @@ def keep_one(docs: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
     found = materialize(near_duplicates(docs, max_bits).filter("doc_id is not null").groupBy("doc_id").agg(F.min("component_id").alias("c"), F.count("*").alias("n")), "kept")
     gone = found.filter("c <> doc_id").select("doc_id")
     twice = found.filter("c = doc_id and n > 1").select("doc_id")
-    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    # the ids that go are hashed, the texts are not sorted; the plan is the same at every size
+    left = docs.join(gone.hint("shuffle_hash"), "doc_id", "left_anti").select(*docs.columns)
     if not twice.take(1):
         return left
     first = left.join(twice, "doc_id", "left_semi").select(*docs.columns)
