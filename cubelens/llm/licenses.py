@@ -130,14 +130,19 @@ def license_report(docs: DataFrame, threshold: float = THRESHOLD, texts=TEMPLATE
     """
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), normal_words(F.col("text")).alias("norm"))
     keyed = base.withColumn("key", F.struct(F.xxhash64("norm").alias("h"), F.length("norm").alias("n"), F.crc32("norm").alias("c")))
-    words = F.when(F.col("norm") == "", F.array().cast("array<string>")).otherwise(F.split("norm", " "))
     n_words = F.when(F.col("norm") == "", 0).otherwise(F.length("norm") - F.length(F.replace(F.col("norm"), F.lit(" "))) + 1)
-    starts = [phrase_starts(words, F.col("norm"), p) for p, _ in BASE_PHRASES]
-    facts = keyed.select("doc_id", "key", n_words.cast("long").alias("n_words"), *[s.alias(f"s{k}") for k, s in enumerate(starts)])
+    facts = keyed.select("doc_id", "key", n_words.cast("long").alias("n_words"))
+    # texts that hold a phrase are few: only they are cut into words, and equal ones count once
+    holds = F.col("norm").rlike("|".join(p for p, _ in BASE_PHRASES))
+    marked = keyed.filter(holds).select("key", "norm", F.split("norm", " ").alias("words"))
+    marked = marked.select(F.col("key").alias("m"), *[phrase_starts(F.col("words"), F.col("norm"), p).alias(f"s{k}") for k, (p, _) in enumerate(BASE_PHRASES)])
+    marked = marked.groupBy("m").agg(*[F.first(f"s{k}").alias(f"s{k}") for k in range(len(BASE_PHRASES))])
     found = find_notices(keyed, threshold, texts).withColumnRenamed("key", "k")
-    out = facts.join(found, F.col("key") == F.col("k"), "left")
-    every = F.concat(*[F.col(f"s{k}") for k in range(len(starts))])
-    own = F.filter(F.array(*[F.when(F.size(f"s{k}") > 0, F.lit(label)) for k, (_, label) in enumerate(BASE_PHRASES)]), lambda x: x.isNotNull())
+    out = facts.join(found, F.col("key") == F.col("k"), "left").join(marked, F.col("key") == F.col("m"), "left")
+    none = F.array().cast("array<int>")
+    starts = [F.coalesce(f"s{k}", none) for k in range(len(BASE_PHRASES))]
+    every = F.concat(*starts)
+    own = F.filter(F.array(*[F.when(F.size(starts[k]) > 0, F.lit(label)) for k, (_, label) in enumerate(BASE_PHRASES)]), lambda x: x.isNotNull())
     notices = F.coalesce("notices", F.array().cast("array<struct<block:int,label:string,containment:double>>"))
     return out.select(
         "doc_id",
