@@ -1 +1,143 @@
+"""Queries q130 - q139: streams run to their end, against batch results."""
+
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from cubelens.operators import insert
+from cubelens.operators.rank import build_ranks
+from cubelens.queries import base as Q
+from cubelens.queries import cubes
+from cubelens.sources import catalog as C
+from cubelens.storage import materialize
+from cubelens.streaming import streams as S
+
 queries, oracles = {}, {}
+FILES = 4
+
+
+def events(spark, sf):
+    e = C.table(spark, sf, "events")
+    return e.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("cents", F.round(F.col("value") * 100).cast("long"))
+
+
+def stream(spark, df, files=FILES, key="event_id"):
+    path = Q.once(spark, ("files", df.semanticHash(), files), lambda: S.split_files(df, files, key))
+    return S.source(spark, path, df.schema)
+
+
+def q(sql=None):
+    def keep(fn):
+        queries[fn.__name__] = fn
+        if sql:
+            oracles[fn.__name__] = sql
+        return fn
+
+    return keep
+
+
+_CENTS = "CAST(round(value * 100) AS BIGINT)"
+
+
+@q("SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
+def q130_stream_tumbling(spark, sf):
+    s = stream(spark, events(spark, sf)).withWatermark("ts", "400 days")
+    out = S.run_append(s.groupBy(F.window("ts", "1 day"), "event_type").agg(F.count("*").alias("n")), "complete")
+    return out.select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+
+
+@q("SELECT CAST(to_timestamp(s * 21600) AT TIME ZONE 'UTC' AS TIMESTAMP) AS start, count(*) AS n FROM (SELECT unnest(range(CAST(floor(epoch(ts) / 21600) AS BIGINT) - 3, CAST(floor(epoch(ts) / 21600) AS BIGINT) + 1)) AS s FROM events) GROUP BY 1")
+def q131_stream_sliding(spark, sf):
+    out = S.run_append(stream(spark, events(spark, sf)).groupBy(F.window("ts", "1 day", "6 hours")).agg(F.count("*").alias("n")), "complete")
+    return out.select(F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
+
+
+@q("WITH g AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 12 HOUR THEN 1 ELSE 0 END AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(f) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM g) SELECT user_id, min(ts) AS start, count(*) AS n FROM s GROUP BY user_id, k")
+def q132_stream_session(spark, sf):
+    s = stream(spark, events(spark, sf)).groupBy(F.session_window("ts", "12 hours"), "user_id").agg(F.count("*").alias("n"))
+    return S.run_append(s, "complete").select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n")
+
+
+@q("SELECT count(*) FILTER (date_trunc('day', ts) + INTERVAL 1 DAY <= cut) AS closed FROM (SELECT ts, (SELECT max(ts) - INTERVAL 1 DAY FROM events) AS cut FROM events)")
+def q133_stream_late(spark, sf):
+    """Time-ordered files: windows behind the watermark are final, later rows for them are dropped; here none is late."""
+    d = events(spark, sf)
+    s = S.source(spark, Q.once(spark, ("ordered", sf), lambda: _ordered(d)), d.schema, 1).withWatermark("ts", "1 day")
+    out = S.run_append(s.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n")), "append")
+    return out.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("closed"))
+
+
+def _ordered(d):
+    """Four files whose modification order is their time order."""
+    path = S.scratch(d.sparkSession, "ordered")
+    ends = [None, *d.select(*[F.percentile(F.unix_micros("ts"), p) for p in (0.25, 0.5, 0.75)]).first(), None]
+    us = F.unix_micros("ts")
+    for low, high in zip(ends, ends[1:]):
+        part = d if low is None else d.filter(us >= low)
+        part = part if high is None else part.filter(us < high)
+        part.coalesce(1).write.mode("append").parquet(path)
+    return path
+
+
+@q("SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM events")
+def q134_stream_dedup(spark, sf):
+    d = events(spark, sf)
+    twice = d.unionByName(d.filter("event_id % 3 = 0"))
+    s = stream(spark, twice).withWatermark("ts", "400 days").dropDuplicatesWithinWatermark(["event_id"])
+    return S.run_append(s).agg(F.count("*").alias("n"), F.countDistinct("event_id").alias("ids"))
+
+
+@q(f"SELECT c_mktsegment, count(*) AS n, CAST(sum({_CENTS}) AS BIGINT) AS cents FROM events JOIN customer ON user_id = c_custkey GROUP BY 1")
+def q135_stream_static_join(spark, sf):
+    s = stream(spark, events(spark, sf)).join(C.table(spark, sf, "customer"), F.col("user_id") == F.col("c_custkey"))
+    return S.run_append(s.groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.sum("cents").alias("cents")), "complete")
+
+
+_SPECS = [C.LOG["value"], C.LOG["user_id"]]
+_RANKED = f"WITH r AS (SELECT {', '.join(f'''row_number() OVER (ORDER BY {s.order_sql()}, md5(concat_ws(':', '{s.name}', CAST(event_id AS VARCHAR))), event_id) - 1 AS {s.rank}''' for s in _SPECS)}, greatest(0, CAST(ceil(log2(count(*) OVER ())) AS INT) - 7) AS sh FROM events) "
+
+
+@q(_RANKED + " UNION ALL ".join(f"SELECT '{s.name}' AS dim, CAST({s.rank} >> sh AS INT) AS bucket, count(*) AS cnt FROM r GROUP BY ALL" for s in _SPECS))
+def q136_stream_histogram(spark, sf):
+    d = build_ranks(C.table(spark, sf, "events"), _SPECS, C.LOG_KEY)
+    d = materialize(d.select("event_id", *[s.rank for s in _SPECS]))
+    return S.stream_histogram(stream(spark, d), _SPECS, d.count(), 7)
+
+
+@q(f"WITH {Q.cube_sql(Q.DIMS, Q.BINS)} SELECT * FROM cube")
+def q137_stream_cube(spark, sf):
+    d = Q.binned(spark, sf, Q.DIMS, Q.BINS).select("l_orderkey", *[s.bin for s in Q.DIMS])
+    return S.stream_cube(stream(spark, d, key="l_orderkey"), Q.DIMS, Q.BINS)
+
+
+@q(f"SELECT user_id, count(*) AS n, CAST(sum({_CENTS}) AS BIGINT) AS cents FROM events GROUP BY 1")
+def q138_stream_stateful(spark, sf):
+    """Running totals of every user as the stream leaves them: the last state of each."""
+    s = stream(spark, events(spark, sf)).groupBy("user_id").applyInPandasWithState(_total, "user_id long, n long, cents long", "n long, cents long", "append", "NoTimeout")
+    return S.run_append(s).groupBy("user_id").agg(F.max("n").alias("n"), F.max_by("cents", "n").alias("cents"))
+
+
+def _total(key, rows, state):
+    import pandas as pd
+
+    n, cents = state.get if state.exists else (0, 0)
+    for pdf in rows:
+        n, cents = n + len(pdf), cents + int(pdf.cents.sum())
+    state.update((n, cents))
+    yield pd.DataFrame({"user_id": [key[0]], "n": [n], "cents": [cents]})
+
+
+@q("SELECT count(*) AS n FROM events WHERE event_id % 100 = 7")
+def q139_stream_inserts(spark, sf):
+    """Micro-batches of new rows binned by remembered bounds; here: how many got a bin."""
+    all_rows, spec = C.table(spark, sf, "events"), C.LOG["ts"]
+    old = build_ranks(all_rows.filter("NOT (event_id % 100 = 7)"), [spec], C.LOG_KEY)
+    bounds = materialize(insert.capture_bounds(old, spec, old.count(), 8), "bounds")
+    done = S.Merged(spark, ["b_ts"], ["n"])
+
+    def one(df, k):
+        out, _ = insert.bin_inserts(df, bounds, spec, 16, C.LOG_KEY)
+        done.add(out.groupBy("b_ts").agg(F.count("*").alias("n")), k)
+
+    S.run_batches(stream(spark, all_rows.filter("event_id % 100 = 7"), 2), one)
+    return done.table().agg(F.sum("n").alias("n"))
