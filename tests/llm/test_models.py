@@ -41,7 +41,7 @@ def test_toxicity_on_held_out_rows(spark):
 
 
 def test_toxicity_tolerates_gaps():
-    rows = [(f"alpha beta w{k} gamma {x} delta w{k + 1}.", y) for k in range(60) for x, y in (("idiot", 1), ("moron", 1), ("garden", 0), ("table", 0))]
+    rows = [(f"a{k}{x} b{k}{y} c{k}w {x} d{k}{x} e{k}{y} f{k}{x}.", y) for k in range(60) for x, y in (("idiot", 1), ("moron", 1), ("garden", 0), ("table", 0))]
     m = T.train(rows)
     s = m.scores(["an i d i o t", "such an i.d.i.o.t there", "id1ot", "idiioot now", "the m-o-r-o-n", "a garden table", "", "m"])
     assert (s[:5] > 0.5).all() and (s[5:] < 0.5).all()
