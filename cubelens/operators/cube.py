@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from cubelens.dimension import DimensionSpec, MeasureSpec
 from cubelens.plans import cost
-from cubelens.plans.triples import Owned, plan_rounds, triples_of
+from cubelens.plans.triples import Owned, plan_by_triple, plan_rounds, triples_of
 from cubelens.storage import materialize
 
 #: Plans of at most so many parts are united into one query; more run in written batches.
@@ -252,7 +252,39 @@ def local_dense(rows: DataFrame, specs, measures=(), bins: int = 128, memory: in
     return summed.select("triple", b(2).alias("b0"), b(1).alias("b1"), b(0).alias("b2"), "cnt", *names)
 
 
-STRATEGIES = ("expand", "explode", "per_triple", "owner_slice", "local_dense")
+def by_triple(rows: DataFrame, specs, measures=(), bins: int = 128, workers: int = 4) -> DataFrame:
+    """Baseline: triples are dealt to workers and every row is sent to each of them; nothing is merged, all is transfer."""
+    n, names = len(specs), [m.name for m in measures]
+    own: dict[int, list[int]] = {}
+    for t, w in plan_by_triple(n, workers):
+        own.setdefault(w, []).append(t)
+    triples = triples_of(n)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cells: dict = {}
+        for batch in batches:
+            worker = _column(batch, 0)
+            cols = [_column(batch, 1 + k).astype(np.int64) for k in range(n)]
+            values = [None] + [_value(batch, 1 + n + k) for k in range(len(names))]
+            for w in np.unique(worker).tolist():
+                at = worker == w
+                for t in own.get(w, []):
+                    i, j, k = triples[t]
+                    index = (cols[i][at] * bins + cols[j][at]) * bins + cols[k][at]
+                    for m, v in enumerate(values):
+                        cells[t, m] = cells.get((t, m), 0) + _bincount(index, bins**3, None if v is None else v[at])
+        for t in sorted({t for t, _ in cells}):
+            f = np.flatnonzero(cells[t, 0])
+            yield pa.record_batch([pa.array(np.full(len(f), t, np.int32)), pa.array(f), *[pa.array(cells[t, m][f]) for m in range(1 + len(names))]], ["triple", "cell", "cnt", *names])
+
+    schema = "triple int, cell bigint, cnt bigint" + "".join(f", {m.name} {m.type}" for m in measures)
+    sent = rows.select(F.explode(F.sequence(F.lit(0), F.lit(workers - 1))).alias("worker"), *rows.columns).repartition(workers, "worker")
+    out = sent.mapInArrow(run, schema)
+    b = lambda k: F.expr(f"(cell div {bins**k}) % {bins}").cast("int")
+    return out.select("triple", b(2).alias("b0"), b(1).alias("b1"), b(0).alias("b2"), "cnt", *names)
+
+
+STRATEGIES = ("expand", "explode", "per_triple", "owner_slice", "by_triple", "local_dense")
 
 
 def build_cube(binned: DataFrame, specs: list[DimensionSpec], bins: int, measures=(), strategy: str = "auto", **options) -> DataFrame:
@@ -269,6 +301,8 @@ def build_cube(binned: DataFrame, specs: list[DimensionSpec], bins: int, measure
         return per_triple(rows, specs, measures, bins, **options)
     if strategy == "owner_slice":
         return owner_slice(rows, specs, measures, bins, **options)
+    if strategy == "by_triple":
+        return by_triple(rows, specs, measures, bins, **options)
     if strategy == "local_dense":
         return local_dense(rows, specs, measures, bins, **options)
     raise ValueError(strategy)

@@ -43,3 +43,25 @@ def timed(run: Callable[[], DataFrame]) -> float:
 def speedup(seconds: float, baseline: float) -> float:
     """Percent of the baseline's time that is saved."""
     return 100.0 * (1 - seconds / baseline)
+
+
+def staged_times(rows: DataFrame, specs, bins: int, measures=()) -> dict[str, float]:
+    """Seconds of the parts of the owner-sliced strategy one after another, and of all of it pipelined.
+
+    ``fill``: rows routed and written; ``update``: units add them up; ``read_back``: cells written.
+    """
+    from cubelens.operators import cube
+    from cubelens.plans.triples import plan_rounds
+    from cubelens.storage import materialize
+
+    out, plan = {}, plan_rounds(len(specs))
+    began = time.perf_counter()
+    materialize(cube.route(rows, specs, list(range(len(specs))), measures), "routed")
+    out["fill"] = time.perf_counter() - began
+    slices = cube.owner_slices(rows, specs, bins, measures, plan, staged=True)  # routes once more before it returns
+    out["update"] = timed(lambda: slices)
+    began = time.perf_counter()
+    materialize(cube.slices_to_cube(slices, len(specs), bins, plan, measures), "cube")
+    out["read_back"] = time.perf_counter() - began - out["update"]
+    out["pipelined"] = timed(lambda: cube.owner_slice(rows, specs, measures, bins))
+    return out

@@ -88,6 +88,11 @@ def replicas_for(units: int, bins: int, owners: int) -> int:
     return max(1, units // (bins * owners))
 
 
+def plan_by_triple(n: int, workers: int) -> list[tuple[int, int]]:
+    """Baseline: (triple, worker) in turn; every row then has to reach every worker."""
+    return [(k, k % workers) for k in range(len(triples_of(n)))]
+
+
 def plan_pairs(n: int) -> list[tuple[int, int, int]]:
     """(i, j, owner) of all pairs on a circle of n."""
     return [(i, j, pair_owner(i, j, n, i % 2 == 0)) for i, j in combinations(range(n), 2)]

@@ -27,6 +27,7 @@ _strategy("q33_cube_partitioned", "per_triple", parts=2)
 _strategy("q33b_cube_partitioned4", "per_triple", parts=4)
 _strategy("q34_cube_owner_slice", "owner_slice")
 _strategy("q34b_cube_staged", "owner_slice", staged=True, kernel="scan_per_triple")
+_strategy("q34c_cube_by_triple", "by_triple")
 _strategy("q35_cube_local_dense", "local_dense")
 _strategy("q36_cube_salted", "owner_slice", replicas=3)
 _strategy("q42_cube_rounds", "owner_slice", owners=4)

@@ -6,8 +6,10 @@ from itertools import combinations
 
 from pyspark.sql import functions as F
 
+from cubelens.dimension import DimensionSpec
 from cubelens.functions import intensity as I
-from cubelens.operators import baselines, cube, image, recommend
+from cubelens.operators import baselines, binning, cube, image, recommend
+from cubelens.operators.rank import build_ranks
 from cubelens.queries import base as Q
 from cubelens.queries.images import groups_sql
 from cubelens.sources import catalog as C
@@ -128,5 +130,59 @@ def q79_pairs13(spark, sf):
 
 oracles["q79_pairs13"] = f"WITH {Q.binned_sql(_THIRTEEN, 100)} " + " UNION ALL ".join(f"SELECT {k} AS pair, {a.bin} AS b0, {b.bin} AS b1, count(*) AS cnt FROM binned GROUP BY 2, 3" for k, (a, b) in enumerate(combinations(_THIRTEEN, 2)))
 
-for _f in (q75_packed_week_time, q76_geo_slabs, q77_geo_categorical, q78_recommender, q79_pairs13):
+
+
+_SIZES = (2, 16, 64, 256, 1024)
+
+
+def q79b_subset_sensitivity(spark, sf):
+    """Evenness of 16 bins over ranks of contiguous subsets, 2**16 ranks and 2**10 fine buckets: it breaks below 1/64."""
+    total, spec = 1 << 16, DimensionSpec("v", ("v",))
+    out = None
+    for k in _SIZES:
+        aug = spark.range(total // k).select(F.col("id").alias("v"), F.col("id").alias("rk_v"))
+        part = binning.bin_balance(binning.bin_by_histogram(aug, [spec], total, 16, 10), [spec], 16).select(F.lit(k).alias("part"), "bins_used", "least", "most")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+oracles["q79b_subset_sensitivity"] = " UNION ALL ".join(
+    f"SELECT {k} AS part, count(*) AS bins_used, CASE WHEN count(*) < 16 THEN 0 ELSE min(n) END AS least, max(n) AS most FROM (SELECT ((id // 64) * 64) // {-(-(65536 // k) // 16)} AS b, count(*) AS n FROM (SELECT unnest(range({65536 // k})) AS id) GROUP BY 1)" for k in _SIZES
+)
+
+_COORDS = [DimensionSpec(f"e{i}", (f"e{i}",)) for i in range(6)]
+
+
+def q79c_coordinates(spark, sf):
+    """Array elements as dimensions: cubes of six coordinates."""
+    d = C.table(spark, sf, "embeddings").select("vec_id", *[F.get("embedding", F.lit(i)).alias(f"e{i}") for i in range(6)])
+    r = build_ranks(d, _COORDS, ("vec_id",))
+    return cube.build_cube(binning.bin_by_rank(r, _COORDS, r.count(), 4), _COORDS, 4, [], "owner_slice")
+
+
+_KEY = "md5(concat_ws(':', '{0}', CAST(vec_id AS VARCHAR))), vec_id"
+oracles["q79c_coordinates"] = (
+    "WITH f AS (SELECT vec_id, " + ", ".join(f"embedding[{i + 1}] AS e{i}" for i in range(6)) + " FROM embeddings), binned AS (SELECT vec_id, "
+    + ", ".join(f"CAST((row_number() OVER (ORDER BY e{i}, {_KEY.format(f'e{i}')}) - 1) // ((count(*) OVER () + 3) // 4) AS INT) AS b_e{i}" for i in range(6))
+    + " FROM f) "
+    + " UNION ALL ".join(f"SELECT {k} AS triple, b_e{a} AS b0, b_e{b} AS b1, b_e{c} AS b2, count(*) AS cnt FROM binned GROUP BY 2, 3, 4" for k, (a, b, c) in enumerate(combinations(range(6), 3)))
+)
+
+_DOCS = [DimensionSpec("quality", ("quality",)), DimensionSpec("n_chars", ("n_chars",)), DimensionSpec("lang_by_size", ("lang", "n_chars"))]
+
+
+def q79d_null_population(spark, sf):
+    """Unlabelled documents are a population of their own at the low end of the axis."""
+    d = C.table(spark, sf, "documents").select("doc_id", "lang", "n_chars").join(C.table(spark, sf, "labels"), "doc_id", "left")
+    r = build_ranks(d, _DOCS, ("doc_id",))
+    return binning.bin_by_rank(r, _DOCS, r.count(), 16).select("doc_id", *[F.col(s.bin).cast("int").alias(s.bin) for s in _DOCS])
+
+
+oracles["q79d_null_population"] = (
+    "SELECT doc_id, "
+    + ", ".join(f"CAST((row_number() OVER (ORDER BY {s.order_sql()}, md5(concat_ws(':', '{s.name}', CAST(doc_id AS VARCHAR))), doc_id) - 1) // ((count(*) OVER () + 15) // 16) AS INT) AS {s.bin}" for s in _DOCS)
+    + " FROM documents LEFT JOIN labels USING (doc_id)"
+)
+
+for _f in (q79b_subset_sensitivity, q79c_coordinates, q79d_null_population, q75_packed_week_time, q76_geo_slabs, q77_geo_categorical, q78_recommender, q79_pairs13):
     queries[_f.__name__] = _f

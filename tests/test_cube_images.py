@@ -10,7 +10,7 @@ from cubelens.dimension import DimensionSpec, MeasureSpec
 from cubelens.functions import intensity as I
 from cubelens.operators import cube as Q
 from cubelens.operators import image, metrics, recommend, render
-from cubelens.plans.triples import plan_rounds
+from cubelens.plans.triples import balance, plan_rounds
 
 B = 4
 SPECS = [DimensionSpec(c, (c,)) for c in "abcde"]
@@ -35,7 +35,7 @@ def brute(data):
     return out
 
 
-@pytest.mark.parametrize("strategy,options", [("expand", {}), ("explode", {}), ("per_triple", {}), ("per_triple", {"parts": 4}), ("owner_slice", {}), ("owner_slice", {"owners": 2}), ("owner_slice", {"replicas": 3}), ("owner_slice", {"kernel": "scan_per_triple", "staged": True}), ("local_dense", {}), ("local_dense", {"memory": 1})])
+@pytest.mark.parametrize("strategy,options", [("expand", {}), ("explode", {}), ("per_triple", {}), ("per_triple", {"parts": 4}), ("owner_slice", {}), ("owner_slice", {"owners": 2}), ("owner_slice", {"replicas": 3}), ("owner_slice", {"kernel": "scan_per_triple", "staged": True}), ("by_triple", {}), ("local_dense", {}), ("local_dense", {"memory": 1})])
 def test_strategies_agree_with_counting(rows, strategy, options):
     df, data = rows
     want = brute(data)
@@ -140,4 +140,4 @@ def test_png(spark):
 
 
 def test_round_plan_matches_units():
-    assert sum(k for k, _, _ in __import__("cubelens.plans.triples", fromlist=["balance"]).balance(plan_rounds(16, 4)).values()) == 16
+    assert sum(k for k, _, _ in balance(plan_rounds(16, 4)).values()) == 16
