@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 from cubelens.operators import insert
 from cubelens.operators.rank import build_ranks
 from cubelens.queries import base as Q
-from cubelens.queries import cubes
 from cubelens.sources import catalog as C
 from cubelens.storage import materialize
 from cubelens.streaming import streams as S
