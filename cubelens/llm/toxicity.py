@@ -39,6 +39,7 @@ LEAST_KERNEL = 0.35
 #: Longer words are cut into windows of this length that overlap by half.
 LONGEST_WORD = 32
 _STRIP = re.compile(r"^[\W_]+|[\W_]+$")
+_ENDS = ".,;:!?\"'()[]#*$%&|<>-"
 _SENTENCE = re.compile(r"(?<=[.!?\n])\s+|\n")
 #: Digits and signs that stand for letters.
 _LOOKALIKE = str.maketrans("013457@$!|", "oieastasii")
@@ -51,9 +52,11 @@ def _spelt(text: str) -> list[str]:
 
 def variants(word: str) -> list[str]:
     """A word as written, and with look-alike signs read as letters and other signs dropped."""
-    core = _STRIP.sub("", word)
+    core = word.strip(_ENDS)
+    if not core.isalpha():
+        core = _STRIP.sub("", word)
     out = [core] if core else []
-    if not word.isalpha():
+    if not core.isalpha():
         plain = re.sub(r"[\W\d_]+", "", word.strip(".,;:!?\"'()[]").translate(_LOOKALIKE))
         out += [plain] if plain and plain != core else []
     return [x for w in out for x in ([w] if len(w) <= LONGEST_WORD else [w[i : i + LONGEST_WORD] for i in range(0, len(w) - LONGEST_WORD // 2, LONGEST_WORD // 2)])]
@@ -174,25 +177,22 @@ class Model:
         self.unlike.update(words - out.keys())
         return out
 
-    def decision(self, text: str, known: dict[str, np.ndarray]) -> float:
+    def decision(self, text: str, words: list[str], known: dict[str, np.ndarray]) -> float:
         """Largest decision value of a sentence of the text; of a sentence without words like landmarks it is the bias."""
         top = self.b
-        words = _words(text) if known else []
-        if not any(w in known for w in words):
+        if known.keys().isdisjoint(words):
             return top
-        for words in [*map(_words, _SENTENCE.split(text)), _spelt(text)]:
-            rows = [known[w] for w in words if w in known]
+        for own in [*(x.split() for x in _SENTENCE.split(text)), _spelt(text)]:
+            rows = [known[w] for w in own if w in known]
             if rows:
                 top = max(top, float(np.max(rows, axis=0) @ self.whiten @ self.w) + self.b)
         return top
 
     def scores(self, rows: list[str]) -> np.ndarray:
         low = [t.lower() for t in rows]
-        words: set[str] = set()
-        for t in low:
-            words.update(_words(t))
-        known = self.word_kernels(words)
-        x = np.array([[self.decision(t, known), 1.0] for t in low]).reshape(-1, 2)
+        words = [_words(t) for t in low]
+        known = self.word_kernels(set().union(*words))
+        x = np.array([[self.decision(t, w, known), 1.0] for t, w in zip(low, words)]).reshape(-1, 2)
         return 1 / (1 + np.exp(-np.clip(x @ self.platt, -30, 30)))
 
 
@@ -298,7 +298,7 @@ def train(rows: list[tuple[str, int]]) -> Model:
     times = np.where(empty & (y < 0), np.maximum(times, len(y) // 10), times).astype(float)
     balance = np.where(y > 0, times.sum() / (2 * max(times[y > 0].sum(), 1)), times.sum() / (2 * max(times[y < 0].sum(), 1)))
     model.w, model.b = _svm(x @ whiten, y, times * balance)
-    f = np.array([[model.decision(t, known), 1.0] for t, _ in rows])
+    f = np.array([[model.decision(t, _words(t), known), 1.0] for t, _ in rows])
     model.platt = logistic(f, np.array([y for _, y in rows], float))
     return model
 
