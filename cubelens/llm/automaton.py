@@ -227,8 +227,8 @@ class Automaton:
                 found.append((i, self.accepts[s // width]))
         return found
 
-    def ends(self, data: bytes) -> list[int]:
-        """Lengths of the prefixes of ``data`` that match, shortest first."""
+    def ends(self, data: bytes | memoryview) -> list[int]:
+        """Lengths of the prefixes of ``data`` that match, shortest first; reads until no longer one can."""
         table, s, found = self.table, self.start, []
         classes = self.classes
         for i, b in enumerate(data, 1):
@@ -266,15 +266,7 @@ class PatternSet:
                 back = self.backward[k].ends(data[after[k] : end][::-1])
                 if back:
                     start = end - back[-1]
-                    reach = self._forward(k, data, start)
+                    reach = self.forward[k].ends(memoryview(data)[start:])
                     out.append((k, start, start + reach[-1], start + reach[0]))
                     after[k] = start + reach[-1]
         return out
-
-    def _forward(self, k: int, data: bytes, start: int) -> list[int]:
-        size = 256
-        while True:
-            reach = self.forward[k].ends(data[start : start + size])
-            if start + size >= len(data) or not reach or reach[-1] < size:
-                return reach
-            size *= 4

@@ -74,3 +74,13 @@ def test_edge_cases(spark):
     assert [r.text for r in S.mask_secrets(d).orderBy("spans", "doc_id").collect()][-1] is None
     assert "x [SECRET]' y" in [r.text for r in S.mask_secrets(d).collect()]
     assert S.secret_report(d.limit(0)).collect() == [] and S.mask_secrets(d.limit(0)).collect() == []
+
+
+def test_shortest_match_beyond_any_window():
+    token = "eyJ" + "a" * 300 + "." + "b" * 900 + "." + "c" * 43
+    login = "https://" + "u" * 300 + ":" + "p" * 300 + "@"
+    for text, kind in ((token, "web_token"), (login, "url_login")):
+        for behind in ("", " and the text goes on " + "x y " * 300):
+            assert (kind, 3, 3 + len(text)) in S.spans_of("at " + text + behind, MACHINE)
+    for text in ("token" + " " * 300 + "= abcdefgh and on " + "x y " * 300, "secret =" + " " * 5000 + "'abcdefgh' " + "x y " * 300):
+        assert base(text) == brute(text) != []
