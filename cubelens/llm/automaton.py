@@ -99,7 +99,10 @@ def _shortest(tree):
     """The tree without optional rounds of a repeat at its end: it matches where ``tree`` first does."""
     kind = tree[0]
     if kind == "cat" and tree[1]:
-        return ("cat", [*tree[1][:-1], _shortest(tree[1][-1])])
+        *head, last = tree[1]
+        if head and last[0] == "rep" and not last[2]:
+            return _shortest(("cat", head))
+        return ("cat", [*head, _shortest(last)])
     if kind == "or":
         return ("or", [_shortest(x) for x in tree[1]])
     if kind == "rep" and tree[2]:

@@ -27,12 +27,19 @@ class Rule:
 
 
 _KEYWORDS = "|".join(map(_either, ("password", "passwd", "secret", "token"))) + "|" + _either("api") + "_?" + _either("key")
+#: A private key from its BEGIN line to its END line; what stands between has no other dashes
+#: in a row. Without an END line: header lines, runs of base64 between blanks, line ends
+#: (escaped ones too) and signs of quoting, and a last run that is padded or starts a line.
+_KEY_LINE = "[A-Z ]*PRIVATE KEY-----"
+_GAP = "([\\x20\\x09\\x0a\\x0d\"'>#*,;]|\\\\[nrt])"
+_CUT_KEY = f"({_GAP}+(Proc-Type|DEK-Info):[^\\x0a\\x0d\\\\]*)*({_GAP}+\\+?{_GAP}*[A-Za-z0-9+/]{{16,}}=?=?)*({_GAP}+[A-Za-z0-9+/]+==?|(\\x0a|\\\\n)[A-Za-z0-9+/]+)?"
+_WHOLE_KEY = f"(-?-?-?-?[A-Za-z0-9+/=:,._()\"'>#*;\\\\\\x20\\x09\\x0a\\x0d])*-----END {_KEY_LINE}"
 #: The three base rules come first; spans sort by start, then in this order.
 RULES = (
     Rule("assign", f"({_KEYWORDS})[\"']?\\x20*[:=]\\x20*[\"']?[A-Za-z0-9+/_.=-]+", 6, True),
     Rule("access", "AKIA[A-Z0-9]+", 20),
     Rule("hex", "[0-9a-f]{24,}", 24),
-    Rule("private_key", "-----BEGIN [A-Z ]*PRIVATE KEY-----"),
+    Rule("private_key", f"-----BEGIN {_KEY_LINE}({_WHOLE_KEY}|{_CUT_KEY})?"),
     Rule("web_token", "eyJ[A-Za-z0-9_-]+\\.[A-Za-z0-9_-]+\\.[A-Za-z0-9_-]+", 40),
     Rule("forge_token", "gh[pousr]_[A-Za-z0-9]+", 40),
     Rule("chat_token", "xox[abprs]-[A-Za-z0-9-]+", 20),

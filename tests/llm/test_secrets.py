@@ -1,5 +1,7 @@
 import hashlib
+import random
 import re
+import string
 
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -84,3 +86,33 @@ def test_shortest_match_beyond_any_window():
             assert (kind, 3, 3 + len(text)) in S.spans_of("at " + text + behind, MACHINE)
     for text in ("token" + " " * 300 + "= abcdefgh and on " + "x y " * 300, "secret =" + " " * 5000 + "'abcdefgh' " + "x y " * 300):
         assert base(text) == brute(text) != []
+
+
+def test_private_keys_are_masked_to_their_last_character(spark):
+    rng = random.Random(4)
+    body = ["".join(rng.choices(string.ascii_letters + string.digits + "+/", k=64)) for _ in range(25)] + ["Qx9/kA=="]
+    begin, end = "-----BEGIN RSA PRIVATE KEY-----", "-----END RSA PRIVATE KEY-----"
+    head = "Proc-Type: 4,ENCRYPTED\nDEK-Info: AES-256-CBC,0123ABCD\n\n"
+    keys = [
+        "\n".join([begin, *body, end]),
+        "\r\n".join([begin, *body, end]),
+        "\\n".join([begin, *body, end]),
+        f"{begin}\n{head}" + "\n".join([*body, end]),
+        "\\n\" +\n \"".join([begin, *body, end]),
+        " ".join([begin, *body, end]),
+        "\n".join([begin, *body]),
+        "\\n".join([begin, *body]),
+        "\n".join([begin, *body[:9], "Qx9kAB"]),
+        f"{begin}\n{head}" + "\n".join(body),
+        begin + end,
+        begin,
+    ]
+    for key in keys:
+        for behind in ("", ". It was found, see é.", "\n\nThe text goes on. " + "x y " * 300, " " + keys[0]):
+            spans = [s for s in S.spans_of("é in " + key + behind, MACHINE) if s[0] == "private_key"]
+            assert spans[0] == ("private_key", 5, 5 + len(key)), (key, behind)
+            assert len(spans) == 1 + (keys[0] in behind)
+    d = spark.createDataFrame([(k, "see " + t + "\n\nthe end") for k, t in enumerate(keys)], "doc_id long, text string")
+    assert {r.text for r in S.mask_secrets(d).collect()} == {"see [SECRET]\n\nthe end"}
+    assert S.spans_of(begin + " marks a key in plain words, " + "x y " * 300, MACHINE) == [("private_key", 0, len(begin))]
+    assert len(S.spans_of((begin + " and words ") * 2000, MACHINE)) == 2000
