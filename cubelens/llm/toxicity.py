@@ -6,6 +6,10 @@ mapped by its largest kernel value, over its words, with each of a few landmark
 made orthogonal by the landmarks' own kernel matrix (Nystroem). Landmarks are words that
 labelled texts show to be toxic and the clean words most like them. Letters spelt out with
 gaps count as one word, inserted characters only stretch subsequences.
+
+Inflected forms pool their evidence: a stem (the start of words) is a landmark by itself, with
+the number of words on it that makes a text toxic. Its value in a text is that word's likeness
+in order, by a power of the kernel of the stem and the word's start of the stem's length.
 """
 
 from __future__ import annotations
@@ -26,14 +30,16 @@ from cubelens.llm.labelled import held_out, training_rows
 SUBSEQUENCE, DECAY = 3, 0.7
 #: Labelled texts of each class that training reads at most.
 PER_CLASS = 2000
-#: Landmarks of each kind at most.
-TOXIC_LANDMARKS, CLEAN_LANDMARKS = 24, 24
+#: Landmarks from clean texts at most, for each toxic one and at least.
+CLEAN_EACH, CLEAN_LANDMARKS = 2, 24
 #: Words without any likeness that a task remembers; the memory is emptied when full.
 REMEMBERED = 300_000
-#: Twice the log-likelihood ratio that a word needs to be a toxic landmark.
+#: Twice the log-likelihood ratio that a word or stem needs to be a toxic landmark.
 LEAST_EVIDENCE = 20.0
-#: Words with less than this share of the strongest word's evidence are no landmarks either.
-EVIDENCE_SHARE = 0.2
+#: A text may need so many words on a stem at most; the power of a stem's kernel.
+MOST_NEEDED, STEM_POWER = 3, 8
+#: Stem values below count as zero: words this unlike a stem share no three letters in a row with it.
+LEAST_STEM = 0.1
 #: Kernel values below count as zero.
 LEAST_KERNEL = 0.35
 #: Longer words are cut into windows of this length that overlap by half.
@@ -155,38 +161,69 @@ class Model:
     b: float
     platt: np.ndarray
     toxic: int
+    stems: list[tuple[str, int]]
 
     def __post_init__(self):
         self.screen = Screen(self.landmarks[: self.toxic])
         self.unlike: set[str] = set()
+        parts = sorted({re.escape(s[i : i + SUBSEQUENCE]) for s, _ in self.stems for i in range(len(s) - SUBSEQUENCE + 1)})
+        longest = max((len(s) for s, _ in self.stems), default=0)
+        self.stem_part = re.compile(f".{{0,{max(longest - SUBSEQUENCE, 0)}}}?(?:{'|'.join(parts)})", re.S) if parts else None
+        self.stem_self = self_kernel([s for s, _ in self.stems])
+        self.rank = np.array([n - 1 for _, n in self.stems], int)
+
+    def stem_kernels(self, words: list[str]) -> np.ndarray:
+        """Powers of the kernel of each stem with the words' starts of its length."""
+        out = np.zeros((len(words), len(self.stems)))
+        for k, (stem, _) in enumerate(self.stems):
+            starts = [w[: len(stem)] for w in words]
+            some = sorted({x for x in starts if len(x) >= SUBSEQUENCE})
+            value = dict(zip(some, kernel(some, [stem], self.stem_self[k : k + 1])[:, 0] ** STEM_POWER))
+            out[:, k] = [value.get(x, 0.0) for x in starts]
+        out[out < LEAST_STEM] = 0
+        return out
 
     def word_kernels(self, words: set[str]) -> dict[str, np.ndarray]:
-        """Kernel rows of the words that have a value above the least one with a toxic landmark."""
+        """Kernel rows, landmarks then stems, of the words that have a value above the least one with a toxic landmark or a stem."""
         words = words - self.unlike
         parts = {w: [w] if w.isalpha() and len(w) <= LONGEST_WORD else variants(w) for w in words}
         flat = sorted({v for vs in parts.values() for v in vs if len(v) >= SUBSEQUENCE})
-        if not flat or not self.landmarks:
+        if not flat or not self.landmarks and not self.stems:
             return {}
         near = [v for v, k in zip(flat, self.screen(flat)) if k]
         rows = kernel(near, self.landmarks, self.landmark_self)
         rows[rows < LEAST_KERNEL] = 0
-        known = {v: r for v, r in zip(near, rows) if r[: self.toxic].any()}
+        rows[~rows[:, : self.toxic].any(1)] = 0
+        on = [v for v in flat if self.stem_part.match(v)] if self.stem_part else []
+        none = np.zeros(len(self.stems))
+        stem = {v: r for v, r in zip(on, self.stem_kernels(on)) if r.any()}
+        known = {v: np.concatenate([r, stem.get(v, none)]) for v, r in zip(near, rows) if r.any()}
+        known |= {v: np.concatenate([np.zeros(len(self.landmarks)), r]) for v, r in stem.items() if v not in known}
         out = {w: np.max(hit, axis=0) for w, vs in parts.items() if (hit := [known[v] for v in vs if v in known])}
         if len(self.unlike) > REMEMBERED:
             self.unlike.clear()
         self.unlike.update(words - out.keys())
         return out
 
-    def decision(self, text: str, words: list[str], known: dict[str, np.ndarray]) -> float:
-        """Largest decision value of a sentence of the text; of a sentence without words like landmarks it is the bias."""
-        top = self.b
+    def features(self, text: str, words: list[str], known: dict[str, np.ndarray]) -> list[np.ndarray]:
+        """A row for each sentence with words like landmarks, and one for the text's stems if it has words on them."""
         if known.keys().isdisjoint(words):
-            return top
-        for own in [*(x.split() for x in _SENTENCE.split(text)), _spelt(text)]:
-            rows = [known[w] for w in own if w in known]
-            if rows:
-                top = max(top, float(np.max(rows, axis=0) @ self.whiten @ self.w) + self.b)
-        return top
+            return []
+        n, out = len(self.landmarks), []
+        own = np.array([known[w] for w in set(words) if w in known])[:, n:]
+        low = np.sort(np.vstack([own, np.zeros((MOST_NEEDED, len(self.stems)))]), axis=0)[::-1]
+        stems = low[self.rank, np.arange(len(self.stems))]
+        if own.any():
+            out.append(np.concatenate([np.zeros(n), stems]))
+        for sentence in [*(x.split() for x in _SENTENCE.split(text)), _spelt(text)]:
+            rows = [r for w in sentence if (r := known.get(w)) is not None]
+            if rows and (best := np.max(rows, axis=0)[:n]).any():
+                out.append(np.concatenate([best @ self.whiten, stems]))
+        return out
+
+    def decision(self, text: str, words: list[str], known: dict[str, np.ndarray]) -> float:
+        """Largest decision value of a sentence of the text; of a text without words like landmarks it is the bias."""
+        return max([0.0, *(float(x @ self.w) for x in self.features(text, words, known))]) + self.b
 
     def scores(self, rows: list[str]) -> np.ndarray:
         low = [t.lower() for t in rows]
@@ -245,59 +282,84 @@ def _unlike(rows: list[tuple[str, int]]) -> list[tuple[str, int]]:
     return out
 
 
+def _evidence(k: int, n: int, share: float) -> float:
+    """Signed likelihood ratio of k toxic texts among n against the share among all."""
+    g = sum(x * np.log(x / (n * q)) for x, q in ((k, share), (n - k, 1 - share)) if x)
+    return 2 * g if k > n * share else -2 * g
+
+
+def toxic_stems(rows: list[tuple[str, int]]) -> tuple[list[str], list[tuple[str, int]]]:
+    """Toxic words, and toxic stems with the number of words on them that a text needs.
+
+    Every start of a word is counted with each number of words. Of starts of one another the
+    strongest goes first; others must show the same evidence among the texts it leaves.
+    """
+    rows = [(frozenset(v for w in set(_words(t)) for v in variants(w) if len(v) >= SUBSEQUENCE), y) for t, y in _unlike(rows)]
+    share = (sum(y for _, y in rows) + 0.5) / (len(rows) + 1)
+
+    def on(words: frozenset[str], among) -> list[tuple[str, int]]:
+        found = Counter(x for v in words for k in range(SUBSEQUENCE, len(v) + 1) if (x := v[:k]) in among)
+        return [(x, n) for x, c in found.items() for n in range(1, min(c, MOST_NEEDED) + 1)]
+
+    often = Counter(x for words, y in rows if y for x in {v[:k] for v in words for k in range(SUBSEQUENCE, len(v) + 1)})
+    often = {x for x, n in often.items() if n >= 4}
+    seen = (Counter(), Counter())
+    for words, y in rows:
+        seen[y].update(on(words, often))
+    shows = lambda k, n: k >= 4 and k > 2 * (n - k) and _evidence(k, n, share) >= LEAST_EVIDENCE
+    rate = {x: _evidence(k, k + seen[0][x], share) for x, k in seen[1].items() if shows(k, k + seen[0][x])}
+    held, among = {x: set() for x in rate}, {x for x, _ in rate}
+    for i, (words, _) in enumerate(rows):
+        for x in on(words, among):
+            if x in held:
+                held[x].add(i)
+    taken: dict[tuple[str, int], set[int]] = {}
+    for x in sorted(rate, key=lambda x: (-rate[x], -len(x[0]), x)):
+        left = held[x].difference(*(h for t, h in taken.items() if t[0].startswith(x[0]) or x[0].startswith(t[0])))
+        if shows(sum(rows[i][1] for i in left), len(left)):
+            taken[x] = held[x]
+    whole = {x for x, h in taken.items() if x[1] == 1 and sum(x[0] in rows[i][0] for i in h) >= 0.8 * len(h)}
+    return [x for x, n in taken if (x, n) in whole], [x for x in taken if x not in whole]
+
+
 def train(rows: list[tuple[str, int]]) -> Model:
     """A model from (text, label) pairs; without both classes it scores the share of toxic texts."""
     rows = [(t.lower(), y) for t, y in rows]
     n1 = sum(y for _, y in rows)
     n0 = len(rows) - n1
+    toxic, stems = toxic_stems(rows) if n0 else ([], [])
+    prior = np.array([0.0, np.log((n1 + 1) / (n0 + 1))])
+    if not toxic and not stems:
+        return Model([], np.zeros(0), np.zeros((0, 0)), np.zeros(0), 0.0, prior if rows else np.array([0.0, -2.0]), 0, [])
     seen = (Counter(), Counter())
-    texts_of = [0, 0]
     for t, y in _unlike(rows):
-        texts_of[y] += 1
         seen[y].update({v for w in set(_words(t)) for v in variants(w) if len(v) >= SUBSEQUENCE})
-    share = (texts_of[1] + 0.5) / (sum(texts_of) + 1)
-
-    def evidence(v: str) -> float:
-        """Signed likelihood ratio of a word's share of toxic texts against that of all texts."""
-        k, n = seen[1][v], seen[1][v] + seen[0][v]
-        g = sum(x * np.log(x / (n * q)) for x, q in ((k, share), (n - k, 1 - share)) if x)
-        return 2 * g if k > n * share else -2 * g
-
-    rate = {v: g for v, k in seen[1].items() if k >= 4 and k > 2 * seen[0][v] and (g := evidence(v)) >= LEAST_EVIDENCE}
-    least = max(rate.values(), default=0.0) * EVIDENCE_SHARE
-    toxic = sorted((v for v in rate if rate[v] >= least), key=lambda v: (-rate[v], v))[:TOXIC_LANDMARKS] if n0 else []
-    prior = np.array([0.0, np.log((n1 + 1) / (n0 + 1))])
-    if not toxic:
-        return Model([], np.zeros(0), np.zeros((0, 0)), np.zeros(0), 0.0, prior if rows else np.array([0.0, -2.0]), 0)
     screen = Screen(toxic)
-    clean = sorted(v for v in seen[0] if v not in rate and seen[0][v] > 4 * seen[1][v])
+    clean = sorted(v for v in seen[0] if v not in toxic and seen[0][v] > 4 * seen[1][v])
     clean = [v for v, k in zip(clean, screen(clean)) if k]
-    like = kernel(clean, toxic).max(1) if clean else np.zeros(0)
-    clean = [clean[i] for i in np.lexsort((np.arange(len(clean)), -like))[:CLEAN_LANDMARKS]]
+    like = kernel(clean, toxic).max(1) if clean and toxic else np.zeros(len(clean))
+    clean = [clean[i] for i in np.lexsort((np.arange(len(clean)), -like))[: max(CLEAN_EACH * len(toxic), CLEAN_LANDMARKS)]]
     landmarks = toxic + clean
     own = self_kernel(landmarks)
     value, vector = np.linalg.eigh(kernel(landmarks, landmarks, own))
     whiten = vector @ np.diag(1 / np.sqrt(np.maximum(value, 1e-3))) @ vector.T
-    model = Model(landmarks, own, whiten, np.zeros(len(landmarks)), 0.0, prior, len(toxic))
-    words: set[str] = set()
-    for t, _ in rows:
-        words.update(_words(t))
-    known = model.word_kernels(words)
-    x, y = [np.zeros(len(landmarks))], [-1.0]  # a sentence without any word like a landmark is clean
+    size = len(landmarks) + len(stems)
+    model = Model(landmarks, own, np.eye(len(landmarks)), np.zeros(size), 0.0, prior, len(toxic), stems)
+    known = model.word_kernels({w for t, _ in rows for w in _words(t)})
+    x, y = [np.zeros(size)], [-1.0]  # a text without any word like a landmark is clean
     for t, label in rows:
-        for sentence in _SENTENCE.split(t):
-            hit = [known[w] for w in _words(sentence) if w in known]
-            if hit:
-                best = np.max(hit, axis=0)
-                if label == 0 or best[: len(toxic)].max() > 0.6:
-                    x.append(best)
-                    y.append(2.0 * label - 1)
+        for best in model.features(t, _words(t), known):
+            if label == 0 or max(best[: len(toxic)].max(initial=0), best[len(landmarks) :].max(initial=0)) > 0.6:
+                x.append(best)
+                y.append(2.0 * label - 1)
+    model.whiten = whiten
     both, times = np.unique(np.round(np.column_stack([np.array(x), y]), 4), axis=0, return_counts=True)
     x, y = both[:, :-1], both[:, -1]
     empty = ~x.any(1)
     times = np.where(empty & (y < 0), np.maximum(times, len(y) // 10), times).astype(float)
     balance = np.where(y > 0, times.sum() / (2 * max(times[y > 0].sum(), 1)), times.sum() / (2 * max(times[y < 0].sum(), 1)))
-    model.w, model.b = _svm(x @ whiten, y, times * balance)
+    x[:, : len(landmarks)] = x[:, : len(landmarks)] @ whiten
+    model.w, model.b = _svm(x, y, times * balance)
     f = np.array([[model.decision(t, _words(t), known), 1.0] for t, _ in rows])
     model.platt = logistic(f, np.array([y for _, y in rows], float))
     return model

@@ -48,6 +48,26 @@ def test_toxicity_tolerates_gaps():
     assert T.train([]).scores(["idiot", ""]).tolist() == T.train([]).scores(["", "x"]).tolist()
 
 
+def test_toxicity_pools_inflected_forms():
+    ends = [a + b for a in "mnprstv" for b in ("ak", "el", "in", "or", "um")]
+    rows = []
+    for k in range(60):
+        some = [ends[(7 * k + 3 * j) % len(ends)] for j in range(4)]
+        rows += [(f"w{k} vexga{some[0]} x{k} y{k} z{k} vexga{some[1]} q{k}.", 1), (f"w{k} vexga{some[2]} y{k} z{k} lomde{some[3]} r{k}.", 0), (f"lomde{some[0]} s{k} lomde{some[1]} t{k}.", 0)]
+        rows += [(f"m{k} idiot n{k} o{k} p{k}.", 1)] * 2
+    s = T.train(rows).scores(["a vexgawix b c vexgazul", "vexgawix a b c", "lomdewix a lomdezul", "an idiot", "nothing"])
+    assert (s[[0, 3]] > 0.5).all() and (s[[1, 2, 4]] < 0.5).all()
+
+
+def test_toxicity_recall_on_held_out_rows_of_each_language(spark):
+    sf = "/root/testdata/sf0.1"
+    _, pairs, _ = held(spark, T.score, "toxic", sf)
+    lang = {r.doc_id: r.lang for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang").collect()}
+    for name in ("en", "fr", "de", "es"):
+        assert np.mean([r.predicted for r, y in pairs if y == 1 and lang[r.doc_id] == name]) >= 0.8
+        assert np.mean([r.predicted for r, y in pairs if y == 0 and lang[r.doc_id] == name]) <= 0.02
+
+
 def test_cotraining_on_held_out_rows(spark):
     _, pairs, _ = held(spark, C.score, "quality")
     assert np.mean([r.predicted == y for r, y in pairs]) > 0.9
