@@ -26,11 +26,15 @@ WORD_SCORE = 1.0
 TAG_LEAST, TAG_MOST = -8.0, -0.02
 
 #: Element names by role.
-RAW = frozenset("script style noscript template iframe svg math object canvas textarea".split())
-SKIP = frozenset("nav aside footer form button select option menu dialog head title figcaption".split()) | RAW
-INLINE = frozenset("a abbr acronym b bdi bdo big br cite code del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
+RAW = frozenset("script style noscript template iframe svg object canvas textarea annotation annotation-xml".split())
+SKIP = frozenset("nav aside footer form button select option menu dialog head title".split()) | RAW
+MATH = frozenset("math semantics mi mn mo ms mtext mspace mrow mfrac msqrt mroot mstyle mpadded mphantom menclose msub msup msubsup munder mover munderover mmultiscripts mtable mtr mtd".split())
+INLINE = MATH | frozenset("a abbr acronym b bdi bdo big br cite code del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BOILER_WORDS = frozenset("ad ads advert adverts advertisement banner sponsor sponsored promo promotion cookie cookies consent notice gdpr popup modal overlay newsletter subscribe signup sidebar side nav navbar navigation menu breadcrumb breadcrumbs header masthead footer comment comments disqus reply replies respond share sharing social related recommended widget toolbar pagination pager skip login search".split())
+#: What may stand beside them in a class or id of several words; any other word makes it a name of content or of a layout.
+BESIDE = frozenset("area articles bar block bottom box button container content element footer form global group holder inner item items left links list main menu outer panel posts primary region right row secondary section site slot stories text top unit wrap wrapper zone".split())
+COMMENTS = frozenset("comment comments disqus reply replies respond".split())
 BOILER_ROLES = frozenset("navigation banner contentinfo complementary search form dialog menu menubar alert alertdialog".split())
 ARTICLE = frozenset(("article", "main"))
 
@@ -45,23 +49,39 @@ _CLOSES_P = frozenset("address article aside blockquote div dl fieldset footer f
 _SAME_CLOSES = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}
 
 
-def _boiler(name: str, attrs: str, in_article: bool) -> bool:
+#: How surely an element is boilerplate: SOFT and COMMENT ones are not if they turn out to hold the page's content.
+SOFT, COMMENT, HARD = 1, 2, 3
+
+
+def _named(token: str, in_article: bool) -> int:
+    """What a class or id says: its words are boilerplate's, and none is another's."""
+    parts = [token.lower()] if token.lower() in BOILER_WORDS else [p.lower() for p in _PART.findall(token)]
+    found = BOILER_WORDS.intersection(parts)
+    if in_article and found <= {"header", "masthead"} or not all(p in BOILER_WORDS or p in BESIDE for p in parts):
+        return 0
+    return COMMENT if found & COMMENTS else SOFT
+
+
+def _boiler(name: str, attrs: str, in_article: bool) -> int:
     if name in SKIP or name == "header" and not in_article:
-        return True
+        return SOFT if name == "form" else HARD
     if not attrs or name in ("html", "body", "article", "main"):
-        return False
+        return 0
+    sure = 0
     for key, value in _ATTR.findall(attrs):
         key, value = key.lower(), value.strip("\"'")
-        if key == "hidden" or key == "aria-hidden" and value == "true" or key == "role" and value.lower() in BOILER_ROLES:
-            return True
-        if key in ("class", "id") and any(p.lower() in BOILER_WORDS for w in re.split(r"[\s_-]+", value) for p in (w, *_PART.findall(w))):
-            return True
-    return False
+        if key == "hidden" or key == "aria-hidden" and value == "true":
+            return HARD
+        if key == "role" and value.lower() in BOILER_ROLES:
+            sure = max(sure, SOFT)
+        if key in ("class", "id"):
+            sure = max([sure, *(_named(w, in_article) for w in value.split())])
+    return sure
 
 
 @dataclass
 class Element:
-    """An open or closed element: its outermost article and the range of blocks it holds."""
+    """An open or closed element: its outermost article, the range of blocks it holds, and whether it stands in boilerplate."""
 
     name: str
     parent: Element | None
@@ -70,6 +90,7 @@ class Element:
     article: Element | None
     first: int
     last: int = 0
+    bad: bool = False
 
 
 @dataclass
@@ -92,22 +113,18 @@ class Block:
 
 def blocks_of(page: str | None) -> list[Block]:
     """The blocks of a page in order, whitespace-only ones included if tags stand before them."""
-    out, now, stack = [], Block(), []
-    bad = 0  # open boilerplate elements
+    out, now, stack, all_of = [], Block(), [], []
     page, at = page or "", 0
 
     def cut() -> None:
         nonlocal now
-        now.boiler, now.element = bad > 0, stack[-1] if stack else None
+        now.element = stack[-1] if stack else None
         out.append(now)
         now = Block()
 
     def pop(to: int) -> None:
-        nonlocal bad
         while len(stack) > to:
-            gone = stack.pop()
-            gone.last = len(out)
-            bad -= gone.boiler
+            stack.pop().last = len(out)
 
     def within() -> bool:
         return bool(stack) and stack[-1].article is not None
@@ -125,6 +142,10 @@ def blocks_of(page: str | None) -> list[Block]:
         if m["name"] is None:
             continue
         name = m["name"].lower()
+        if name in ("annotation", "annotation-xml"):  # a formula's source: the formula's line goes on
+            end = None if m["close"] else re.compile(rf"</{name}\s*>", re.I).search(page, at)
+            at = at if m["close"] else end.end() if end else len(page)
+            continue
         if name in INLINE and not (name != "br" and not m["close"] and _boiler(name, m["attrs"], within())):
             if name == "br":
                 now.parts.append(" ")
@@ -148,16 +169,58 @@ def blocks_of(page: str | None) -> list[Block]:
             pop(len(stack) - 1)
         if name not in VOID and not m["attrs"].rstrip().endswith("/"):
             up = stack[-1] if stack else None
-            here = Element(name, up, len(stack), int(_boiler(name, m["attrs"], within())), up.article if up else None, len(out))
+            here = Element(name, up, len(stack), _boiler(name, m["attrs"], within()), up.article if up else None, len(out))
             if name in ARTICLE and here.article is None:
                 here.article = here
             stack.append(here)
-            bad += here.boiler
+            all_of.append(here)
     cut()
     pop(0)
+    _settle(out, all_of)
     return out
 
 
+def _settle(blocks: list[Block], elements: list[Element]) -> None:
+    """Mark what stands in boilerplate; a container that holds the page's content is none.
+
+    That is one around ``main``; and, if no article stands elsewhere, one with more words than
+    all blocks outside of it that are no boilerplate, unless it is named after comments.
+    """
+
+    def mark() -> None:
+        for e in elements:  # parents come first
+            e.bad = e.boiler > 0 or e.parent is not None and e.parent.bad
+        for b in blocks:
+            b.boiler = b.element is not None and b.element.bad
+
+    mark()
+    marked = [e for e in elements if e.name in ARTICLE]
+    for m in marked:
+        if m.name == "main" and m.bad:
+            up = m.parent
+            while up is not None and up.boiler != HARD:
+                up.boiler, up = 0, up.parent
+            mark()
+    if all(e.boiler != SOFT for e in elements) or any(not e.bad for e in marked):
+        return
+    size = np.array([len(b.text.split()) for b in blocks], int)
+    for e in elements:
+        if e.boiler == SOFT and not (e.parent and e.parent.bad):
+            hard = np.array([_hard(b.element, e) for b in blocks[e.first : e.last]], bool)
+            if size[e.first : e.last][~hard].sum() > size[[not b.boiler for b in blocks]].sum():
+                e.boiler = 0
+                mark()
+
+
+def _hard(at: Element | None, top: Element) -> bool:
+    """Whether an element between ``at`` and ``top`` is boilerplate of its own."""
+    while at is not None and at is not top:
+        if at.boiler:
+            return True
+        at = at.parent
+    return False
+
+
 def best_run(scores: np.ndarray) -> tuple[int, int]:
     """Start and end of the contiguous run of largest sum, the longest of equal ones; (0, 0) if none is positive."""
     best, run, start, found = 0.0, 0.0, 0, (0, 0)
@@ -229,7 +292,7 @@ def tag_weights(pages: DataFrame) -> dict[str, float]:
     Each task counts its tags; names beyond those this module knows are counted as one, so
     the driver gets a bounded table. Without labelled pages every tag costs one word.
     """
-    names = sorted(SKIP | INLINE | VOID | _CLOSES_P | set(_SAME_CLOSES) | {"html", "body", "head", "tbody", "thead", "label", "figure", "details", "summary"})
+    names = sorted(SKIP | INLINE | VOID | _CLOSES_P | set(_SAME_CLOSES) | {"html", "body", "head", "tbody", "thead", "label", "figure", "figcaption", "details", "summary"})
     known = set(names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -51,6 +51,26 @@ def test_structures():
         assert H.main_text(page, W) == text, page
 
 
+def test_content_under_names_like_boilerplate():
+    cases = {
+        "<div class='has-sidebar'><article><p>a b c</p></article><div class='sidebar'>no</div></div>": "a b c",
+        "<div id='page' class='site no-sidebar'><article><p>a b c</p></article></div>": "a b c",
+        "<article><div class='post-header'><h1>Head line</h1></div><p>a b c</p></article>": "Head line\na b c",
+        "<article><div class='header'><h1>Head line</h1></div><p>a b c</p></article>": "Head line\na b c",
+        "<article><section id='related-work'><p>others did</p></section><section id='search-algorithms'><p>we find</p></section></article>": "others did\nwe find",
+        "<form id='aspnetForm'><main><p>a b c</p></main></form>": "a b c",
+        "<div class='sidebar widget'><article><p>a b c d</p></article></div><p>x</p>": "a b c d",
+        "<div class='modal'><p>most of the words of all stand here</p><div class='ads'>buy</div></div><div>x</div>": "most of the words of all stand here",
+        "<article><p>a b c</p></article><div class='comments'><article><p>a reader says many more words</p></article></div>": "a b c",
+        "<article><p>a b c</p></article><div class='related-posts'><article><p>d e f g h</p></article></div>": "a b c",
+        "<article><p>a b</p><figure><img src=x><figcaption>what it shows</figcaption></figure></article>": "a b\nwhat it shows",
+        "<article><p>so <math><semantics><mrow><mi>x</mi><mo>=</mo><mn>1</mn></mrow><annotation>x=1</annotation></semantics></math> holds</p></article>": "so x=1 holds",
+        "<article><p>a b</p><div class='cookie-banner'>no</div><div class='ad-box'>no</div><div class='navBar'>no</div><div class='site-footer'>no</div></article>": "a b",
+    }
+    for page, text in cases.items():
+        assert H.main_text(page, W) == text, page
+
+
 def test_edge_cases(spark):
     s = "page_id int, url string, html string, text string"
     d = spark.createDataFrame([(1, None, None, "t"), (None, "u", "", None), (2, "u", "<p>" * 3000 + "deep", ""), (2, "u", "<p>" * 3000 + "deep", ""), (3, "u", "<div>" * 5000 + "x " * 50000, "")], s)
