@@ -74,6 +74,34 @@ def test_cotraining_on_held_out_rows(spark):
     assert np.mean([r.kept for r, y in pairs if y == 1]) > 0.95
 
 
+def test_cotraining_reads_every_unlabelled_row(spark, monkeypatch):
+    n = 3000
+    rows = [(k, f"good plain words {k} stand here" if k % 2 else f"$$ ## {k} @@ !!", "en", ("g" if k % 2 else "b")) for k in range(n)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").repartition(5)
+    lab = spark.createDataFrame([(k, k % 2) for k in range(200)], "doc_id long, quality int")
+    want = [k for k in range(200, n) if zlib.crc32(str(k).encode()) % 5]
+    assert sorted(r.doc_id for r in C.unlabelled(d, lab).collect()) == want
+    seen, total = [], C._total
+    monkeypatch.setattr(C, "_total", lambda *a: seen.append(total(*a)) or seen[-1])
+    C.fit(d, lab)
+    assert seen[0].sum() == 2 * len(want)
+    size = C.TEXT_DIMS + 1
+    taught = [(x[size], x[-2]) for x in seen if len(x) < 2 * C.BOUND]
+    assert min(taught[0]) > 0.02 * len(want) and min(taught[-1]) > min(taught[0])
+
+
+def test_cotraining_sums_match_one_pass(spark):
+    rng = np.random.default_rng(2)
+    texts = [" ".join(rng.choice(["aa", "bcd", "efg", "$$", "hi"], 30)) for _ in range(200)]
+    pool = C.pool_views(spark.createDataFrame([(k, t, "en", "s") for k, t in enumerate(texts)], "doc_id long, text string, lang string, source string").repartition(3))
+    a, b = C._views([(t, "en", "s") for t in texts])
+    wa, wb = rng.normal(size=a.shape[1]), rng.normal(size=b.shape[1]) / 9
+    done = [(wa, wb, [(-200, 200), (-100, 100)])]
+    got = C._total(pool, len(wa) + len(wb) + 4, C._sums(done, wa / 9, wb / 9))
+    want = C._sums(done, wa / 9, wb / 9)(a, b)
+    assert np.allclose(got, want, rtol=0.1, atol=0.05 * np.abs(want).max())
+
+
 def test_edge_cases(spark):
     s = "doc_id int, text string, lang string, source string, score string, held_out int"
     d = spark.createDataFrame([(1, None, None, None, "a", 1), (None, "idiot", "en", "s", None, None), (2, "x " * 60000, "en", "s", "", 0), (2, "x " * 60000, "en", "s", "", 0)], s)
