@@ -67,27 +67,28 @@ class ItemIndex:
     sketch: dict[int, np.ndarray]
     owners: dict[int, dict[int, list[int]]]
     threshold: float
+    ids: list[int | None]
 
     @classmethod
-    def build(cls, rows: list[tuple[int, str]], size: int = SHINGLE_WORDS, threshold: float = THRESHOLD) -> ItemIndex:
+    def build(cls, rows: list[tuple[int | None, str]], size: int = SHINGLE_WORDS, threshold: float = THRESHOLD) -> ItemIndex:
         items, owners, parts = {}, defaultdict(lambda: defaultdict(list)), defaultdict(list)
-        for item_id, text in rows:
+        for key, (_, text) in enumerate(rows):  # ids may repeat or be null: the place is the key
             w = words_of(text)
             if w:
                 length = min(size, len(w))  # an item of fewer words is one shingle
                 s = shingles(w, length)
-                items[item_id] = (length, s)
-                parts[length, len(s).bit_length()].append((item_id, s))
+                items[key] = (length, s)
+                parts[length, len(s).bit_length()].append((key, s))
         for (length, _), members in parts.items():
             k = 1 + allowed_gaps(max(len(s) for _, s in members), threshold)
-            for item_id, s in members:
+            for key, s in members:
                 for h in sorted({int(shingle_hashes(word_hashes(list(x)), length)[0]) for x in s})[:k]:
-                    owners[length][h].append(item_id)
+                    owners[length][h].append(key)
         sketch = {length: np.array(sorted(hs), "<u8") for length, hs in owners.items()}
-        return cls(items, sketch, {k: dict(v) for k, v in owners.items()}, threshold)
+        return cls(items, sketch, {k: dict(v) for k, v in owners.items()}, threshold, [i for i, _ in rows])
 
-    def search(self, text: str | None) -> list[tuple[int, float]]:
-        """(item, containment) of the items that the text contains."""
+    def search(self, text: str | None) -> list[tuple[int | None, float]]:
+        """(item, containment) of the items that the text contains; of an id's texts the one contained most."""
         words = words_of(text)
         if not words:
             return []
@@ -99,42 +100,42 @@ class ItemIndex:
                 at[at == len(known)] = 0
                 for x in set(h[known[at] == h].tolist()):
                     proposed.update(self.owners[length][x])
-        found, own = [], {}
-        for item_id in sorted(proposed):
-            length, s = self.items[item_id]
+        found, own = {}, {}
+        for key in sorted(proposed):
+            length, s = self.items[key]
             if length not in own:
                 own[length] = shingles(words, length)
             share = len(s & own[length])
             if share >= len(s) - allowed_gaps(len(s), self.threshold):
-                found.append((item_id, share / len(s)))
-        return found
+                found[self.ids[key]] = max(found.get(self.ids[key], 0.0), share / len(s))
+        return list(found.items())
 
 
 def _indexes(benchmark: DataFrame, size: int, threshold: float, block: int):
     """Indexes of blocks of items; a block is bounded, the number of blocks is not."""
-    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").filter("item_id is not null and text is not null").distinct()
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").filter("text is not null").distinct()
     n = items.count()
     blocks = max(1, -(-n // block) + (n > block))
     for b in range(blocks):
-        rows = items.filter(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == b) if blocks > 1 else items
-        merged: dict[int, str] = {}
-        for item_id, text in sorted(map(tuple, rows.toLocalIterator())):
-            merged.setdefault(item_id, text)  # an id twice: its first text in order
-        yield ItemIndex.build(list(merged.items()), size, threshold)
+        # all texts of an id are in one block; those without an id are spread by their text
+        key = F.when(F.col("item_id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("item_id"))
+        rows = items.filter(F.pmod(key, F.lit(blocks)) == b) if blocks > 1 else items
+        yield ItemIndex.build(sorted(map(tuple, rows.toLocalIterator()), key=lambda r: (r[0] is None, r[0] or 0, r[1])), size, threshold)
 
 
 def find_items(docs: DataFrame, benchmark: DataFrame, size: int = SHINGLE_WORDS, threshold: float = THRESHOLD, block: int = BLOCK_ITEMS) -> DataFrame:
     """(doc_id, item_id, containment): every contained item of every row of ``docs``.
 
     Null and wordless texts and items match nothing; an item of fewer than ``size`` words is
-    one shingle of its length. Repeated rows give repeated matches. Other columns are not
+    one shingle of its length. All texts of an item_id are searched for; items without one
+    cannot be named here (``drop_contaminated`` knows them). Repeated rows give repeated matches. Other columns are not
     read. Nothing is shuffled: each block of items is one pass over the documents.
     """
     schema, out = "doc_id long, item_id long, containment double", None
     for index in _indexes(benchmark, size, threshold, block):
 
         def run(part: pa.RecordBatch, index=index) -> pa.RecordBatch:
-            hits = [(d, i, c) for d, t in zip(part.column(0).to_pylist(), texts(part.column(1))) for i, c in index.search(t)]
+            hits = [(d, i, c) for d, t in zip(part.column(0).to_pylist(), texts(part.column(1))) for i, c in index.search(t) if i is not None]
             return pa.record_batch([pa.array([h[k] for h in hits], kind) for k, kind in enumerate((pa.int64(), pa.int64(), pa.float64()))], ["doc_id", "item_id", "containment"])
 
         found = map_rows(docs.select("doc_id", "text"), run, schema)
@@ -143,7 +144,7 @@ def find_items(docs: DataFrame, benchmark: DataFrame, size: int = SHINGLE_WORDS,
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, size: int = SHINGLE_WORDS, threshold: float = THRESHOLD, block: int = BLOCK_ITEMS) -> DataFrame:
-    """The rows of ``docs`` that contain no item, with all their columns."""
+    """The rows of ``docs`` that contain no item, named or not, with all their columns."""
     at = docs.columns.index("text")
     for index in _indexes(benchmark, size, threshold, block):
 

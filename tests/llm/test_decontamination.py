@@ -52,3 +52,11 @@ def test_edge_cases(spark):
     left = C.drop_contaminated(d, b)
     assert left.schema == d.schema and left.count() == 2
     assert C.find_items(d.limit(0), b).collect() == [] and C.find_items(d, b.limit(0)).collect() == []
+
+
+def test_repeated_and_null_item_ids(spark):
+    d = spark.createDataFrame([(1, "x one two three y"), (2, "x four five six y"), (3, "x seven eight nine y"), (4, "clean")], "doc_id int, text string")
+    b = spark.createDataFrame([(1, "one two three"), (1, "four five six"), (None, "seven eight nine")], "item_id int, text string")
+    for block in (C.BLOCK_ITEMS, 1):
+        assert sorted((r.doc_id, r.item_id) for r in C.find_items(d, b, block=block).collect()) == [(1, 1), (2, 1)]
+        assert [r.doc_id for r in C.drop_contaminated(d, b, block=block).collect()] == [4]
