@@ -4,13 +4,15 @@ Offline, every vocabulary string that ends a word is encoded alone; those that c
 one token with their own id are proven whole. A text is cut into pre-tokens; a proven one
 counts as one token, the others are merged once each and remembered. The cutting is done
 here only for characters for which a probe of the library shows the same folding and the
-same cuts; a text with any other character, or with an added token's string, goes to the
-library as a whole.
+same cuts. Cuts never span white space, so a stretch between blanks that holds any other
+character, or an added token's string, is merged by the library on its own, and the rest of
+its text is still counted by words.
 """
 
 from __future__ import annotations
 
 import re
+import unicodedata
 from functools import lru_cache
 from pathlib import Path
 
@@ -23,8 +25,13 @@ from cubelens.llm.arrow import map_rows, texts
 
 VOCABULARY = "word_bpe_49k.json"
 LIMIT = 2048
-#: Characters that the probe tries; others go to the library.
-PROBED = range(0x250)
+#: Characters that the probe tries: alphabets, punctuation and symbols up to kana, ideographs, syllables, wide forms, pictographs.
+PROBED = (range(0x3100), range(0x4E00, 0xA000), range(0xAC00, 0xD7A4), range(0xFF00, 0xFFF0), range(0x1F300, 0x1FB00))
+#: Never tried: marks join with what stands before them, and so do the parts of Hangul syllables.
+_JOINS = ("M", "Cs", "Cn")
+_HANGUL_PARTS = range(0x1100, 0x1200)
+#: Stretches up to this length are remembered.
+SHORT = 64
 #: Merged pre-tokens that a task remembers; the memory is emptied when full.
 REMEMBERED = 200_000
 _CUT = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
@@ -60,46 +67,69 @@ def whole_words(tokenizer: Tokenizer) -> frozenset[str]:
 
 
 def safe_characters(tokenizer: Tokenizer, candidates=PROBED) -> str:
-    """Candidates that the library folds and cuts as this module does, alone and between letters, digits and marks."""
+    """Candidates that the library folds and cuts as this module does, alone and between letters, digits and signs."""
     fold, cut, safe = tokenizer.normalizer.normalize_str, tokenizer.pre_tokenizer.pre_tokenize_str, []
     inner = _byte_letters()
-
-    def library(text: str) -> list[bytes]:
-        return [bytes(inner[c] for c in piece) for piece, _ in cut(fold(text))]
-
-    for code in candidates:
+    for code in (x for r in candidates for x in r):
         c = chr(code)
-        if all(library(t) == [w.encode() for w in _CUT.findall(t.lower())] for t in (c, f"a{c}b", f"1{c}2", f"!{c}?", f" {c} ", f"{c}{c}", f"'{c}s", f"a'{c}", f"é{c}")):
+        if unicodedata.category(c).startswith(_JOINS) or code in _HANGUL_PARTS:
+            continue
+        probe = f"{c} a{c}b 1{c}2 !{c}?  {c} {c}{c} '{c}s a'{c} \u00e9{c} {c}"
+        if [bytes(inner[x] for x in piece) for piece, _ in cut(fold(probe))] == [w.encode() for w in _CUT.findall(probe.lower())]:
             safe.append(c)
     return "".join(safe)
 
 
+def _ranges(characters: str) -> str:
+    """The inside of a character class, runs of neighbours as ranges."""
+    codes, out, at = sorted(map(ord, characters)), [], 0
+    while at < len(codes):
+        end = at
+        while end + 1 < len(codes) and codes[end + 1] == codes[end] + 1:
+            end += 1
+        out.append(f"{re.escape(chr(codes[at]))}-{re.escape(chr(codes[end]))}")
+        at = end + 1
+    return "".join(out)
+
+
+@lru_cache(maxsize=4)
+def proof(tokenizer_json: str) -> tuple[frozenset[str], str]:
+    """Words proven whole and characters proven safe: done once, by the driver."""
+    library = Tokenizer.from_str(tokenizer_json)
+    return whole_words(library), safe_characters(library)
+
+
 class Counter:
     """Token counts of texts, equal to the library's."""
 
-    def __init__(self, tokenizer_json: str, limit: int = REMEMBERED):
+    def __init__(self, tokenizer_json: str, limit: int = REMEMBERED, proven: tuple[frozenset[str], str] | None = None):
         self.library = Tokenizer.from_str(tokenizer_json)
         self.library.no_truncation()
         self.library.no_padding()
-        self.whole = whole_words(self.library)
-        safe = safe_characters(self.library)
-        self.odd = re.compile(f"[^{re.escape(safe)}]")
-        added = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.added = re.compile("|".join(map(re.escape, added))) if added else None
+        self.whole, safe = proven or proof(tokenizer_json)
+        added = "".join(f"|{re.escape(t.content)}" for t in self.library.get_added_tokens_decoder().values())
+        other = f"(?:[^{_ranges(safe)}]{added})"
+        self.odd = re.compile(other)
+        self.stretch = re.compile(rf"[^ \t\n\r\f\v]*?{other}[^ \t\n\r\f\v]*")
         self.known = dict.fromkeys(self.whole, 1)
         self.limit = limit + len(self.known)
 
     def _merge(self, word: str) -> int:
         n = len(self.library.encode(word, add_special_tokens=False).ids)
-        if len(self.known) >= self.limit:
-            self.known = dict.fromkeys(self.whole, 1)
-        self.known[word] = n
+        if len(word) <= SHORT:
+            if len(self.known) >= self.limit:
+                self.known = dict.fromkeys(self.whole, 1)
+            self.known[word] = n
         return n
 
     def count(self, text: str) -> int:
-        if self.odd.search(text) or self.added and self.added.search(text):
-            return len(self.library.encode(text, add_special_tokens=False).ids)
-        known, n = self.known, 0
+        n = 0
+        if self.odd.search(text):
+            for stretch in self.stretch.findall(text):
+                k = self.known.get(stretch)
+                n += self._merge(stretch) if k is None else k
+            text = self.stretch.sub(" ", text)
+        known = self.known
         for w in _CUT.findall(text.lower()):
             k = known.get(w)
             n += k if k else self._merge(w)
@@ -108,8 +138,8 @@ class Counter:
 
 
 @lru_cache(maxsize=4)
-def _counter(tokenizer_json: str) -> Counter:
-    return Counter(tokenizer_json)
+def _counter(tokenizer_json: str, proven: tuple[frozenset[str], str]) -> Counter:
+    return Counter(tokenizer_json, proven=proven)
 
 
 def count_tokens(docs: DataFrame, path: str | None = None, limit: int = LIMIT) -> DataFrame:
@@ -120,9 +150,10 @@ def count_tokens(docs: DataFrame, path: str | None = None, limit: int = LIMIT) -
     filled up. Repeated rows and null doc_ids are kept; other columns are not read.
     """
     tokenizer_json = Path(path or default_path()).read_text()
+    proven = proof(tokenizer_json)
 
     def run(part: pa.RecordBatch) -> pa.RecordBatch:
-        counter, rows = _counter(tokenizer_json), texts(part.column(1))
+        counter, rows = _counter(tokenizer_json, proven), texts(part.column(1))
         n = [counter.count(t) for t in rows]
         return pa.record_batch(
             [part.column(0).cast(pa.int64()), pa.array([len(t.encode("utf-8", "surrogatepass")) for t in rows], pa.int64()), pa.array(n, pa.int64()), pa.array([k > limit for k in n], pa.bool_())],

@@ -23,6 +23,24 @@ def test_counts_equal_the_library(text):
     assert COUNTER.count(text) == lib(text)
 
 
+def test_one_odd_character_does_not_send_the_whole_text():
+    words = " ".join(["It\u2019s", "5\u20ac", "\u2014", "caf\u00e9", "\u65e5\u672c\u8a9e", "na\u0308ive", "<|endoftext|>x", "a\u3000b", "\u03a3\u03a3", "the\u0301", "\U0001f600"])
+    seen = []
+    c = T.Counter(open(T.default_path()).read())
+    merge = c._merge
+    c._merge = lambda w: seen.append(w) or merge(w)
+    assert c.count(words + " plain words") == lib(words + " plain words")
+    assert max(map(len, seen)) < 20 and {"na\u0308ive", "<|endoftext|>x"} <= set(seen)
+    for ch in "\u2019\u20ac\u2014\u65e5\u03b1\u0436":
+        assert not c.odd.search(ch)
+
+
+@settings(max_examples=500, deadline=None)
+@given(st.text(alphabet=st.characters(exclude_categories=["Cs"]), max_size=40))
+def test_any_characters(text):
+    assert COUNTER.count(text) == lib(text)
+
+
 def test_query_and_edges(spark, sf):
     d = spark.read.parquet(f"{sf}/documents.parquet")
     src = {r.doc_id: r.text for r in d.collect()}
