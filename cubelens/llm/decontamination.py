@@ -1,10 +1,14 @@
 """Benchmark items inside documents: containment search with size-partitioned MinHash sketches.
 
 An item is contained if at least ``threshold`` of its distinct word shingles occur in the
-document. Each item is sketched by the k shingles of smallest hash. Items are partitioned by
-size, and a partition's sketch size is one more than the shingles that a containing document
-may lack, so such a document holds at least one shingle of the sketch whatever its own
-length: the search misses nothing. What it proposes is verified by exact containment.
+document. Items are partitioned by size. A partition's signature size k is tuned by its largest
+item: the shingles that a containing document may lack, and MATCHES more. An item's signature
+are its k smallest shingle hashes (bottom-k MinHash). A document's signature in a partition are
+its shingle hashes up to the largest that any item of the partition has: documents are long and
+items short, so a sketch of fixed size would lose the item, one by threshold cannot. Signatures
+are compared: a containing document shares all but the lacking hashes with the item, so an
+item is proposed if that many are shared, which misses nothing; what is proposed is verified by
+exact containment of its shingles.
 """
 
 from __future__ import annotations
@@ -22,8 +26,10 @@ from pyspark.sql import functions as F
 from cubelens.llm.arrow import map_rows, texts
 
 SHINGLE_WORDS, THRESHOLD = 5, 0.8
-#: Items that are searched for in one pass over the documents; more are searched in blocks.
-BLOCK_ITEMS = 100_000
+#: Hashes that a containing document shares with an item's signature at least, if the item has so many.
+MATCHES = 4
+#: Items that are searched for in one pass over the documents, and the bytes of their texts; more are searched in blocks.
+BLOCK_ITEMS, BLOCK_BYTES = 100_000, 16 << 20
 _WORD = re.compile(r"\w+")
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0xFF51AFD7ED558CCD, 0xC4CEB9FE1A85EC53)]
 
@@ -59,19 +65,45 @@ def allowed_gaps(n: int, threshold: float) -> int:
     return n - int(np.ceil(threshold * n - 1e-9))
 
 
+@dataclass
+class Partition:
+    """Signatures of the items of one size class: their hashes, sorted, with the owners of each; the largest bounds a document's signature."""
+
+    length: int
+    hashes: np.ndarray
+    first: np.ndarray
+    owners: np.ndarray
+
+    @classmethod
+    def build(cls, length: int, members: dict[int, list[int]]) -> Partition:
+        pairs = sorted((h, key) for key, hs in members.items() for h in hs)
+        h = np.array([x for x, _ in pairs], "<u8")
+        known, first = np.unique(h, return_index=True)
+        return cls(length, known, np.append(first, len(h)), np.array([k for _, k in pairs], np.int64))
+
+    def shared(self, signature: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Items with a hash in a document's sorted distinct shingle hashes, and how many they share."""
+        own = signature[: np.searchsorted(signature, self.hashes[-1], side="right")]
+        at = np.searchsorted(self.hashes, own)
+        hit = at[self.hashes[at] == own]
+        if not len(hit):
+            return hit, hit
+        return np.unique(np.concatenate([self.owners[self.first[i] : self.first[i + 1]] for i in hit.tolist()]), return_counts=True)
+
+
 @dataclass
 class ItemIndex:
-    """Sketches of a block of items: sorted hashes by shingle length, and the items of each hash."""
+    """Signatures of a block of items by size class, and the items themselves."""
 
     items: dict[int, tuple[int, set]]
-    sketch: dict[int, np.ndarray]
-    owners: dict[int, dict[int, list[int]]]
+    least: np.ndarray
+    partitions: list[Partition]
     threshold: float
     ids: list[int | None]
 
     @classmethod
     def build(cls, rows: list[tuple[int | None, str]], size: int = SHINGLE_WORDS, threshold: float = THRESHOLD) -> ItemIndex:
-        items, owners, parts = {}, defaultdict(lambda: defaultdict(list)), defaultdict(list)
+        items, parts, least = {}, defaultdict(list), np.zeros(len(rows), np.int64)
         for key, (_, text) in enumerate(rows):  # ids may repeat or be null: the place is the key
             w = words_of(text)
             if w:
@@ -79,29 +111,32 @@ class ItemIndex:
                 s = shingles(w, length)
                 items[key] = (length, s)
                 parts[length, len(s).bit_length()].append((key, s))
-        for (length, _), members in parts.items():
-            k = 1 + allowed_gaps(max(len(s) for _, s in members), threshold)
+        partitions = []
+        for (length, _), members in sorted(parts.items()):
+            k = MATCHES + allowed_gaps(max(len(s) for _, s in members), threshold)
+            signatures = {}
             for key, s in members:
-                for h in sorted({int(shingle_hashes(word_hashes(list(x)), length)[0]) for x in s})[:k]:
-                    owners[length][h].append(key)
-        sketch = {length: np.array(sorted(hs), "<u8") for length, hs in owners.items()}
-        return cls(items, sketch, {k: dict(v) for k, v in owners.items()}, threshold, [i for i, _ in rows])
+                signatures[key] = sorted({int(shingle_hashes(word_hashes(list(x)), length)[0]) for x in s})[:k]
+                # equal hashes of different shingles count once, which a document may share all the same
+                least[key] = max(1, len(signatures[key]) - allowed_gaps(len(s), threshold))
+            partitions.append(Partition.build(length, signatures))
+        return cls(items, least, partitions, threshold, [i for i, _ in rows])
 
     def search(self, text: str | None) -> list[tuple[int | None, float]]:
         """(item, containment) of the items that the text contains; of an id's texts the one contained most."""
         words = words_of(text)
         if not words:
             return []
-        hashed, proposed = word_hashes(words), set()
-        for length, known in self.sketch.items():
-            h = shingle_hashes(hashed, length)
-            if len(h):
-                at = np.searchsorted(known, h)
-                at[at == len(known)] = 0
-                for x in set(h[known[at] == h].tolist()):
-                    proposed.update(self.owners[length][x])
+        hashed, signature, proposed = word_hashes(words), {}, []
+        for p in self.partitions:
+            if p.length > len(words):
+                continue
+            if p.length not in signature:
+                signature[p.length] = np.unique(shingle_hashes(hashed, p.length))
+            keys, n = p.shared(signature[p.length])
+            proposed += keys[n >= self.least[keys]].tolist()
         found, own = {}, {}
-        for key in sorted(proposed):
+        for key in proposed:
             length, s = self.items[key]
             if length not in own:
                 own[length] = shingles(words, length)
@@ -112,10 +147,10 @@ class ItemIndex:
 
 
 def _indexes(benchmark: DataFrame, size: int, threshold: float, block: int):
-    """Indexes of blocks of items; a block is bounded, the number of blocks is not."""
+    """Indexes of blocks of items; a block is bounded in items and bytes, the number of blocks is not."""
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").filter("text is not null").distinct()
-    n = items.count()
-    blocks = max(1, -(-n // block) + (n > block))
+    n, volume = items.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    blocks = max(1, -(-n // block) + (n > block), -(-volume // BLOCK_BYTES))
     for b in range(blocks):
         # all texts of an id are in one block; those without an id are spread by their text
         key = F.when(F.col("item_id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("item_id"))

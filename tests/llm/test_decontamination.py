@@ -1,3 +1,5 @@
+import numpy as np
+
 from cubelens.llm import decontamination as C
 
 
@@ -44,6 +46,35 @@ def test_partial_containment_at_the_border(spark):
     assert {(r.doc_id, r.item_id, round(r.containment, 9)) for r in C.find_items(d, b).collect()} == brute(docs, items)
 
 
+def test_signatures_propose_what_contains_and_little_else():
+    import random
+
+    rng = random.Random(5)
+    rows = [(k, " ".join(f"w{rng.randrange(400)}" for _ in range(n))) for k, n in enumerate([6, 7, 9, 12, 12, 20, 33, 40, 64, 90, 150, 300])]
+    index = C.ItemIndex.build(rows)
+    assert len({(p.length, len(p.hashes)) for p in index.partitions}) > 4
+    for p in index.partitions:  # a document's signature is cut at the partition's largest hash
+        text = " ".join(f"w{rng.randrange(400)}" for _ in range(3000))
+        whole = np.unique(C.shingle_hashes(C.word_hashes(C.words_of(text + " " + rows[0][1])), p.length))
+        keys, n = p.shared(whole)
+        assert all(n[i] == len(set(whole.tolist()) & {int(h) for h, a, z in zip(p.hashes, p.first, p.first[1:]) if k in p.owners[a:z]}) for i, k in enumerate(keys.tolist()))
+    docs = {}
+    for k, t in rows:
+        w = t.split()
+        for lost in range(0, 4):
+            docs[10 * k + lost] = " ".join(x if i % max(2, len(w) // (lost + 1)) or not lost else "zz" for i, x in enumerate(w)) + " tail" * 50
+    want = brute(docs, dict(rows))
+    assert {(d, i, round(c, 9)) for d, t in docs.items() for i, c in index.search(t)} == want
+
+
+def test_very_long_text_and_blocks_by_bytes(spark, monkeypatch):
+    monkeypatch.setattr(C, "BLOCK_BYTES", 40)
+    items = {k: f"alpha{k} beta gamma{k} delta eps zeta{k}" for k in range(6)}
+    d = spark.createDataFrame([(1, "x y " * 300000 + items[3] + " z" * 1000), (2, items[5])], "doc_id long, text string")
+    b = spark.createDataFrame(list(items.items()), "item_id long, text string")
+    assert sorted((r.doc_id, r.item_id) for r in C.find_items(d, b).collect()) == [(1, 3), (2, 5)]
+
+
 def test_edge_cases(spark):
     d = spark.createDataFrame([(1, None, 7), (None, "A b, c", 7), (2, "", None), (3, "x a B c!", 7), (3, "x a B c!", 7)], "doc_id int, text string, item_id int")
     b = spark.createDataFrame([(1, "a b c"), (1, "a b c"), (2, None), (None, "x"), (4, " ")], "item_id int, text string")
