@@ -2,17 +2,25 @@
 
 from __future__ import annotations
 
+import re
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Used only where the session names no folder (single-machine tests).
+#: Used only where the session names no folder and all of it runs in one process.
 FALLBACK_DIR = "/tmp/checkpoints"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session."""
-    return (spark.conf.get("spark.checkpoint.dir", "") or FALLBACK_DIR).rstrip("/")
+    """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
+
+    Without it only a local session gets a folder; on a cluster a folder of one machine would
+    lose data, so that is an error.
+    """
+    named = spark.conf.get("spark.checkpoint.dir", "")
+    if not named and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir is not set: name a folder that driver and executors share")
+    return (named or FALLBACK_DIR).rstrip("/")
 
 
 def materialize(df: DataFrame, name: str = "t") -> DataFrame:
@@ -25,14 +33,19 @@ def materialize(df: DataFrame, name: str = "t") -> DataFrame:
     path = f"{shared_dir(spark)}/cubelens/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
-    out._shared_path = path
+    out._shared_paths = [path]
     return out
 
 
+def keep(df: DataFrame, *tables: DataFrame | None) -> DataFrame:
+    """``df``, remembering that it is read from these written tables, so that ``release(df)`` deletes them."""
+    df._shared_paths = [p for t in tables for p in getattr(t, "_shared_paths", [])]
+    return df
+
+
 def release(df: DataFrame | None) -> None:
-    """Delete the files behind a frame that ``materialize`` returned."""
-    path = getattr(df, "_shared_path", None)
-    if path:
+    """Delete the files behind a frame that ``materialize`` or ``keep`` returned; others have none."""
+    for path in getattr(df, "_shared_paths", []):
         spark = df.sparkSession
         place = spark._jvm.org.apache.hadoop.fs.Path(path)
         place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)

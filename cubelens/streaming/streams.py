@@ -68,7 +68,7 @@ class Merged:
         self.done.add(batch)
         if old:
             gone = self.spark.range(0)
-            gone._shared_path = old
+            gone._shared_paths = [old]
             release(gone)
 
     def table(self) -> DataFrame:
