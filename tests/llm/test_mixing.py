@@ -69,6 +69,33 @@ def test_copies_follow_the_budget(spark):
     assert len({r.block for r in got.values() if r.source == "hot"}) > 2
 
 
+def test_repeats_are_limited_at_any_budget(spark):
+    docs = [(i, "w " * 9 + "w", "big" if i % 10 else "small") for i in range(4000)]
+    d = spark.createDataFrame(docs, "doc_id long, text string, source string")
+    total = 40000
+    for budget, limit in ((total // 10, 2.0), (total, 1.5), (3 * total, 4.0), (5 * total, 4.0)):
+        rows = M.mix_sources(d, 0.999, limit, budget).collect()
+        passes = {r.source: r.passes for r in rows}
+        assert max(passes.values()) <= limit + 1e-6, (budget, limit, passes)
+        assert max(r.copies for r in rows) <= limit + 1
+        spent = sum(r.copies * r.n_tokens for r in rows)
+        assert abs(spent - min(budget, limit * total)) <= 20
+
+
+def test_rows_without_id_are_spread_over_blocks(spark):
+    d = spark.createDataFrame([(None, f"a b {k}", "x") for k in range(5000)], "doc_id long, text string, source string")
+    out = M.mix_sources(d)
+    n = [r["count"] for r in out.groupBy("block").count().collect()]
+    assert len(n) == 5 and max(n) < 1500
+    from cubelens.storage import release
+
+    paths = out._shared_paths
+    release(out)
+    import os
+
+    assert len(paths) == 2 and not any(os.path.exists(p.removeprefix("file:")) for p in paths)
+
+
 def test_edge_cases(spark):
     s = "doc_id int, text string, source string, weight string, copies int"
     rows = [(1, None, None, "a", 1), (1, "a b", None, "a", 1), (None, "c", "x", None, None), (2, "", "x", "", 0), (2, "", "x", "", 0), (3, "q " * 50000, "y", "", 0)]
