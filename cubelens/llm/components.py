@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from cubelens.storage import materialize, release
+from cubelens.storage import keep, materialize, release
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
@@ -45,4 +45,4 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     else:
         if seen[0]:
             raise RuntimeError("components did not settle")
-    return now.select(F.col("u").alias("node"), F.col("v").alias("root"))
+    return keep(now.select(F.col("u").alias("node"), F.col("v").alias("root")), now)

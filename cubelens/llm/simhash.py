@@ -18,10 +18,11 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from cubelens.llm.arrow import map_rows, slices, texts
 from cubelens.llm.components import connected_components
-from cubelens.storage import materialize, release
+from cubelens.storage import keep, materialize, release
 
 SHINGLE_WORDS, SEED, MAX_BITS = 4, 42, 4
 BLOCK = 31
@@ -94,20 +95,31 @@ def anchors(fps: np.ndarray, max_bits: int = MAX_BITS) -> tuple[np.ndarray, np.n
     return np.concatenate(rows), np.concatenate(keys)
 
 
-def _forest(fps: np.ndarray, max_bits: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Edges that connect whatever links of ``max_bits`` connect among distinct fingerprints."""
-    edges = []
-    if len(fps) > LARGE:
-        width = -(-64 // (max_bits + 1))
-        split = [(fps >> np.uint64(at)) & np.uint64((1 << min(width, 64 - at)) - 1) for at in range(0, 64, width)]
-        if max(np.unique(x, return_counts=True)[1].max() for x in split) < len(fps):
-            for x in split:  # a link leaves one of the pieces equal
-                order = np.argsort(x, kind="stable")
-                for group in np.split(fps[order], np.flatnonzero(np.diff(x[order])) + 1):
-                    if len(group) > 1:
-                        edges += _walk(group, max_bits)
-            return edges
-    return _walk(fps, max_bits)
+def _outside(fps: np.ndarray, block: int) -> np.ndarray:
+    """The 33 bits that the anchor's block leaves."""
+    top = fps >> np.uint64(2 * BLOCK)
+    rest = fps >> np.uint64(BLOCK) & np.uint64((1 << BLOCK) - 1) if block == 0 else fps & np.uint64((1 << BLOCK) - 1)
+    return rest | top << np.uint64(BLOCK)
+
+
+def _forest(fps: np.ndarray, max_bits: int, block: int = 0) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Edges that connect whatever links of ``max_bits`` connect among distinct fingerprints at an anchor of ``block``.
+
+    A large group is cut by pieces of the bits outside of the block, in which its members are
+    not already alike: a link leaves one of the pieces equal.
+    """
+    if len(fps) <= LARGE:
+        return _walk(fps, max_bits)
+    edges, rest, at = [], _outside(fps, block), 0
+    for k in range(max_bits + 1):
+        width = (64 - BLOCK - at) // (max_bits + 1 - k)
+        x = rest >> np.uint64(at) & np.uint64((1 << width) - 1)
+        at += width
+        order = np.argsort(x, kind="stable")
+        for group in np.split(fps[order], np.flatnonzero(np.diff(x[order])) + 1):
+            if len(group) > 1:
+                edges += _walk(group, max_bits)
+    return edges
 
 
 def _walk(left: np.ndarray, max_bits: int) -> list[tuple[np.ndarray, np.ndarray]]:
@@ -139,7 +151,7 @@ def _link_runs(key: np.ndarray, fp: np.ndarray, max_bits: int) -> list[tuple[np.
                 near = np.bitwise_count(m[:, i] ^ m[:, j]) <= max_bits
                 edges.append((m[near, i], m[near, j]))
     for at, n in zip(start[size > SMALL], size[size > SMALL]):
-        edges += _forest(np.unique(fp[at : at + n]), max_bits)
+        edges += _forest(np.unique(fp[at : at + n]), max_bits, int(key[at]) >> BLOCK)
     return edges
 
 
@@ -195,30 +207,51 @@ def near_duplicates(docs: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
     has a doc_id, component_id is null. Repeated rows are all returned. Other columns of
     ``docs`` are not read.
     """
+    found = _classes(docs, max_bits)
+    return keep(found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "n_links"), found)
+
+
+def _classes(docs: DataFrame, max_bits: int) -> DataFrame:
+    """(doc_id, fp, root, component_id, n_links), one row per row of ``docs``; root names a class by one of its fingerprints."""
     fps = materialize(fingerprints(docs), "fps")
     reps = materialize(fps.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "reps")
     roots = connected_components(links(reps, max_bits))
     named = reps.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     total = named.groupBy("root").agg(F.min("rep").alias("component_id"), F.sum("n").alias("n"))
-    classes = materialize(named.select("fp", "root").join(total, "root").select("fp", "component_id", (F.col("n") - 1).alias("n_links")), "classes")
+    classes = materialize(named.select("fp", "root").join(total, "root").select("fp", "root", "component_id", (F.col("n") - 1).alias("n_links")), "classes")
     release(reps)
-    return fps.join(classes, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "n_links")
+    release(roots)
+    return keep(fps.join(classes, "fp").select("doc_id", "fp", "root", "component_id", "n_links"), fps, classes)
 
 
 def keep_one(docs: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
     """``docs`` with one row of each near-duplicate class: that of the smallest doc_id.
 
-    Rows without a doc_id stay. Of rows that repeat the kept doc_id one stays, the first by
-    text. Columns and their order are those of ``docs``.
+    Rows without a doc_id stay. Of rows that repeat the kept doc_id inside a class one stays, the
+    first by text, then by its other columns as JSON; an id that repeats with texts of different
+    classes is decided about in each class. Columns may be of any type and keep their order.
     """
-    found = materialize(near_duplicates(docs, max_bits).filter("doc_id is not null").groupBy("doc_id").agg(F.min("component_id").alias("c"), F.count("*").alias("n")), "kept")
-    gone = found.filter("c <> doc_id").select("doc_id")
-    twice = found.filter("c = doc_id and n > 1").select("doc_id")
+    found = _classes(docs, max_bits)
+    ids = materialize(found.filter("doc_id is not null").groupBy("doc_id").agg(F.max(F.struct("root", "component_id")).alias("c"), F.count("*").alias("n")), "kept")
+    gone = ids.filter("n > 1 or c.component_id <> doc_id").select("doc_id")
     # the ids that go are hashed, the texts are not sorted; the plan is the same at every size
     left = docs.join(gone.hint("shuffle_hash"), "doc_id", "left_anti").select(*docs.columns)
+    twice = ids.filter("n > 1").select("doc_id")
     if not twice.take(1):
-        return left
-    first = left.join(twice, "doc_id", "left_semi").select(*docs.columns)
-    first = first.groupBy("doc_id").agg(F.min(F.struct(*[F.col(f"`{c}`") for c in ["text", *[c for c in docs.columns if c not in ("doc_id", "text")]]])).alias("r"))
-    first = first.select(*[F.col("doc_id") if c == "doc_id" else F.col("r")[c].alias(c) for c in docs.columns])
-    return left.join(twice, "doc_id", "left_anti").select(*docs.columns).unionByName(first)
+        release(found)
+        return keep(left, ids)
+    # ids that repeat: decided by the row's own fingerprint
+    again = docs.join(twice.hint("shuffle_hash"), "doc_id", "left_semi").select(*docs.columns)
+    place = docs.columns.index("text")
+
+    def run(part: pa.RecordBatch) -> pa.RecordBatch:
+        fp = np.array([fingerprint(t) for t in texts(part.column(place))], "<u8")
+        return pa.RecordBatch.from_arrays([*part.columns, pa.array(fp.view("<i8"))], names=[*part.schema.names, "fp_"])
+
+    marked = map_rows(again, run, StructType([*again.schema.fields, StructField("fp_", LongType())]))
+    firsts = found.filter("component_id = doc_id").select(F.col("fp").alias("f"), F.col("root").alias("r"), F.col("component_id").alias("c")).distinct()
+    marked = marked.join(firsts, (F.col("fp_") == F.col("f")) & (F.col("doc_id").cast("long") == F.col("c")))
+    order = F.struct("text", F.to_json(F.struct(*[F.col(f"`{c}`") for c in docs.columns])))
+    one = marked.groupBy("r").agg(F.min_by(F.struct(*[F.col(f"`{c}`") for c in docs.columns]), order).alias("row"))
+    out = left.unionByName(one.select(*[F.col("row")[c].alias(c) for c in docs.columns]))
+    return keep(out, found, ids)

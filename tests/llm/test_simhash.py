@@ -76,7 +76,31 @@ def test_forest_connects_what_links_connect():
             groups.setdefault(find(x), set()).add(x)
         return sorted(map(sorted, groups.values()))
 
-    assert comps(S._forest(f, 4)) == comps(S._walk(f, 4))
+    for block in (0, 1):
+        assert comps(S._forest(f, 4, block)) == comps(S._walk(f, 4))
+
+
+def test_large_groups_are_cut_outside_of_the_anchor_block():
+    """Members of a group agree on the anchor's block, so pieces of it would not cut the group."""
+    rng = np.random.default_rng(3)
+    for block in (0, 1):
+        fixed = np.uint64(5 << (block * S.BLOCK))
+        keep = np.uint64(((1 << 64) - 1) ^ (((1 << S.BLOCK) - 1) << (block * S.BLOCK)))
+        f = np.unique(rng.integers(0, 2**64, 20000, dtype=np.uint64) & keep | fixed)
+        rest = S._outside(f, block)
+        assert len(np.unique(rest)) == len(f)
+        sizes, walk = [], S._walk
+        try:
+            S._walk = lambda g, bits: sizes.append(len(g)) or walk(g, bits)
+            edges = S._forest(f, 4, block)
+        finally:
+            S._walk = walk
+        assert max(sizes) < len(f) / 30
+        near = {(min(a, b), max(a, b)) for u, v in edges for a, b in zip(u.tolist(), v.tolist())}
+        at = f[:300]
+        for x in at.tolist():
+            hit = f[(np.bitwise_count(f ^ np.uint64(x)) <= 4) & (f != np.uint64(x))]
+            assert not len(hit) or any(x in p for p in near)
 
 
 def test_query_matches_brute_force(spark, sf):
@@ -103,6 +127,15 @@ def test_edge_cases(spark):
     assert len(one) == 1
 
 
+def test_keep_one_with_repeated_ids_and_maps(spark):
+    a, b, c = ("alpha beta gamma delta epsilon " * 9, "one two three four five six " * 9, "north east south west up down " * 9)
+    rows = [(1, a, {"k": 1}), (1, b, {"k": 2}), (2, a, {"k": 3}), (3, b, {}), (3, c, None), (4, c, {"z": 0}), (3, c, {"y": 1}), (None, a, None)]
+    d = spark.createDataFrame(rows, "doc_id int, text string, m map<string,int>")
+    got = S.keep_one(d)
+    assert got.schema.simpleString() == d.schema.simpleString()
+    assert sorted((r.doc_id or 0, r.text) for r in got.collect()) == sorted([(1, a), (1, b), (3, c), (0, a)])
+
+
 def test_components_of_a_long_path(spark):
     n = 40
     e = spark.range(n).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"))
