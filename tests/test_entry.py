@@ -25,6 +25,39 @@ def test_works_without_the_llm_folders(tmp_path):
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env={**os.environ, "PYTHONPATH": str(tmp_path)})
 
 
+def test_a_broken_subpackage_is_not_hidden(tmp_path):
+    import os
+    import shutil
+
+    root = os.path.dirname(os.path.abspath(entry.__file__))
+    shutil.copytree(f"{root}/cubelens", tmp_path / "cubelens", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copy(f"{root}/__spark_entry__.py", tmp_path)
+    (tmp_path / "cubelens" / "llm").mkdir()
+    env = {**os.environ, "PYTHONPATH": str(tmp_path)}
+    run = lambda code: subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env=env, capture_output=True, text=True)
+    assert run("import __spark_entry__ as e; assert len(e.queries()) > 100").returncode == 0  # only an empty folder is left
+    (tmp_path / "cubelens" / "llm" / "queries.py").write_text("import surely_no_such_module")
+    assert "surely_no_such_module" in run("import __spark_entry__ as e; e.queries()").stderr
+
+
+def test_no_shared_folder_is_an_error_on_a_cluster():
+    import pytest
+
+    from cubelens import storage
+
+    class Cluster:
+        class conf:
+            get = staticmethod(lambda key, default: default)
+
+        class sparkContext:
+            master = "spark://somewhere:7077"
+
+    with pytest.raises(RuntimeError):
+        storage.shared_dir(Cluster)
+    Cluster.sparkContext.master = "local[4]"
+    assert storage.shared_dir(Cluster) == storage.FALLBACK_DIR
+
+
 def test_sql_functions(spark):
     from cubelens import sql
 
