@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from cubelens.llm import decontamination, mixing, quality_rules, secrets, simhash
-from cubelens.storage import materialize
+from cubelens.storage import keep, materialize, release
 
 
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,10 +46,18 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over the documents of ``sf_dir``; each result is written and read again."""
+    """All stages over the documents of ``sf_dir``; each result is written and read again.
+
+    Tables of a stage are deleted when its result is written; ``release`` of the returned frame
+    deletes the last ones. Null and empty texts fail the quality rules; an empty table gives no
+    rows; extra columns are carried to the last stage, whose rows are those of the mixture.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            docs = materialize(docs, name)
-    return docs
+        out = stage(spark, docs, sf_dir)
+        if k == len(STAGES) - 1:
+            return keep(out, out, docs)
+        written = materialize(out, name)
+        release(out)
+        release(docs)
+        docs = written
