@@ -4,9 +4,9 @@ Offline, every vocabulary string that ends a word is encoded alone; those that c
 one token with their own id are proven whole. A text is cut into pre-tokens; a proven one
 counts as one token, the others are merged once each and remembered. The cutting is done
 here only for characters for which a probe of the library shows the same folding and the
-same cuts. Cuts never span white space, so a stretch between blanks that holds any other
-character, or an added token's string, is merged by the library on its own, and the rest of
-its text is still counted by words.
+same cuts. Cuts never span white space, so texts are counted stretch by stretch between
+blanks, and stretches are remembered; one that holds any other character, or an added token's
+string, is merged by the library on its own.
 """
 
 from __future__ import annotations
@@ -32,9 +32,10 @@ _JOINS = ("M", "Cs", "Cn")
 _HANGUL_PARTS = range(0x1100, 0x1200)
 #: Stretches up to this length are remembered.
 SHORT = 64
-#: Merged pre-tokens that a task remembers; the memory is emptied when full.
-REMEMBERED = 200_000
+#: Stretches, and merged pre-tokens, that a task remembers; a memory is emptied when full.
+REMEMBERED = 300_000
 _CUT = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
+_CUT_SPACE = regex.compile(r"\s")
 _END = "</w>"
 
 
@@ -75,6 +76,8 @@ def safe_characters(tokenizer: Tokenizer, candidates=PROBED) -> str:
         if unicodedata.category(c).startswith(_JOINS) or code in _HANGUL_PARTS:
             continue
         probe = f"{c} a{c}b 1{c}2 !{c}?  {c} {c}{c} '{c}s a'{c} \u00e9{c} {c}"
+        if c.isspace() != bool(_CUT_SPACE.match(c)):
+            continue
         if [bytes(inner[x] for x in piece) for piece, _ in cut(fold(probe))] == [w.encode() for w in _CUT.findall(probe.lower())]:
             safe.append(c)
     return "".join(safe)
@@ -111,29 +114,39 @@ class Counter:
         other = f"(?:[^{_ranges(safe)}]{added})"
         self.odd = re.compile(other)
         self.stretch = re.compile(rf"[^ \t\n\r\f\v]*?{other}[^ \t\n\r\f\v]*")
-        self.known = dict.fromkeys(self.whole, 1)
-        self.limit = limit + len(self.known)
+        self.limit, self.known, self.merged = limit, {}, {}
 
     def _merge(self, word: str) -> int:
-        n = len(self.library.encode(word, add_special_tokens=False).ids)
+        return len(self.library.encode(word, add_special_tokens=False).ids)
+
+    def _remember(self, memory: dict[str, int], word: str, n: int) -> int:
         if len(word) <= SHORT:
-            if len(self.known) >= self.limit:
-                self.known = dict.fromkeys(self.whole, 1)
-            self.known[word] = n
+            if len(memory) >= self.limit:
+                memory.clear()
+            memory[word] = n
         return n
 
-    def count(self, text: str) -> int:
+    def _stretch(self, stretch: str) -> int:
+        """Tokens of a stretch of safe characters without blanks: its pre-tokens that are proven whole count one, the rest is merged."""
         n = 0
+        for w in _CUT.findall(stretch):
+            if w in self.whole:
+                n += 1
+            else:
+                k = self.merged.get(w)
+                n += self._remember(self.merged, w, self._merge(w)) if k is None else k
+        return self._remember(self.known, stretch, n)
+
+    def count(self, text: str) -> int:
+        n, known = 0, self.known
         if self.odd.search(text):
             for stretch in self.stretch.findall(text):
-                k = self.known.get(stretch)
-                n += self._merge(stretch) if k is None else k
+                k = known.get(stretch)
+                n += self._remember(known, stretch, self._merge(stretch)) if k is None else k
             text = self.stretch.sub(" ", text)
-        known = self.known
-        for w in _CUT.findall(text.lower()):
-            k = known.get(w)
-            n += k if k else self._merge(w)
-            known = self.known
+        for stretch in text.lower().split():
+            k = known.get(stretch)
+            n += self._stretch(stretch) if k is None else k
         return n
 
 
