@@ -16,10 +16,9 @@ def brute(text):
         spots += at
         own |= {label} if at else set()
     best, labels = 0.0, set(own)
-    for s in range(0, len(w), L.STRIDE):
-        have = set(w[s : s + L.WINDOW])
-        for t in L.templates():
-            k = len(have & set(t.tokens))
+    for t in L.templates():
+        for s in range(0, len(w), t.stride):
+            k = len(set(w[s : s + 2 * t.stride]) & set(t.tokens))
             if k >= t.needed:
                 labels.add(t.label)
                 best = max(best, k / len(t.tokens))
@@ -53,6 +52,25 @@ def test_broken_notices(spark):
     check(L.license_report(d).collect(), dict(enumerate(texts)))
 
 
+def test_whole_license_texts_wherever_they_stand(spark):
+    """A license text of any length is found at every offset, and templates of a caller too."""
+    rng = random.Random(6)
+    texts = []
+    for t, _ in L.LICENSE_TEXTS:
+        for at in (0, 31, 100, 255, 700):
+            texts.append(" ".join([f"f{k}" for k in range(at)] + [t] + [f"g{k}" for k in range(rng.randrange(300))]))
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    rows = {r.doc_id: r for r in L.license_report(d).collect()}
+    check(rows.values(), dict(enumerate(texts)))
+    for i, (_, label) in enumerate(x for x in L.LICENSE_TEXTS for _ in range(5)):
+        assert label in rows[i].labels.split(",") and rows[i].score == 1
+    assert max(len(x.tokens) for x in L.templates()) > 33
+    assert all(x.stride + 1 >= len(WORD.findall(t.lower())) for x, (t, _) in zip(L.templates(), L.TEMPLATES))
+    own = " ".join(f"own{k}" for k in range(900))
+    got = L.license_report(spark.createDataFrame([(1, "x " * 333 + own), (2, "own1 own2")], "doc_id long, text string"), texts=((own, "own"),)).collect()
+    assert sorted((r.doc_id, r.labels) for r in got) == [(1, "own"), (2, "")]
+
+
 def test_edge_cases(spark):
     s = "doc_id int, text string, labels string, key int"
     d = spark.createDataFrame([(1, None, "a", 1), (2, " .,; ", None, None), (None, "Under the MIT license", "b", 2), (3, "under the mit license", "b", 2), (3, "under the mit license", "b", 2)], s)
