@@ -61,13 +61,14 @@ def tie_order(spec: DimensionSpec, row_key: tuple[str, ...], tie: str = "keyed")
 
     ``keyed``: a digest of the dimension's name and the row's key, so that ties of two
     dimensions are independent of each other and make no false pattern. ``fast``: the same
-    by a 64-bit hash. ``columns``: the row's key itself, the same in all dimensions.
+    by two 64-bit hashes. ``columns``: the row's key itself, the same in all dimensions. Digests
+    of 128 bits order all rows: the key need not be carried along.
     """
     key = [F.expr(k) for k in row_key]
     if tie == "keyed":
-        return [F.md5(F.concat_ws(":", F.lit(spec.name), *[k.cast("string") for k in key])), *key]
+        return [F.unhex(F.md5(F.concat_ws(":", F.lit(spec.name), *[k.cast("string") for k in key])))]
     if tie == "fast":
-        return [F.xxhash64(F.lit(spec.name), *key), *key]
+        return [F.xxhash64(F.lit(spec.name), *key), F.xxhash64(*key, F.lit(spec.name))]
     return key
 
 

@@ -49,7 +49,7 @@ def explore(df: DataFrame, specs: list[DimensionSpec], row_key: tuple[str, ...],
     """Ranked images (group_rank, image_rank, xdim, ydim, zdim, slab, score) of a subset of a table."""
     s = Session.prepare(df, specs, row_key)
     cells = materialize(s.cube(s.bin(where, bins), bins, measures, strategy), "cube")
-    scored = recommend.score_images(s.images(cells, bins, z_parts, value), bins)
+    scored = recommend.score_cube(cells, specs, bins, z_parts, value)
     return recommend.recommend(scored, m, n)
 
 

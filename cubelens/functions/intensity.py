@@ -19,23 +19,35 @@ def heat_blue(v: Column, s: Column) -> Column:
     return F.when((s > 0) & (v <= s), F.least(F.lit(1.0), 1 - v / F.nullif(s, F.lit(0.0)))).otherwise(0.0)
 
 
-def with_expected(cells: DataFrame, bins: int, scope: str = "slab") -> DataFrame:
+def slab_share(bins: int, z_parts: int) -> Column:
+    """Share of the third axis' bins that lie in a slab: by the plan, whether rows fall into it or not."""
+    if z_parts <= 1:
+        return F.lit(1.0)
+    held = [sum(1 for b in range(bins) if b * z_parts // bins == s) / bins for s in range(z_parts)]
+    return F.element_at(F.lit(held), F.col("slab") + 1)
+
+
+def with_expected(cells: DataFrame, bins: int, scope: str = "slab", z_parts: int = 1) -> DataFrame:
     """``cells`` with ``expected`` = S: a total divided by the number of cells of an image.
 
     ``slab``: the image's own total. ``dataset_share``: the total over all slabs of the same
-    three dimensions, times the slab's share of bins. ``dataset``: that total itself.
+    three dimensions, times the slab's share of the axis' bins (``z_parts`` slabs, some of which
+    may be narrower or empty). ``dataset``: that total itself.
     """
+    if scope not in ("slab", "dataset", "dataset_share"):
+        raise ValueError(scope)
     keys = IMAGE if scope == "slab" else IMAGE[:3]
-    total = cells.groupBy(*keys).agg(F.sum("v").alias("total_"), F.countDistinct("slab").alias("slabs_"))
+    total = cells.groupBy(*keys).agg(F.sum("v").alias("total_"))
+    out = cells.join(total, keys)
     share = F.col("total_") / F.lit(float(bins * bins))
     if scope == "dataset_share":
-        share = share / F.col("slabs_")
-    return cells.join(total.select(*keys, share.alias("expected")), keys)
+        share = share * slab_share(bins, z_parts)
+    return out.withColumn("expected", share).drop("total_")
 
 
-def diverging(cells: DataFrame, bins: int, scope: str = "slab") -> DataFrame:
+def diverging(cells: DataFrame, bins: int, scope: str = "slab", z_parts: int = 1) -> DataFrame:
     """Red above and blue below the expected value; black and marked where it is not positive."""
-    out = with_expected(cells, bins, scope)
+    out = with_expected(cells, bins, scope, z_parts)
     v, s = F.col("v"), F.col("expected")
     return out.select("*", heat_red(v, s).alias("r"), F.lit(0.0).alias("g"), heat_blue(v, s).alias("b"), (s <= 0).alias("degenerate"))
 

@@ -8,23 +8,24 @@ from pyspark.sql.window import Window
 
 from cubelens.dimension import DimensionSpec
 from cubelens.operators.binning import _div, bin_type, width
+from cubelens.operators.rank import running
+from cubelens.storage import keep
 
 
 def bin_equidepth_whole(df: DataFrame, spec: DimensionSpec, bins: int) -> DataFrame:
     """``b_<dim>`` and ``width``: equal depth without splitting a value; bins differ in population and are drawn that wide.
 
-    Distinct values are counted first; their running total decides, and joins back by value.
+    Distinct values are counted first; their running total, taken by ranges of the order,
+    decides, and joins back by value.
     """
-    n = df.count()
     v = spec.label()
-    values = df.groupBy(v.alias("value_")).agg(F.count("*").alias("n"))
-    before = Window.orderBy(F.col("value_").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, -1)  # distinct values only
-    start = _div(F.coalesce(F.sum("n").over(before), F.lit(0)), width(n, bins))
-    placed = values.withColumn("raw_", start)
+    values = running(df.groupBy(v.alias("value_")).agg(F.count("*").alias("n")), [F.col("value_").asc_nulls_first()], "n")
+    n = values.agg(F.sum("n")).first()[0] or 0
+    placed = values.select("value_", "n", _div(F.col("before_"), width(n, bins)).alias("raw_"))
     ids = placed.groupBy("raw_").agg(F.sum("n").alias("rows_"))
-    ids = ids.withColumn(spec.bin, (F.row_number().over(Window.orderBy("raw_")) - 1).cast(bin_type(bins)))
+    ids = ids.withColumn(spec.bin, (F.row_number().over(Window.orderBy("raw_")) - 1).cast(bin_type(bins)))  # as many rows as bins at most
     placed = placed.join(ids, "raw_").select("value_", spec.bin, (F.col("rows_") / F.lit(n)).alias("width"))
-    return df.withColumn("v_", v).join(placed, F.col("v_").eqNullSafe(F.col("value_"))).drop("v_", "value_")
+    return keep(df.withColumn("v_", v).join(placed, F.col("v_").eqNullSafe(F.col("value_"))).drop("v_", "value_"), values)
 
 
 def bin_equidistance(df: DataFrame, expression: str, bins: int, low: float | None = None, high: float | None = None, name: str = "b") -> DataFrame:
@@ -46,10 +47,11 @@ def clip_rows(df: DataFrame, bounds: dict[str, tuple[float, float]]) -> DataFram
 
 
 def bin_categorical(df: DataFrame, expression: str, name: str = "b") -> DataFrame:
-    """One bin for each distinct value in order; the distinct values are numbered, not the rows."""
+    """One bin for each distinct value in order; the distinct values are numbered, by ranges of the order, not the rows."""
     v = F.expr(expression)
-    values = df.select(v.alias("value_")).distinct().withColumn(name, (F.row_number().over(Window.orderBy(F.col("value_").asc_nulls_first())) - 1).cast("int"))
-    return df.withColumn("v_", v).join(values, F.col("v_").eqNullSafe(F.col("value_"))).drop("v_", "value_")
+    values = running(df.select(v.alias("value_")).distinct(), [F.col("value_").asc_nulls_first()])
+    table = values.select("value_", F.col("place_").cast("int").alias(name))
+    return keep(df.withColumn("v_", v).join(table, F.col("v_").eqNullSafe(F.col("value_"))).drop("v_", "value_"), values)
 
 
 def bin_packed(df: DataFrame, expression: str, bins: int, name: str = "b") -> DataFrame:

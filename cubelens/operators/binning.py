@@ -12,6 +12,8 @@ from cubelens.dimension import DimensionSpec
 from cubelens.operators.rank import build_ranks, rank_small
 
 BINS, FINE_BITS = 128, 20
+#: Buckets of the first of two histograms, from which the second one's are chosen.
+COARSE_BITS = 10
 #: A frame of at most so many rows may be ordered by one window.
 SMALL_ROWS = 200_000
 
@@ -138,10 +140,53 @@ def _search_cuts(aug: DataFrame, specs, known, shift: int, kind: str) -> DataFra
     return aug.mapInArrow(run, schema)
 
 
+def refined_cuts(aug: DataFrame, specs: list[DimensionSpec], total: int, bins: int = BINS, fine_bits: int = FINE_BITS) -> tuple[DataFrame, int]:
+    """The cuts of ``histogram_cuts`` over the whole fine histogram, and the number of rows, from two small ones.
+
+    A cut lies in a bucket whose place is known from a coarse histogram; only the at most
+    twice ``bins`` coarse buckets of a dimension in which a cut can lie are counted finely. What
+    tasks exchange falls from 2**fine_bits buckets a dimension to 2**COARSE_BITS and as many for
+    each bin, for one more scan of the ranks. Coarse counts reach the driver.
+    """
+    shift = shift_of(total, fine_bits)
+    coarse = shift_of(total, min(COARSE_BITS, fine_bits))
+    known: dict[str, dict[int, int]] = {s.name: {} for s in specs}
+    for r in fine_histogram(aug, specs, total, min(COARSE_BITS, fine_bits)).collect():
+        known[r.dim][r.bucket] = r.cnt
+    n = sum(known[specs[0].name].values()) if specs else 0
+    step, cells, rows = width(n, bins), [], []
+    for s in specs:
+        pos, last, wanted, starts = 0, -1, [], []
+        for bucket, cnt in sorted(known[s.name].items()):
+            # a cut is the first fine bucket that starts in its bin: a new bin starts inside, or between the bucket before and this one
+            here = pos // step != last or pos // step != (pos + cnt - 1) // step
+            rows.append((s.name, bucket, pos, here))
+            wanted.append(here)
+            starts.append(bucket)
+            last = pos // step
+            pos += cnt
+        marks = [False] * (max(starts, default=0) + 1)
+        for bucket, w in zip(starts, wanted):
+            marks[bucket] = w
+        high = F.shiftright(s.rank, coarse)
+        cells.append(F.when(F.element_at(F.lit(marks), (high + 1).cast("int")), F.struct(F.lit(s.name).alias("dim"), F.shiftright(s.rank, shift).cast("int").alias("bucket"))))
+    if coarse == shift:
+        spark = aug.sparkSession
+        hist = spark.createDataFrame([(d, b, c) for d, m in known.items() for b, c in m.items()], "dim string, bucket int, cnt long")
+        return histogram_cuts(hist, n, bins), n
+    fine = aug.select(F.explode(F.array_compact(F.array(*cells))).alias("x")).groupBy("x.dim", "x.bucket").agg(F.count("*").alias("cnt"))
+    start = aug.sparkSession.createDataFrame([(d, b, p) for d, b, p, here in rows if here], "dim string, high_ int, start_ long")
+    fine = fine.withColumn("high_", F.shiftright("bucket", coarse - shift)).join(F.broadcast(start), ["dim", "high_"])  # dimensions times bins
+    before = Window.partitionBy("dim", "high_").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    placed = fine.withColumn("pos", F.col("start_") + F.coalesce(F.sum("cnt").over(before), F.lit(0)))
+    placed = placed.withColumn("bin", _div(F.col("pos"), step).cast("int"))
+    found = placed.groupBy("dim", "bin").agg(F.min("bucket").alias("first_bucket"), F.min("pos").alias("first_pos"))
+    return found, n
+
+
 def bin_by_histogram(aug: DataFrame, specs: list[DimensionSpec], total: int, bins: int = BINS, fine_bits: int = FINE_BITS, how: str = "steps") -> DataFrame:
     """Bins of a subset of a ranked table without any sort; ``total`` counts the whole table's rows."""
-    n = aug.count()
-    cuts = histogram_cuts(fine_histogram(aug, specs, total, fine_bits), n, bins)
+    cuts, _ = refined_cuts(aug, specs, total, bins, fine_bits)
     return apply_cuts(aug, specs, cuts, total, bins, fine_bits, how)
 
 
@@ -154,8 +199,7 @@ def bin_auto(aug: DataFrame, specs: list[DimensionSpec], total: int, bins: int =
     """Through the histogram, or by ordering the ranks of a subset below the share bins / 2**fine_bits."""
     n = aug.count()
     if not needs_sort(n, total, bins, fine_bits):
-        cuts = histogram_cuts(fine_histogram(aug, specs, total, fine_bits), n, bins)
-        return apply_cuts(aug, specs, cuts, total, bins, fine_bits)
+        return bin_by_histogram(aug, specs, total, bins, fine_bits)
     plain = [DimensionSpec(s.name + "_sub", (s.rank,)) for s in specs]
     placed = build_ranks(aug, plain, tuple(s.rank for s in specs), "columns")
     placed = bin_by_rank(placed, plain, n, bins)
@@ -185,8 +229,8 @@ def bin_balance(binned: DataFrame, specs: list[DimensionSpec], bins: int) -> Dat
 def drop_one_to_one(df: DataFrame, cols: list[str], slack: float = 0.1) -> tuple[list[str], list[tuple[str, str]]]:
     """Columns without those in a 1:1 relation to an earlier one, and the pairs found.
 
-    One scan of distinct-count sketches for every column and pair finds suspects; exact counts
-    in one more scan decide.
+    One scan of distinct-count sketches for every column, one for pairs of similar counts, and
+    one of exact distinct counts for the pairs that are left.
     """
     pairs = [(a, b) for i, a in enumerate(cols) for b in cols[i + 1 :]]
     rough = df.agg(*[F.approx_count_distinct(c).alias(f"s{i}") for i, c in enumerate(cols)]).first()
@@ -196,12 +240,12 @@ def drop_one_to_one(df: DataFrame, cols: list[str], slack: float = 0.1) -> tuple
         return list(cols), []
     both = df.agg(*[F.approx_count_distinct(F.struct(a, b)).alias(f"p{i}") for i, (a, b) in enumerate(maybe)]).first()
     maybe = [p for p, n in zip(maybe, both) if n <= (1 + 2 * slack) * max(size[p[0]], size[p[1]], 10)]
-    out = []
-    for a, b in maybe:
-        d = df.select(a, b).distinct()
-        n, x, y = d.agg(F.count("*"), F.countDistinct(F.struct(a)), F.countDistinct(F.struct(b))).first()
-        if n == x == y:
-            out.append((a, b))
+    if not maybe:
+        return list(cols), []
+    some = sorted({c for p in maybe for c in p})
+    exact = df.agg(*[F.countDistinct(F.struct(c)).alias(f"c{i}") for i, c in enumerate(some)], *[F.countDistinct(F.struct(a, b)).alias(f"p{i}") for i, (a, b) in enumerate(maybe)]).first()
+    single = dict(zip(some, exact))
+    out = [(a, b) for i, (a, b) in enumerate(maybe) if exact[f"p{i}"] == single[a] == single[b]]
     gone = set()
     for a, b in out:
         if a not in gone:

@@ -22,8 +22,6 @@ from cubelens.storage import materialize
 
 #: Plans of at most so many parts are united into one query; more run in written batches.
 UNION_PARTS = 64
-#: Bytes of dense cells that a task of the local strategy holds at once.
-LOCAL_BYTES = 512 << 20
 
 
 def narrow(binned: DataFrame, specs: list[DimensionSpec], measures: list[MeasureSpec] = ()) -> DataFrame:
@@ -212,44 +210,58 @@ def owner_slice(rows: DataFrame, specs, measures=(), bins: int = 128, owners: in
     return slices_to_cube(slices, len(specs), bins, plan, measures)
 
 
-def local_dense(rows: DataFrame, specs, measures=(), bins: int = 128, memory: int = LOCAL_BYTES) -> DataFrame:
-    """Every task adds its rows up in dense arrays and sends the non-empty cells; these are summed.
+def _dense(rows: DataFrame, combos: list[tuple[int, ...]], n: int, measures, bins: int, memory: int) -> DataFrame:
+    """(combo, cell, cnt, measures): every task adds its rows up in one dense array a combination and sends the non-empty cells.
 
-    What moves does not grow with the rows once a task has filled its cells. Triples go in
-    batches whose arrays fit ``memory``, one scan of the narrow rows each.
+    Combinations go in batches whose arrays fit ``memory``, one scan of the narrow rows each.
+    Those of a batch that begin with the same dimensions share the first part of their index.
     """
-    n, names = len(specs), [m.name for m in measures]
-    triples = triples_of(n)
-    each = bins**3 * 8 * (1 + len(names))
-    step = max(1, memory // each)
+    names, size = [m.name for m in measures], bins ** len(combos[0]) if combos else 1
+    step = max(1, memory // (size * 8 * (1 + len(names))))
     out = []
-    for at in range(0, len(triples), step):
-        some = list(enumerate(triples))[at : at + step]
+    for at in range(0, len(combos), step):
+        some = list(enumerate(combos))[at : at + step]
 
         def run(batches: Iterator[pa.RecordBatch], some=some) -> Iterator[pa.RecordBatch]:
             cells: dict = {}
             for batch in batches:
                 cols = [_column(batch, k).astype(np.int64) for k in range(n)]
                 values = [None] + [_value(batch, n + k) for k in range(len(names))]
-                for t, (i, j, k) in some:
-                    index = (cols[i] * bins + cols[j]) * bins + cols[k]
+                head, start = None, 0
+                for t, dims in some:
+                    if dims[:-1] != head:
+                        head, start = dims[:-1], 0
+                        for d in head:
+                            start = (start + cols[d]) * bins
+                    index = start + cols[dims[-1]]
                     for m, v in enumerate(values):
                         if (t, m) in cells:
-                            cells[t, m] += _bincount(index, bins**3, v)
+                            cells[t, m] += _bincount(index, size, v)
                         else:
-                            cells[t, m] = _bincount(index, bins**3, v)
+                            cells[t, m] = _bincount(index, size, v)
             for t, _ in some:
                 if (t, 0) in cells:
                     full = np.flatnonzero(cells[t, 0])
                     for a in range(0, len(full), 65536):
                         f = full[a : a + 65536]
-                        yield pa.record_batch([pa.array(np.full(len(f), t, np.int32)), pa.array(f), *[pa.array(cells[t, m][f]) for m in range(1 + len(names))]], ["triple", "cell", "cnt", *names])
+                        yield pa.record_batch([pa.array(np.full(len(f), t, np.int32)), pa.array(f), *[pa.array(cells[t, m][f]) for m in range(1 + len(names))]], ["combo", "cell", "cnt", *names])
 
-        schema = "triple int, cell bigint, cnt bigint" + "".join(f", {m.name} {m.type}" for m in measures)
+        schema = "combo int, cell bigint, cnt bigint" + "".join(f", {m.name} {m.type}" for m in measures)
         out.append(rows.mapInArrow(run, schema))
-    summed = _unite(out).groupBy("triple", "cell").agg(*[F.sum(x).alias(x) for x in ["cnt", *names]])
-    b = lambda k: F.expr(f"(cell div {bins**k}) % {bins}").cast("int")
-    return summed.select("triple", b(2).alias("b0"), b(1).alias("b1"), b(0).alias("b2"), "cnt", *names)
+    return _unite(out).groupBy("combo", "cell").agg(*[F.sum(x).alias(x) for x in ["cnt", *names]])
+
+
+def _digit(bins: int, k: int):
+    return F.expr(f"(cell div {bins**k}) % {bins}").cast("int")
+
+
+def local_dense(rows: DataFrame, specs, measures=(), bins: int = 128, memory: int = cost.LOCAL_BYTES) -> DataFrame:
+    """Every task adds its rows up in dense arrays and sends the non-empty cells; these are summed.
+
+    What moves does not grow with the rows once a task has filled its cells.
+    """
+    summed = _dense(rows, triples_of(len(specs)), len(specs), measures, bins, memory)
+    return summed.select(F.col("combo").alias("triple"), *[_digit(bins, 2 - k).alias(f"b{k}") for k in range(3)], "cnt", *[m.name for m in measures])
 
 
 def by_triple(rows: DataFrame, specs, measures=(), bins: int = 128, workers: int = 4) -> DataFrame:
@@ -291,8 +303,8 @@ def build_cube(binned: DataFrame, specs: list[DimensionSpec], bins: int, measure
     """All triple aggregates by the named strategy, or the one the cost model finds cheapest."""
     rows = narrow(binned, specs, measures)
     if strategy == "auto":
-        tasks = int(binned.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        strategy = cost.choose_strategy(rows.count(), len(specs), bins, tasks)
+        # counting rows of a written table reads file footers only
+        strategy = cost.choose_strategy(rows.count(), len(specs), bins, input_tasks(rows))
     if strategy == "expand":
         return expand(rows, specs, measures)
     if strategy == "explode":
@@ -308,10 +320,26 @@ def build_cube(binned: DataFrame, specs: list[DimensionSpec], bins: int, measure
     raise ValueError(strategy)
 
 
-def build_pairs(binned: DataFrame, specs, measures=()) -> DataFrame:
-    """(pair, b0, b1, cnt, measures) of all pairs in a single pass."""
-    rows = narrow(binned, specs, measures)
-    cells = [F.struct(F.lit(k).alias("pair"), F.col(specs[i].bin).alias("b0"), F.col(specs[j].bin).alias("b1")) for k, (i, j) in enumerate(combinations(range(len(specs)), 2))]
+def input_tasks(df: DataFrame) -> int:
+    """Tasks of a scan of ``df``'s input, from the sizes the planner knows; nothing runs."""
+    spark = df.sparkSession
+    size = int(str(df._jdf.queryExecution().analyzed().collectLeaves().head().stats().sizeInBytes()))
+    part = spark._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(spark.conf.get("spark.sql.files.maxPartitionBytes"))
+    return max(spark.sparkContext.defaultParallelism, -(-size // part))
+
+
+def build_pairs(binned: DataFrame, specs, measures=(), bins: int | None = None) -> DataFrame:
+    """(pair, b0, b1, cnt, measures) of all pairs in a single pass.
+
+    With ``bins`` every task adds its rows up in dense arrays, bins x bins cells a pair; without,
+    rows are expanded to their pairs and grouped.
+    """
+    rows, n = narrow(binned, specs, measures), len(specs)
+    pairs = list(combinations(range(n), 2))
+    if bins:
+        summed = _dense(rows, pairs, n, measures, bins, cost.LOCAL_BYTES)
+        return summed.select(F.col("combo").alias("pair"), _digit(bins, 1).alias("b0"), _digit(bins, 0).alias("b1"), "cnt", *[m.name for m in measures])
+    cells = [F.struct(F.lit(k).alias("pair"), F.col(specs[i].bin).alias("b0"), F.col(specs[j].bin).alias("b1")) for k, (i, j) in enumerate(pairs)]
     melted = rows.select(F.explode(F.array(*cells)).alias("c"), *[m.name for m in measures])
     out = melted.groupBy("c.pair", "c.b0", "c.b1").agg(*_aggs(measures))
     return out.select("pair", F.col("b0").cast("int").alias("b0"), F.col("b1").cast("int").alias("b1"), "cnt", *[m.name for m in measures])
@@ -331,6 +359,12 @@ def build_extremes(binned: DataFrame, specs, expression: str) -> DataFrame:
     return melted.groupBy("c.triple", "c.b0", "c.b1", "c.b2").agg(F.count("*").alias("cnt"), (F.sum("v") / F.count("v")).alias("avg"), F.min("v").alias("least"), F.max("v").alias("most"))
 
 
+def read_cube(spark, path: str, triples: list[int] | None = None) -> DataFrame:
+    """A kept cube, or some of its triples: the filter reaches the files, whose ranges of triples are known."""
+    cube = spark.read.parquet(path)
+    return cube if triples is None else cube.filter(F.col("triple").isin(triples))
+
+
 def write_cube(cube: DataFrame, path: str, files: int | None = None) -> None:
     """Keep a cube ordered by triple, so that a reader of few triples skips the rest."""
     n = files or int(cube.sparkSession.conf.get("spark.sql.shuffle.partitions"))

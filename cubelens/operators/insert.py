@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from cubelens.dimension import DimensionSpec
-from cubelens.operators.binning import histogram_cuts, shift_of
+from cubelens.operators.binning import bin_type, histogram_cuts, shift_of, step_function
+from cubelens.storage import keep, materialize
 
 
 def capture_bounds(aug: DataFrame, spec: DimensionSpec, total: int, fine_bits: int = 20) -> DataFrame:
@@ -17,6 +18,23 @@ def capture_bounds(aug: DataFrame, spec: DimensionSpec, total: int, fine_bits: i
     return aug.groupBy(bucket.alias("bucket")).agg(F.count("*").alias("cnt"), F.min_by(key, F.col(spec.rank)).alias("first_key"))
 
 
+def _last_known(merged: DataFrame) -> DataFrame:
+    """(k, side, run): in the order of k and side, a missing run is the last one before; bucket 0 where there is none.
+
+    Ranges of the order are filled each by itself; the last run of a range, one a task, goes on into the next.
+    """
+    n = int(merged.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    placed = materialize(merged.repartitionByRange(n, "k", "side").withColumn("task_", F.spark_partition_id()), "merged")
+    lasts = {r.task_: (r.run.lo, r.run.hi) for r in placed.filter("run is not null").groupBy("task_").agg(F.max_by("run", F.struct("k", "side")).alias("run")).collect()}
+    carried, now = [], (0, 0)
+    for task in range(n):
+        carried.append(now)
+        now = lasts.get(task, now)
+    entry = F.struct(*[F.element_at(F.lit([c[k] for c in carried]), F.col("task_") + 1).alias(name) for k, name in enumerate(("lo", "hi"))])
+    before = Window.partitionBy("task_").orderBy("k", "side").rowsBetween(Window.unboundedPreceding, 0)
+    return keep(placed.withColumn("run", F.coalesce(F.last("run", ignorenulls=True).over(before), entry)).drop("task_"), placed)
+
+
 def bin_inserts(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec, bins: int, row_key: tuple[str, ...]) -> tuple[DataFrame, DataFrame]:
     """New rows with ``b_<dim>``, and the cuts (dim, bin, first_bucket, first_pos) of the histogram with them counted in.
 
@@ -32,8 +50,7 @@ def bin_inserts(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec, bin
     merged = runs.select(F.col("first_key").alias("k"), F.lit(0).alias("side"), F.struct("lo", "hi").alias("run")).unionByName(
         keys.select(F.col("key_").alias("k"), F.lit(1).alias("side"), F.lit(None).cast("struct<lo:int,hi:int>").alias("run"))
     )
-    before = Window.orderBy("k", "side").rowsBetween(Window.unboundedPreceding, 0)  # boundaries and distinct new keys
-    found = merged.withColumn("run", F.last("run", ignorenulls=True).over(before)).filter("side = 1").select("k", F.coalesce("run", F.struct(F.lit(0).alias("lo"), F.lit(0).alias("hi"))).alias("run"))
+    found = _last_known(merged).filter("side = 1").select("k", "run")
     spread = F.pmod(F.xxhash64(F.lit(spec.name), *[F.expr(k) for k in row_key]), F.col("run.hi") - F.col("run.lo") + 1)
     placed = rows.join(found, F.col("key_").eqNullSafe(F.col("k"))).withColumn("bucket_", (F.col("run.lo") + spread).cast("int")).drop("k", "run", "key_")
     added = placed.groupBy(F.col("bucket_").alias("bucket")).agg(F.count("*").alias("cnt"))
@@ -41,8 +58,6 @@ def bin_inserts(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec, bin
     n = hist.agg(F.sum("cnt")).first()[0] or 0
     cuts = histogram_cuts(hist, n, bins)
     steps = sorted((r.first_bucket, r.bin) for r in cuts.collect())  # at most ``bins`` cuts
-    from cubelens.operators.binning import bin_type, step_function
-
     at = step_function(F.col("bucket_"), [b for b, _ in steps]) if steps else F.lit(0)
     out = placed.withColumn(spec.bin, F.element_at(F.lit([k for _, k in steps] or [0]), at + 1).cast(bin_type(bins))).drop("bucket_")
     return out, cuts

@@ -4,55 +4,93 @@ from __future__ import annotations
 
 from itertools import accumulate
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from cubelens.dimension import DimensionSpec, resolve, tie_order
-from cubelens.storage import materialize, release
+from cubelens.storage import keep, materialize, release
 
-#: Dimensions that are sorted one after another before the rows are written.
-DIMS_PER_WRITE = 8
 _LOCAL = (1 << 33) - 1
 
 
+def _partitions(df: DataFrame, partitions: int | None) -> int:
+    return partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+
+def _lookup(table: list, place: Column) -> Column:
+    return F.element_at(F.lit(table), (place + 1).cast("int"))
+
+
 def build_ranks(df: DataFrame, specs: list[DimensionSpec], row_key: tuple[str, ...], tie: str = "keyed", partitions: int | None = None) -> DataFrame:
     """``df`` with one BIGINT column ``rk_<dimension>`` for every spec: 0-based place in its order.
 
-    One range exchange for every dimension, on its keys and tie order together, so that a
-    frequent value is spread over many tasks; inside a task the sorted place is the low part of
-    Spark's increasing id and the task its high part. Rows are written before task sizes are
-    counted, so both belong to one and the same run; the sizes (one number a task) become
-    offsets. No task sees all rows and no window is used.
+    Rows are written with a number of their own. For every dimension only that number, the
+    sort keys and the tie order go through a range exchange, all dimensions in one job; a frequent
+    value is spread over many tasks, because ties are part of the order. Inside a task the
+    sorted place is the low part of Spark's increasing id and the task its high part; what is
+    written of that (a number and a place a row and dimension) is counted by task (one number a
+    task and dimension reaches the driver) and the counts become offsets. Places then meet by
+    row and join the rows once: whatever the number of dimensions, rows move at full width only
+    here. No task sees all rows. ``release`` of the result deletes the ranked table.
 
     row_key must identify rows; its columns must be in ``df``.
     """
     resolve(df, specs)
-    spark = df.sparkSession
-    n = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    last = None
-    for at in range(0, len(specs), DIMS_PER_WRITE):
-        group = specs[at : at + DIMS_PER_WRITE]
-        for s in group:
-            order = [*s.order(), *tie_order(s, row_key, tie)]
-            df = df.repartitionByRange(n, *order).sortWithinPartitions(*order).withColumn(s.rank, F.monotonically_increasing_id())
-        placed = materialize(df, "ranks")
-        release(last)
-        last = placed
-        sizes = placed.select(F.explode(F.array(*[F.struct(F.lit(i).alias("d"), F.shiftright(s.rank, 33).alias("p"), F.col(s.rank).bitwiseAND(_LOCAL).alias("r")) for i, s in enumerate(group)])).alias("x"))
-        sizes = sizes.groupBy("x.d", "x.p").agg((F.max("x.r") + 1).alias("n")).collect()  # tasks times dimensions
-        count = {(r.d, r.p): r.n for r in sizes}
-        most = max((p for _, p in count), default=-1) + 1
-        df = placed
-        for i, s in enumerate(group):
-            starts = [0, *accumulate(count.get((i, p), 0) for p in range(most))]
-            df = df.withColumn(s.rank, F.element_at(F.lit(starts), (F.shiftright(s.rank, 33) + 1).cast("int")) + F.col(s.rank).bitwiseAND(_LOCAL))
-    return df
+    n = _partitions(df, partitions)
+    base = materialize(df.withColumn("row_", F.monotonically_increasing_id()), "rows")
+    parts = []
+    for i, s in enumerate(specs):
+        order = [*s.order(), *tie_order(s, row_key, tie)]
+        by = [F.col(f"k{j}_") for j in range(len(order))]
+        by = [c.desc_nulls_first() if j < len(s.keys) and s.keys[j].endswith(" desc") else c.asc_nulls_first() for j, c in enumerate(by)]
+        keys = [F.expr(k.removesuffix(" desc")) for k in s.keys] + order[len(s.keys) :]
+        narrow = base.select("row_", *[k.alias(f"k{j}_") for j, k in enumerate(keys)])
+        placed = narrow.repartitionByRange(n, *by).sortWithinPartitions(*by)
+        parts.append(placed.select("row_", F.lit(i).cast("smallint").alias("d"), F.monotonically_increasing_id().alias("raw")))
+    placed = materialize(_all(parts), "places")
+    task = F.shiftright("raw", 33)
+    sizes = placed.groupBy("d", task.alias("p")).agg(F.count("*").alias("n")).collect()  # tasks times dimensions
+    count = {(r.d, r.p): r.n for r in sizes}
+    most = max((p for _, p in count), default=-1) + 1
+    starts = [[0, *accumulate(count.get((i, p), 0) for p in range(most))] for i in range(len(specs))]
+    rank = lambda i: F.max(F.when(F.col("d") == i, _lookup(starts[i], F.shiftright("raw", 33)) + F.col("raw").bitwiseAND(_LOCAL)))
+    ranks = placed.repartition(n, "row_").groupBy("row_").agg(*[rank(i).alias(s.rank) for i, s in enumerate(specs)])
+    old = {s.rank for s in specs}
+    out = materialize(base.join(ranks, "row_").select(*[c for c in df.columns if c not in old], *[s.rank for s in specs]), "ranked")
+    release(placed)
+    release(base)
+    return out
+
+
+def _all(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionByName(f)
+    return out
+
+
+def running(df: DataFrame, order: list[Column], value: str | None = None, partitions: int | None = None) -> DataFrame:
+    """``df`` with ``place_``, the 0-based place of a row in the order, and ``before_``, the sum of ``value`` over the rows before.
+
+    One range exchange, then sums inside its tasks; a number or two of each task reach the driver.
+    """
+    placed = materialize(df.repartitionByRange(_partitions(df, partitions), *order).sortWithinPartitions(*order).withColumn("raw_", F.monotonically_increasing_id()), "running")
+    amount = F.sum(value) if value else F.lit(0).cast("long")
+    sizes = {r.p: (r.n, r.v) for r in placed.groupBy(F.shiftright("raw_", 33).alias("p")).agg(F.count("*").alias("n"), amount.alias("v")).collect()}
+    most = max(sizes, default=-1) + 1
+    starts, sums = ([0, *accumulate(sizes.get(p, (0, 0))[k] or 0 for p in range(most))] for k in (0, 1))
+    task = F.shiftright("raw_", 33)
+    out = placed.withColumn("place_", _lookup(starts, task) + F.col("raw_").bitwiseAND(_LOCAL))
+    if value:
+        inside = Window.partitionBy(task).orderBy("raw_").rowsBetween(Window.unboundedPreceding, -1)
+        out = out.withColumn("before_", _lookup(sums, task) + F.coalesce(F.sum(value).over(inside), F.lit(0)))
+    return keep(out.drop("raw_"), placed)
 
 
 def rank_small(df: DataFrame, spec: DimensionSpec, row_key: tuple[str, ...], tie: str = "keyed") -> DataFrame:
     """The same column by one window over all rows: for inputs that one task can sort (baseline)."""
-    order = Window.orderBy(*spec.order(), *tie_order(spec, row_key, tie))
+    order = Window.orderBy(*spec.order(), *tie_order(spec, row_key, tie), *row_key)
     return df.withColumn(spec.rank, (F.row_number().over(order) - 1).cast("long"))
 
 

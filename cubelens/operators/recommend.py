@@ -6,7 +6,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from cubelens.dimension import DimensionSpec
 from cubelens.functions.intensity import IMAGE, heat_blue, heat_red, with_expected
+from cubelens.plans.triples import triples_of
 
 HEURISTICS = {
     "red": lambda v, s: heat_red(v, s),
@@ -17,20 +19,53 @@ HEURISTICS = {
 }
 
 
-def score_images(cells: DataFrame, bins: int, scope: str = "slab", heuristic: str = "red") -> DataFrame:
+#: What an absent cell adds to a heuristic; nothing where not listed.
+_ABSENT = {"blue": lambda s: F.lit(1.0), "brightness": lambda s: F.lit(1.0), "chi_square": lambda s: s}
+
+
+def score_images(cells: DataFrame, bins: int, scope: str = "slab", heuristic: str = "red", z_parts: int = 1) -> DataFrame:
     """(xdim, ydim, zdim, slab, total, expected, score, degenerate): the mean of a heuristic over all cells.
 
     Needs no picture: cells become numbers and are added up. Absent cells have no red; for
     heuristics that empty cells add to, their number counts.
     """
     size = float(bins * bins)
-    s = with_expected(cells, bins, scope)
+    s = with_expected(cells, bins, scope, z_parts)
     h = HEURISTICS[heuristic]
     out = s.groupBy(*IMAGE).agg(F.sum("v").alias("total"), F.first("expected").alias("expected"), F.sum(h(F.col("v"), F.col("expected"))).alias("sum_"), F.count("*").alias("n_"))
-    empty = {"blue": F.lit(1.0), "brightness": F.lit(1.0), "chi_square": F.col("expected")}.get(heuristic, F.lit(0.0))
+    empty = _ABSENT.get(heuristic, lambda s: F.lit(0.0))(F.col("expected"))
     return out.select(*IMAGE, "total", "expected", ((F.col("sum_") + empty * (F.lit(size) - F.col("n_"))) / size).alias("score"), (F.col("expected") <= 0).alias("degenerate"))
 
 
+def score_cube(cube: DataFrame, specs: list[DimensionSpec], bins: int, z_parts: int = 4, value: str = "cnt", heuristic: str = "red") -> DataFrame:
+    """``score_images`` of all slab images, straight from the cube's cells.
+
+    Images and their cells are numbered, so that exchanges carry three numbers a cell; an
+    image's values (at most bins x bins) meet in one array, from which its total and its score
+    are taken at once. Names come last, on one row an image.
+    """
+    size, triples, names = float(bins * bins), triples_of(len(specs)), [s.name for s in specs]
+    roles = []
+    for z in range(3):
+        x, y = (k for k in range(3) if k != z)
+        image = (F.col("triple") * 3 + z) * z_parts + F.expr(f"(b{z} * {z_parts}) div {bins}").cast("int")
+        roles.append(F.struct(image.alias("image"), (F.col(f"b{x}") * bins + F.col(f"b{y}")).alias("cell")))
+    melted = cube.select(F.explode(F.array(*roles)).alias("i"), F.col(value).alias("v"))
+    cells = melted.groupBy("i.image", "i.cell").agg(F.sum("v").alias("v"))
+    images = cells.groupBy("image").agg(F.sum("v").alias("total"), F.collect_list("v").alias("vs")).withColumn("expected", F.col("total") / F.lit(size))
+    h, s = HEURISTICS[heuristic], F.col("expected")
+    empty = _ABSENT.get(heuristic, lambda s: F.lit(0.0))(s)
+    score = (F.aggregate("vs", F.lit(0.0), lambda a, v: a + h(v, s).cast("double")) + empty * (F.lit(size) - F.size("vs"))) / size
+    triple, role = F.expr(f"image div {3 * z_parts}").cast("int"), F.expr(f"(image div {z_parts}) % 3").cast("int")
+
+    def named(place: int) -> Column:
+        """Name of the drawn (0, 1) or the partitioning (2) dimension, by triple and role."""
+        table = [names[t[[k for k in range(3) if k != z][place] if place < 2 else z]] for t in triples for z in range(3)]
+        return F.element_at(F.lit(table), triple * 3 + role + 1)
+
+    return images.select(named(0).alias("xdim"), named(1).alias("ydim"), named(2).alias("zdim"), F.expr(f"image % {z_parts}").cast("int").alias("slab"), "total", "expected", score.alias("score"), (s <= 0).alias("degenerate"))
+
+
 def score_groups(images: DataFrame, ascending: bool = False) -> DataFrame:
     """(xdim, ydim, score, images, group_rank): sums over all images of an axis pair.
 

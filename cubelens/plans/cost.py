@@ -4,6 +4,9 @@ from __future__ import annotations
 
 from math import comb
 
+#: Bytes of dense cells that a task of the local strategy holds at once.
+LOCAL_BYTES = 512 << 20
+
 
 def footprint(n: int, bins: int, cell_bytes: int = 8, arity: int = 3) -> tuple[int, int]:
     """Cells and bytes of all aggregates of ``arity`` dimensions."""
@@ -27,7 +30,7 @@ def row_copies(strategy: str, n: int, owners: int | None = None, units: int = 1)
 
 
 def shuffled_bytes(strategy: str, rows: int, n: int, bins: int, tasks: int) -> float:
-    """Bytes through exchanges, after partial aggregation."""
+    """Bytes through exchanges, after partial aggregation by ``tasks`` input tasks."""
     triples, row = comb(n, 3), n + 8
     if strategy in ("expand", "explode"):
         return min(rows, tasks * bins**3) * triples * 24.0
@@ -38,7 +41,7 @@ def shuffled_bytes(strategy: str, rows: int, n: int, bins: int, tasks: int) -> f
     return tasks * triples * min(bins**3, max(rows // max(tasks, 1), 1)) * 20.0
 
 
-def scans(strategy: str, n: int, bins: int, parts: int = 1, memory: int = 1 << 30) -> int:
+def scans(strategy: str, n: int, bins: int, parts: int = 1, memory: int = LOCAL_BYTES) -> int:
     if strategy == "per_triple":
         return comb(n, 3) * parts
     if strategy == "local_dense":
@@ -46,8 +49,8 @@ def scans(strategy: str, n: int, bins: int, parts: int = 1, memory: int = 1 << 3
     return 1
 
 
-def choose_strategy(rows: int, n: int, bins: int, tasks: int, memory: int = 1 << 30) -> str:
-    """The cheapest by bytes moved plus bytes scanned; grouping sets only for few triples."""
+def choose_strategy(rows: int, n: int, bins: int, tasks: int, memory: int = LOCAL_BYTES) -> str:
+    """The cheapest by bytes moved plus bytes scanned; grouping sets only for few triples. ``tasks`` read the input."""
     row = n + 8
     options = ["owner_slice", "local_dense"] + (["explode"] if comb(n, 3) <= 60 else []) + (["per_triple"] if comb(n, 3) <= 20 else [])
     price = {s: shuffled_bytes(s, rows, n, bins, tasks) * 3 + scans(s, n, bins, memory=memory) * rows * row * (4 / n if s == "per_triple" else 1) for s in options}

@@ -35,7 +35,7 @@ _strategy("q42b_cube_auto", "auto")
 
 
 def q37_cube_pairs(spark, sf):
-    return cube.build_pairs(Q.binned(spark, sf, Q.DIMS, Q.BINS), Q.DIMS)
+    return cube.build_pairs(Q.binned(spark, sf, Q.DIMS, Q.BINS), Q.DIMS, bins=Q.BINS)
 
 
 oracles["q37_cube_pairs"] = f"WITH {Q.binned_sql(Q.DIMS, Q.BINS)} " + " UNION ALL ".join(f"SELECT {k} AS pair, {a.bin} AS b0, {b.bin} AS b1, count(*) AS cnt FROM binned GROUP BY 2, 3" for k, (a, b) in enumerate(combinations(Q.DIMS, 2)))

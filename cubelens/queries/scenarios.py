@@ -22,7 +22,7 @@ def _pair(name, x, y, bins, log=False):
     """Pixels of one equal-population picture of two dimensions."""
 
     def run(spark, sf):
-        pairs = cube.build_pairs(Q.binned(spark, sf, [x, y], bins, log), [x, y])
+        pairs = cube.build_pairs(Q.binned(spark, sf, [x, y], bins, log), [x, y], bins=bins)
         out = I.diverging(image.pair_images(pairs, [x, y]), bins)
         return out.select("x", "y", "v", F.round("r", 9).alias("r"), F.round("b", 9).alias("b"))
 
@@ -125,7 +125,7 @@ _THIRTEEN = C.STAR_DIMS[:13]
 
 def q79_pairs13(spark, sf):
     """All 78 two-dimensional aggregates of 13 dimensions at 100 bins in a single pass."""
-    return cube.build_pairs(Q.binned(spark, sf, _THIRTEEN, 100), _THIRTEEN)
+    return cube.build_pairs(Q.binned(spark, sf, _THIRTEEN, 100), _THIRTEEN, bins=100)
 
 
 oracles["q79_pairs13"] = f"WITH {Q.binned_sql(_THIRTEEN, 100)} " + " UNION ALL ".join(f"SELECT {k} AS pair, {a.bin} AS b0, {b.bin} AS b1, count(*) AS cnt FROM binned GROUP BY 2, 3" for k, (a, b) in enumerate(combinations(_THIRTEEN, 2)))

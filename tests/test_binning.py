@@ -60,6 +60,34 @@ def test_histogram_bins(spark, how):
     assert all(abs(b - place[k] // width) <= 1 for k, b in rough.items())
 
 
+def test_two_small_histograms_give_the_cuts_of_the_whole_one(spark, monkeypatch):
+    """Subsets with gaps, runs and few rows: every cut and every place is that of the full fine histogram."""
+    monkeypatch.setattr(B, "COARSE_BITS", 4)
+    n = 1 << 14
+    other = DimensionSpec("w", ("w",))
+    d = spark.range(n).select(F.col("id").alias("rk_v"), F.pmod(F.col("id") * 7919, F.lit(n)).alias("rk_w"))
+    for where in ("true", "rk_v % 37 = 5", "rk_v < 3000", "rk_v between 5000 and 5100 or rk_v > 16000", "rk_v = 77", "false", "rk_v % 4096 < 9"):
+        sub = d.filter(where)
+        for bins, fine in ((16, 10), (7, 9), (128, 14), (1, 8), (16, 4)):
+            m = sub.count()
+            want = sorted(map(tuple, B.histogram_cuts(B.fine_histogram(sub, [V, other], n, fine), m, bins).collect()))
+            got, rows = B.refined_cuts(sub, [V, other], n, bins, fine)
+            assert rows == m and sorted(map(tuple, got.collect())) == want, (where, bins, fine)
+
+
+def test_running_totals_without_a_single_task(spark):
+    from cubelens.operators.rank import running
+
+    d = spark.range(3000).select(F.pmod(F.col("id") * 7919, F.lit(3000)).alias("v"), (F.col("id") % 5).alias("x"))
+    out = running(d, [F.col("v").asc_nulls_first()], "x")
+    assert "SinglePartition" not in out._jdf.queryExecution().toString()
+    total = 0
+    for k, r in enumerate(out.orderBy("v").collect()):
+        assert (r.v, r.place_, r.before_) == (k, k, total)
+        total += r.x
+    assert running(d.limit(0), [F.col("v")], "x").collect() == []
+
+
 def test_subset_threshold_and_fallback(spark):
     assert B.needs_sort(11000, 100_000_000) and not B.needs_sort(13000, 100_000_000)
     assert not B.needs_sort(1, 1 << 20)

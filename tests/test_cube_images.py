@@ -76,6 +76,45 @@ def test_slabs_add_up_to_the_pair(rows):
     assert len(g) == 10 and {r.images for r in g} == {12}
 
 
+def test_scores_from_cubes_equal_those_of_images(rows):
+    df, _ = rows
+    c = Q.build_cube(df, SPECS, B, [MEASURES[0]], "local_dense")
+    key = lambda r: (r.xdim, r.ydim, r.zdim, r.slab)
+    for parts in (1, 3, 4):
+        for value, heuristic in (("cnt", "red"), ("cnt", "blue"), ("cnt", "chi_square"), ("cnt", "information"), ("big", "brightness")):
+            want = {key(r): r for r in recommend.score_images(image.slab_images(c, SPECS, B, parts, value), B, heuristic=heuristic).collect()}
+            got = {key(r): r for r in recommend.score_cube(c, SPECS, B, parts, value, heuristic).collect()}
+            assert got.keys() == want.keys() and len(got) == 30 * parts
+            for k, r in got.items():
+                assert (r.total, r.expected, r.degenerate) == (want[k].total, want[k].expected, want[k].degenerate) and abs(r.score - want[k].score) < 1e-9
+
+
+def test_expected_values_follow_the_plan_of_slabs(spark):
+    """Three slabs of four bins are two, one and one bin wide; the middle one is empty."""
+    cells = spark.createDataFrame([("a", "b", "c", 0, 0, 0, 6), ("a", "b", "c", 2, 1, 1, 2)], "xdim string, ydim string, zdim string, slab int, x int, y int, v long")
+    want = {"slab": {0: 6 / 16, 2: 2 / 16}, "dataset": {0: 8 / 16, 2: 8 / 16}, "dataset_share": {0: 8 / 16 * 2 / 4, 2: 8 / 16 / 4}}
+    for scope, s in want.items():
+        assert {r.slab: r.expected for r in I.with_expected(cells, 4, scope, 3).collect()} == s
+    with pytest.raises(ValueError):
+        I.with_expected(cells, 4, "other")
+
+
+def test_pairs_dense_and_expanded_agree(rows):
+    df, _ = rows
+    key = lambda d: sorted(tuple(r) for r in d.select("pair", "b0", "b1", "cnt", "big").collect())
+    assert key(Q.build_pairs(df, SPECS, MEASURES[:1], bins=B)) == key(Q.build_pairs(df, SPECS, MEASURES[:1]))
+
+
+def test_kept_cube_is_read_by_triple(rows, tmp_path):
+    df, _ = rows
+    c = Q.build_cube(df, SPECS, B, [], "local_dense")
+    path = f"file://{tmp_path}/cube"
+    Q.write_cube(c, path)
+    some = Q.read_cube(c.sparkSession, path, [2, 5])
+    assert sorted(map(tuple, some.collect())) == sorted(map(tuple, c.filter("triple in (2, 5)").collect()))
+    assert "PushedFilters: [In(triple, [2,5])]" in some._jdf.queryExecution().toString()
+
+
 def test_colours(spark):
     s = 4.0
     d = spark.createDataFrame([(v,) for v in (0.0, 2.0, 4.0, 6.0, 8.0, 12.0)], "v double")

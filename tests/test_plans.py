@@ -76,5 +76,7 @@ def test_costs():
     assert cost.footprint(13, 100, 8, 2)[0] == 78 * 10000
     assert cost.suggest_bins(32, 100 << 30) == 128 and cost.suggest_bins(32, 160 << 30, 4) == 128 and cost.suggest_bins(24, 160 << 30, 4) == 256
     assert cost.choose_strategy(10**8, 32, 128, 500) == "owner_slice"
-    assert cost.choose_strategy(10**12, 32, 128, 500) == "local_dense"
+    # tasks with memory for more cells make fewer scans
+    assert cost.choose_strategy(10**12, 32, 128, 500, 1 << 30) == "local_dense"
+    assert cost.scans("local_dense", 32, 128) == 155 and cost.scans("local_dense", 16, 16) == 1
     assert cost.row_copies("owner_slice", 16) == 16 and cost.row_copies("explode", 16) == 560
