@@ -115,9 +115,18 @@ class Counter:
         self.odd = re.compile(other)
         self.stretch = re.compile(rf"[^ \t\n\r\f\v]*?{other}[^ \t\n\r\f\v]*")
         self.limit, self.known, self.merged = limit, {}, {}
+        letter = {b: c for c, b in _byte_letters().items()}
+        self.letters = [letter[b] for b in range(256)]
+        self.tokenize = self.library.model.tokenize
+
+    def _encode(self, text: str) -> int:
+        return len(self.library.encode(text, add_special_tokens=False).ids)
 
     def _merge(self, word: str) -> int:
-        return len(self.library.encode(word, add_special_tokens=False).ids)
+        """Tokens of a pre-token: the library's merges of its bytes' letters."""
+        if not (word.isascii() and word.isprintable()):
+            word = "".join([self.letters[b] for b in word.encode()])
+        return len(self.tokenize(word))
 
     def _remember(self, memory: dict[str, int], word: str, n: int) -> int:
         if len(word) <= SHORT:
@@ -142,7 +151,7 @@ class Counter:
         if self.odd.search(text):
             for stretch in self.stretch.findall(text):
                 k = known.get(stretch)
-                n += self._remember(known, stretch, self._merge(stretch)) if k is None else k
+                n += self._remember(known, stretch, self._encode(stretch)) if k is None else k
             text = self.stretch.sub(" ", text)
         for stretch in text.lower().split():
             k = known.get(stretch)
