@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from cubelens.dimension import DimensionSpec, MeasureSpec
 from cubelens.plans import cost
 from cubelens.plans.triples import Owned, plan_by_triple, plan_rounds, triples_of
-from cubelens.storage import materialize
+from cubelens.storage import keep, materialize
 
 #: Plans of at most so many parts are united into one query; more run in written batches.
 UNION_PARTS = 64
@@ -109,74 +109,86 @@ def route(rows: DataFrame, specs, owners: list[int], measures=(), replicas: int
     return rows.select(to, salt.alias("salt"), *[s.bin for s in specs], *[m.name for m in measures]).select("u.owner", "u.owner_bin", "salt", *[s.bin for s in specs], *[m.name for m in measures])
 
 
+def owned_by_round(plan: list[Owned]) -> list[dict[int, list[tuple[int, int, int]]]]:
+    """For each round, the triples of every owner as (triple, first other dimension, second)."""
+    rounds: dict[int, dict[int, list[tuple[int, int, int]]]] = {}
+    for p in plan:
+        j, k = (d for d in p.dims if d != p.owner)
+        rounds.setdefault(p.round, {}).setdefault(p.owner, []).append((p.triple, j, k))
+    return [rounds[r] for r in sorted(rounds)]
+
+
 def owner_slices(rows: DataFrame, specs, bins: int, measures=(), plan: list[Owned] | None = None, replicas: int = 1, kernel: str = "tile", partitions: int | None = None, staged: bool = False) -> DataFrame:
     """(triple, owner_bin, cnt, one column a measure): dense slices of bins x bins cells.
 
     Rows are sent once to each owner dimension of a round. A unit (owner, bin) keeps one small
     array for each triple it owns; units are disjoint, so nothing is merged unless ``replicas``
-    salts them. ``tile``: a task streams sorted batches and updates all its triples from each,
-    holding one unit; ``scan_per_triple`` (baseline): it gathers a unit's rows and goes over
-    them once for each triple. ``staged`` writes the routed rows before the kernel starts.
+    salts them. Rounds belong to one job: one round's units are filled while another's update
+    (pipelined). ``staged`` writes the routed rows of all rounds, side by side, before any
+    kernel starts (synchronous).
     """
-    plan = plan or plan_rounds(len(specs))
-    n, size, names = len(specs), bins * bins, [m.name for m in measures]
-    spark = rows.sparkSession
-    slices = []
-    for rnd in sorted({p.round for p in plan}):
-        owned: dict[int, list[tuple[int, int, int]]] = {}
-        for p in plan:
-            if p.round == rnd:
-                j, k = (d for d in p.dims if d != p.owner)
-                owned.setdefault(p.owner, []).append((p.triple, j, k))
-        sent = route(rows, specs, sorted(owned), measures, replicas)
-        if staged:
-            sent = materialize(sent, "routed")
-        units = len(owned) * bins * replicas
-        # more partitions than the session's shuffle partitions would only add small tasks
-        parts = min(partitions or int(spark.conf.get("spark.sql.shuffle.partitions")), units)
-        sent = sent.repartition(parts, "owner", "owner_bin", "salt").sortWithinPartitions("owner", "owner_bin", "salt")
-
-        def run(batches: Iterator[pa.RecordBatch], owned=owned) -> Iterator[pa.RecordBatch]:
-            unit, cells, kept = None, {}, []
-
-            def update(owner: int, part: list[np.ndarray]) -> None:
-                for t, j, k in owned[owner]:
-                    index = part[j].astype(np.int64) * bins + part[k]
-                    for m in range(-1, len(names)):
-                        cells[t, m] = cells.get((t, m), 0) + _bincount(index, size, None if m < 0 else part[n + m])
-
-            def finish() -> pa.RecordBatch:
-                if kernel != "tile":
-                    update(unit[0], [np.concatenate(c) for c in zip(*kept)])
-                order = sorted(t for t, _, _ in owned[unit[0]])
-                offsets = pa.array(np.arange(len(order) + 1, dtype=np.int32) * size)
-                lists = [pa.ListArray.from_arrays(offsets, pa.array(np.concatenate([cells[t, m] for t in order]))) for m in range(-1, len(names))]
-                return pa.record_batch([pa.array(order, pa.int32()), pa.array([unit[1]] * len(order), pa.int32()), *lists], ["triple", "owner_bin", "cnt", *names])
+    rounds = owned_by_round(plan or plan_rounds(len(specs)))
+    sent = [route(rows, specs, sorted(owned), measures, replicas) for owned in rounds]
+    if staged:
+        with ThreadPoolExecutor(4) as pool:
+            sent = list(pool.map(lambda d: materialize(d, "routed"), sent))
+    slices = [update_units(d, owned, len(specs), bins, measures, replicas, kernel, partitions) for d, owned in zip(sent, rounds)]
+    return keep(_unite(slices), *sent)
 
-            for batch in batches:
-                key = [_column(batch, k) for k in range(3)]
-                edge = np.flatnonzero((np.diff(key[0]) != 0) | (np.diff(key[1]) != 0) | (np.diff(key[2]) != 0)) + 1
-                bounds = [0, *edge.tolist(), batch.num_rows]
-                cols = [_column(batch, 3 + k) for k in range(n)] + [_value(batch, 3 + n + k) for k in range(len(names))]
-                for a, z in zip(bounds, bounds[1:]):
-                    if a == z:
-                        continue
-                    here = (int(key[0][a]), int(key[1][a]), int(key[2][a]))
-                    if unit is not None and here != unit:
-                        yield finish()
-                        cells, kept = {}, []
-                    unit = here
-                    part = [c[a:z] for c in cols]
-                    if kernel == "tile":
-                        update(unit[0], part)
-                    else:
-                        kept.append(part)
-            if unit is not None:
-                yield finish()
-
-        schema = "triple int, owner_bin int, cnt array<bigint>" + "".join(f", {m.name} array<{'bigint' if m.integer else 'double'}>" for m in measures)
-        slices.append(sent.mapInArrow(run, schema))
-    return _unite(slices)
+
+def update_units(sent: DataFrame, owned: dict[int, list[tuple[int, int, int]]], n: int, bins: int, measures=(), replicas: int = 1, kernel: str = "tile", partitions: int | None = None) -> DataFrame:
+    """Slices of one round from its routed rows.
+
+    ``tile``: a task streams sorted batches and updates all of a unit's triples from each, holding
+    one unit; ``scan_per_triple`` (baseline): it gathers a unit's rows and goes over them once
+    for each triple.
+    """
+    size, names = bins * bins, [m.name for m in measures]
+    units = len(owned) * bins * replicas
+    # more partitions than the session's shuffle partitions would only add small tasks
+    parts = min(partitions or int(sent.sparkSession.conf.get("spark.sql.shuffle.partitions")), units)
+    sent = sent.repartition(parts, "owner", "owner_bin", "salt").sortWithinPartitions("owner", "owner_bin", "salt")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        unit, cells, kept = None, {}, []
+
+        def update(owner: int, part: list[np.ndarray]) -> None:
+            for t, j, k in owned[owner]:
+                index = part[j].astype(np.int64) * bins + part[k]
+                for m in range(-1, len(names)):
+                    cells[t, m] = cells.get((t, m), 0) + _bincount(index, size, None if m < 0 else part[n + m])
+
+        def finish() -> pa.RecordBatch:
+            if kernel != "tile":
+                update(unit[0], [np.concatenate(c) for c in zip(*kept)])
+            order = sorted(t for t, _, _ in owned[unit[0]])
+            offsets = pa.array(np.arange(len(order) + 1, dtype=np.int32) * size)
+            lists = [pa.ListArray.from_arrays(offsets, pa.array(np.concatenate([cells[t, m] for t in order]))) for m in range(-1, len(names))]
+            return pa.record_batch([pa.array(order, pa.int32()), pa.array([unit[1]] * len(order), pa.int32()), *lists], ["triple", "owner_bin", "cnt", *names])
+
+        for batch in batches:
+            key = [_column(batch, k) for k in range(3)]
+            edge = np.flatnonzero((np.diff(key[0]) != 0) | (np.diff(key[1]) != 0) | (np.diff(key[2]) != 0)) + 1
+            bounds = [0, *edge.tolist(), batch.num_rows]
+            cols = [_column(batch, 3 + k) for k in range(n)] + [_value(batch, 3 + n + k) for k in range(len(names))]
+            for a, z in zip(bounds, bounds[1:]):
+                if a == z:
+                    continue
+                here = (int(key[0][a]), int(key[1][a]), int(key[2][a]))
+                if unit is not None and here != unit:
+                    yield finish()
+                    cells, kept = {}, []
+                unit = here
+                part = [c[a:z] for c in cols]
+                if kernel == "tile":
+                    update(unit[0], part)
+                else:
+                    kept.append(part)
+        if unit is not None:
+            yield finish()
+
+    schema = "triple int, owner_bin int, cnt array<bigint>" + "".join(f", {m.name} array<{'bigint' if m.integer else 'double'}>" for m in measures)
+    return sent.mapInArrow(run, schema)
 
 
 def merge_slices(slices: DataFrame, measures=()) -> DataFrame:
@@ -206,8 +218,8 @@ def owner_slice(rows: DataFrame, specs, measures=(), bins: int = 128, owners: in
     plan = plan_rounds(len(specs), owners)
     slices = owner_slices(rows, specs, bins, measures, plan, replicas, kernel, staged=staged)
     if replicas > 1:
-        return slices_to_cube(merge_slices(slices, measures), len(specs), bins, plan, measures, True)
-    return slices_to_cube(slices, len(specs), bins, plan, measures)
+        return keep(slices_to_cube(merge_slices(slices, measures), len(specs), bins, plan, measures, True), slices)
+    return keep(slices_to_cube(slices, len(specs), bins, plan, measures), slices)
 
 
 def _dense(rows: DataFrame, combos: list[tuple[int, ...]], n: int, measures, bins: int, memory: int) -> DataFrame:
@@ -345,6 +357,11 @@ def build_pairs(binned: DataFrame, specs, measures=(), bins: int | None = None)
     return out.select("pair", F.col("b0").cast("int").alias("b0"), F.col("b1").cast("int").alias("b1"), "cnt", *[m.name for m in measures])
 
 
+def summarise(cube: DataFrame, measures=()) -> DataFrame:
+    """(triple, cells, cnt, top, squares, measures' sums): what identifies a triple's cube in one row."""
+    return cube.groupBy("triple").agg(F.count("*").alias("cells"), F.sum("cnt").alias("cnt"), F.max("cnt").alias("top"), F.sum(F.col("cnt") * (F.col("cnt") + F.col("b0") + 3 * F.col("b1") + 7 * F.col("b2"))).alias("squares"), *[F.sum(m.name).alias(m.name) for m in measures])
+
+
 def build_marginals(binned: DataFrame, specs) -> DataFrame:
     """(dim, bin, cnt): populations of the bins of every dimension."""
     cells = F.array(*[F.struct(F.lit(s.name).alias("dim"), F.col(s.bin).cast("int").alias("bin")) for s in specs])

@@ -35,22 +35,34 @@ def _last_known(merged: DataFrame) -> DataFrame:
     return keep(placed.withColumn("run", F.coalesce(F.last("run", ignorenulls=True).over(before), entry)).drop("task_"), placed)
 
 
-def bin_inserts(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec, bins: int, row_key: tuple[str, ...]) -> tuple[DataFrame, DataFrame]:
-    """New rows with ``b_<dim>``, and the cuts (dim, bin, first_bucket, first_pos) of the histogram with them counted in.
+def bucket_runs(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec) -> DataFrame:
+    """(k, run): for every distinct key of the new rows, the buckets (lo to hi) that begin with the last first key not above it.
 
-    A row goes to the last bucket whose first key is not above its own, as-of; a key that
-    several buckets begin with is spread over them by a hash of the row; one below all goes to
-    bucket 0. Ascending keys. Distinct keys of the new rows, not the rows, meet the bounds.
+    Several buckets where a value spans them; bucket 0 below all first keys.
     """
-    parts = [F.expr(k) for k in spec.keys]
-    rows = new_rows.withColumn("key_", F.struct(*[p.alias(f"k{i}") for i, p in enumerate(parts)]))
-    keys = rows.select("key_").distinct()
+    keys = new_rows.select(_key(spec).alias("key_")).distinct()
     # one run of buckets for each boundary key
     runs = bounds.groupBy("first_key").agg(F.min("bucket").alias("lo"), F.max("bucket").alias("hi"))
     merged = runs.select(F.col("first_key").alias("k"), F.lit(0).alias("side"), F.struct("lo", "hi").alias("run")).unionByName(
         keys.select(F.col("key_").alias("k"), F.lit(1).alias("side"), F.lit(None).cast("struct<lo:int,hi:int>").alias("run"))
     )
-    found = _last_known(merged).filter("side = 1").select("k", "run")
+    found = _last_known(merged)
+    return keep(found.filter("side = 1").select("k", "run"), found)
+
+
+def _key(spec: DimensionSpec):
+    return F.struct(*[F.expr(k).alias(f"k{i}") for i, k in enumerate(spec.keys)])
+
+
+def bin_inserts(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec, bins: int, row_key: tuple[str, ...]) -> tuple[DataFrame, DataFrame]:
+    """New rows with ``b_<dim>``, and the cuts (dim, bin, first_bucket, first_pos) of the histogram with them counted in.
+
+    A row goes to the last bucket whose first key is not above its own, as-of; a key that
+    several buckets begin with is spread over them by a hash of the row; one below all goes to
+    bucket 0. Ascending keys. Distinct keys of the new rows, not the rows, meet the bounds.
+    """
+    rows = new_rows.withColumn("key_", _key(spec))
+    found = bucket_runs(new_rows, bounds, spec)
     spread = F.pmod(F.xxhash64(F.lit(spec.name), *[F.expr(k) for k in row_key]), F.col("run.hi") - F.col("run.lo") + 1)
     placed = rows.join(found, F.col("key_").eqNullSafe(F.col("k"))).withColumn("bucket_", (F.col("run.lo") + spread).cast("int")).drop("k", "run", "key_")
     added = placed.groupBy(F.col("bucket_").alias("bucket")).agg(F.count("*").alias("cnt"))
@@ -60,4 +72,4 @@ def bin_inserts(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec, bin
     steps = sorted((r.first_bucket, r.bin) for r in cuts.collect())  # at most ``bins`` cuts
     at = step_function(F.col("bucket_"), [b for b, _ in steps]) if steps else F.lit(0)
     out = placed.withColumn(spec.bin, F.element_at(F.lit([k for _, k in steps] or [0]), at + 1).cast(bin_type(bins))).drop("bucket_")
-    return out, cuts
+    return keep(out, found), cuts

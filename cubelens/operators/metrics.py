@@ -8,6 +8,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from cubelens.storage import materialize, release
+
 
 def unit_loads(routed: DataFrame) -> DataFrame:
     """(owner, owner_bin, rows): rows each unit receives in a round."""
@@ -45,23 +47,57 @@ def speedup(seconds: float, baseline: float) -> float:
     return 100.0 * (1 - seconds / baseline)
 
 
-def staged_times(rows: DataFrame, specs, bins: int, measures=()) -> dict[str, float]:
+def staged_times(rows: DataFrame, specs, bins: int, measures=(), owners: int | None = None) -> dict[str, float]:
     """Seconds of the parts of the owner-sliced strategy one after another, and of all of it pipelined.
 
-    ``fill``: rows routed and written; ``update``: units add them up; ``read_back``: cells written.
+    ``fill``: rows of all rounds routed and written; ``update``: units add up what was written
+    and keep their slices; ``read_back``: cells of the kept slices are written; ``synchronous``:
+    their sum; ``pipelined``: one job from rows to written cells; ``overlap``: the share of the
+    synchronous time that it saves.
     """
     from cubelens.operators import cube
     from cubelens.plans.triples import plan_rounds
-    from cubelens.storage import materialize
 
-    out, plan = {}, plan_rounds(len(specs))
-    began = time.perf_counter()
-    materialize(cube.route(rows, specs, list(range(len(specs))), measures), "routed")
-    out["fill"] = time.perf_counter() - began
-    slices = cube.owner_slices(rows, specs, bins, measures, plan, staged=True)  # routes once more before it returns
-    out["update"] = timed(lambda: slices)
-    began = time.perf_counter()
-    materialize(cube.slices_to_cube(slices, len(specs), bins, plan, measures), "cube")
-    out["read_back"] = time.perf_counter() - began - out["update"]
-    out["pipelined"] = timed(lambda: cube.owner_slice(rows, specs, measures, bins))
+    plan, out = plan_rounds(len(specs), owners), {}
+    rounds = cube.owned_by_round(plan)
+    tables = []
+
+    def part(name: str, frames: list[DataFrame]) -> list[DataFrame]:
+        began = time.perf_counter()
+        done = [materialize(d, name) for d in frames]
+        out[name] = time.perf_counter() - began
+        tables.extend(done)
+        return done
+
+    sent = part("fill", [cube.route(rows, specs, sorted(owned), measures) for owned in rounds])
+    slices = part("update", [cube.update_units(d, owned, len(specs), bins, measures) for d, owned in zip(sent, rounds)])
+    part("read_back", [cube.slices_to_cube(d, len(specs), bins, plan, measures) for d in slices])
+    out["synchronous"] = out["fill"] + out["update"] + out["read_back"]
+    part("pipelined", [cube.owner_slice(rows, specs, measures, bins, owners)])
+    out["overlap"] = 1 - out["pipelined"] / out["synchronous"]
+    for d in tables:
+        release(d)
     return out
+
+
+def units_times(make: Callable[[DataFrame], DataFrame], rows: DataFrame, units: list[int]) -> dict[int, float]:
+    """Seconds by the number of tasks that work at a time: the same rows in as many partitions, written so that nothing else is timed."""
+    out = {}
+    for k in units:
+        dealt = materialize(rows.repartition(k), "dealt")
+        out[k] = timed(lambda dealt=dealt, k=k: make(dealt.coalesce(k)))
+        release(dealt)
+    return out
+
+
+def insert_share(ranked: DataFrame, new_rows: DataFrame, spec, bins: int, row_key: tuple[str, ...], total: int, fine_bits: int = 20) -> dict[str, float]:
+    """Seconds to bin new rows by remembered bounds, to rank and bin all rows again, and the share of the first in the second."""
+    from cubelens.operators import binning, insert
+    from cubelens.operators.rank import build_ranks
+
+    bounds = materialize(insert.capture_bounds(ranked, spec, total, fine_bits), "bounds")
+    once = timed(lambda: insert.bin_inserts(new_rows, bounds, spec, bins, row_key)[0])
+    both = ranked.drop(spec.rank).unionByName(new_rows.select(*[c for c in ranked.columns if c != spec.rank]))
+    again = timed(lambda: binning.bin_by_rank(build_ranks(both, [spec], row_key), [spec], total + 1, bins))
+    release(bounds)
+    return {"insert": once, "rank_and_bin": again, "share": once / again}

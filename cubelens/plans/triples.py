@@ -93,6 +93,18 @@ def plan_by_triple(n: int, workers: int) -> list[tuple[int, int]]:
     return [(k, k % workers) for k in range(len(triples_of(n)))]
 
 
+def plan_replicate(n: int, workers: int, bins: int, cell_bytes: int = 4) -> dict:
+    """Baseline: every worker holds all cubes of its share of the rows, and all copies are merged: cubes, MiB a worker, MiB to merge."""
+    cubes = len(triples_of(n))
+    mib = cubes * bins**3 * cell_bytes / 2**20
+    return {"cubes": cubes, "worker_mib": mib, "merge_mib": mib * workers, "row_updates": cubes}
+
+
+def orbits(n: int) -> list[tuple[tuple[int, ...], int]]:
+    """The triples of n dimensions up to rotation: the smallest of each orbit, and its size."""
+    return sorted(Counter(min(rotate(t, k, n) for k in range(n)) for t in triples_of(n)).items())
+
+
 def plan_pairs(n: int) -> list[tuple[int, int, int]]:
     """(i, j, owner) of all pairs on a circle of n."""
     return [(i, j, pair_owner(i, j, n, i % 2 == 0)) for i, j in combinations(range(n), 2)]

@@ -117,11 +117,6 @@ def q59_demotion(spark, sf):
     return recommend.prioritise(scored(spark, sf)).select("xdim", "ydim", "zdim", "slab", F.round("score", 9).alias("score"), "appearance", "priority")
 
 
-@register(f"WITH {_SCORED}{recommend_sql(10, 1, 'ASC')}")
-def q60_bottom_groups(spark, sf):
-    return recommend.recommend(scored(spark, sf), 10, 1, ascending=True).withColumn("score", F.round("score", 9))
-
-
 @register()
 def q61_render_png(spark, sf):
     chosen = recommend.recommend(scored(spark, sf), 3, 2)

@@ -8,10 +8,9 @@ from pyspark.sql import functions as F
 
 from cubelens.dimension import DimensionSpec
 from cubelens.functions import intensity as I
-from cubelens.operators import baselines, binning, cube, image, recommend
+from cubelens.operators import baselines, binning, cube, image
 from cubelens.operators.rank import build_ranks
 from cubelens.queries import base as Q
-from cubelens.queries.images import groups_sql
 from cubelens.sources import catalog as C
 
 queries, oracles = {}, {}
@@ -108,18 +107,6 @@ oracles["q77_geo_categorical"] = (
     "e AS (SELECT min(p) AS lo, max(p) AS hi FROM g) SELECT CAST(x AS INT) AS x, CAST(least(((p - lo) * 16) // (hi - lo), 15) AS INT) AS y, count(*) AS v FROM g, e GROUP BY 1, 2"
 )
 
-_MANY = [S[k] for k in ("price", "net_revenue", "quantity", "discount", "ship_time", "part_key", "retail_price", "unit_price", "return_flag", "line_status")]
-
-
-def q78_recommender(spark, sf):
-    """Ten dimensions, 12 images for each of 120 triples, 45 groups in order."""
-    c = cube.build_cube(Q.binned(spark, sf, _MANY, 8), _MANY, 8, [], "local_dense")
-    g = recommend.score_groups(recommend.score_images(image.slab_images(c, _MANY, 8, 4), 8))
-    return g.select("xdim", "ydim", F.round("score", 9).alias("score"), "images", "group_rank")
-
-
-oracles["q78_recommender"] = f"WITH {Q.images_sql(_MANY, 8, 4)}{Q.scores_sql(8)}{groups_sql()} SELECT xdim, ydim, round(score, 9) AS score, images, group_rank FROM ordered"
-
 _THIRTEEN = C.STAR_DIMS[:13]
 
 
@@ -130,26 +117,6 @@ def q79_pairs13(spark, sf):
 
 oracles["q79_pairs13"] = f"WITH {Q.binned_sql(_THIRTEEN, 100)} " + " UNION ALL ".join(f"SELECT {k} AS pair, {a.bin} AS b0, {b.bin} AS b1, count(*) AS cnt FROM binned GROUP BY 2, 3" for k, (a, b) in enumerate(combinations(_THIRTEEN, 2)))
 
-
-
-_SIZES = (2, 16, 64, 256, 1024)
-
-
-def q79b_subset_sensitivity(spark, sf):
-    """Evenness of 16 bins over ranks of contiguous subsets, 2**16 ranks and 2**10 fine buckets: it breaks below 1/64."""
-    total, spec = 1 << 16, DimensionSpec("v", ("v",))
-    out = None
-    for k in _SIZES:
-        aug = spark.range(total // k).select(F.col("id").alias("v"), F.col("id").alias("rk_v"))
-        part = binning.bin_balance(binning.bin_by_histogram(aug, [spec], total, 16, 10), [spec], 16).select(F.lit(k).alias("part"), "bins_used", "least", "most")
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
-oracles["q79b_subset_sensitivity"] = " UNION ALL ".join(
-    f"SELECT {k} AS part, count(*) AS bins_used, CASE WHEN count(*) < 16 THEN 0 ELSE min(n) END AS least, max(n) AS most FROM (SELECT ((id // 64) * 64) // {-(-(65536 // k) // 16)} AS b, count(*) AS n FROM (SELECT unnest(range({65536 // k})) AS id) GROUP BY 1)" for k in _SIZES
-)
-
 _COORDS = [DimensionSpec(f"e{i}", (f"e{i}",)) for i in range(6)]
 
 
@@ -184,5 +151,5 @@ oracles["q79d_null_population"] = (
     + " FROM documents LEFT JOIN labels USING (doc_id)"
 )
 
-for _f in (q79b_subset_sensitivity, q79c_coordinates, q79d_null_population, q75_packed_week_time, q76_geo_slabs, q77_geo_categorical, q78_recommender, q79_pairs13):
+for _f in (q79c_coordinates, q79d_null_population, q75_packed_week_time, q76_geo_slabs, q77_geo_categorical, q79_pairs13):
     queries[_f.__name__] = _f

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from cubelens.explore import explore
 from cubelens.queries import base
 
-MODULES = ("normal", "plan", "cubes", "images", "scenarios", "surround", "stream")
+MODULES = ("normal", "plan", "cubes", "experiments", "images", "scenarios", "surround", "stream")
 
 
 def _modules():
