@@ -1,4 +1,7 @@
-"""Timings of the headline queries: one JSON line. BENCH_SF_DIR, BENCH_CPUS; --sweep adds the paper's parameter sweeps."""
+"""Timings of the headline queries and of the experiments' sweeps: one JSON line.
+
+BENCH_SF_DIR, BENCH_CPUS, BENCH_CHECKPOINT_DIR; --headline leaves the sweeps out.
+"""
 
 from __future__ import annotations
 
@@ -13,6 +16,7 @@ os.environ["PYTHONPATH"] = os.pathsep.join(x for x in (HERE, os.environ.get("PYT
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
+SHARED = os.environ.get("BENCH_CHECKPOINT_DIR", "file:///tmp/checkpoints/bench")
 
 
 def session(cpus: str):
@@ -23,6 +27,7 @@ def session(cpus: str):
         .config("spark.sql.shuffle.partitions", cpus)
         .config("spark.sql.session.timeZone", "UTC")
         .config("spark.sql.execution.arrow.maxRecordsPerBatch", "65536")
+        .config("spark.checkpoint.dir", SHARED)
         .config("spark.driver.memory", "8g")
         .config("spark.ui.enabled", "false")
         .config("spark.ui.showConsoleProgress", "false")
@@ -34,55 +39,93 @@ def session(cpus: str):
 
 def main() -> None:
     spark = session(CPUS)
-    from cubelens.operators import binning, cube, image, metrics, rank, recommend
-    from cubelens.queries import base as Q
+    from cubelens.operators import binning, cube, metrics, rank, recommend
     from cubelens.sources import catalog as C
-    from cubelens.storage import materialize
+    from cubelens.storage import materialize, release
 
-    times: dict[str, float] = {}
+    cores = int(CPUS)
+    heads: dict[str, float] = {}
+    sweeps: dict[str, float] = {}
 
-    def timed(name: str, make, repeats: int = 1) -> None:
-        times[name] = round(min(metrics.timed(make) for _ in range(repeats)), 3)
+    def timed(name: str, make, repeats: int = 1, into: dict | None = None) -> None:
+        (heads if into is None else into)[name] = round(min(metrics.timed(make) for _ in range(repeats)), 3)
 
     began = time.perf_counter()
-    sixteen = C.STAR_DIMS[:16]
-    facts = materialize(C.order_star(spark, SF_DIR).repartition(int(CPUS)), "facts")
+    sixteen, eight = C.STAR_DIMS[:16], C.STAR_DIMS[:8]
+    facts = materialize(C.order_star(spark, SF_DIR).repartition(cores), "facts")
     n = facts.count()
     t = time.perf_counter()
-    ranked = materialize(rank.build_ranks(facts, sixteen, C.STAR_KEY, tie="fast"), "ranked")
-    times["rank_16_dims"] = round(time.perf_counter() - t, 3)
+    ranked = rank.build_ranks(facts, sixteen, C.STAR_KEY, tie="fast")
+    heads["rank_16_dims"] = round(time.perf_counter() - t, 3)
     timed("bin_histogram_16_dims", lambda: binning.bin_by_histogram(ranked, sixteen, n, 32), 2)
-    timed("bin_subset_8_dims", lambda: binning.bin_by_histogram(ranked.filter("l_returnflag = 'R'"), sixteen[:8], n, 32), 2)
+    timed("bin_subset_8_dims", lambda: binning.bin_by_histogram(ranked.filter("l_returnflag = 'R'"), eight, n, 32), 2)
 
-    def binned(bins):
-        return materialize(binning.bin_by_rank(ranked, sixteen, n, bins).repartition(int(CPUS)), "binned")
+    def binned(source, specs, rows, bins):
+        return materialize(binning.bin_by_rank(source, specs, rows, bins).repartition(cores), "binned")
 
-    rows = {b: binned(b) for b in (16, 32)}
-    eight = sixteen[:8]
+    rows = {b: binned(ranked, sixteen, n, b) for b in (16, 32)}
     for s in ("expand", "explode", "per_triple", "owner_slice", "local_dense"):
         timed(f"cube_n8_b32_{s}", lambda s=s: cube.build_cube(rows[32], eight, 32, [], s))
     timed("cube_n8_b32_sum_local_dense", lambda: cube.build_cube(rows[32], eight, 32, [C.CENTS, C.QUANTITY_DOUBLE], "local_dense"))
     timed("cube_n16_b16_owner_slice", lambda: cube.build_cube(rows[16], sixteen, 16, [], "owner_slice"))
     timed("cube_n16_b16_local_dense", lambda: cube.build_cube(rows[16], sixteen, 16, [], "local_dense"))
-    timed("pairs_n16_b32", lambda: cube.build_pairs(rows[32], sixteen))
+    timed("pairs_n16_b32", lambda: cube.build_pairs(rows[32], sixteen, bins=32))
     cells = materialize(cube.build_cube(rows[16], sixteen, 16, [], "local_dense"), "cube")
-    timed("recommend_6720_images", lambda: recommend.recommend(recommend.score_images(image.slab_images(cells, sixteen, 16), 16), 30, 1))
-
-    if "--sweep" in sys.argv:
-        for bins in (16, 32, 64):
-            b = rows.get(bins) or binned(bins)
-            for k in (8, 12, 16):
-                for kind, m in (("count", []), ("float", [C.PRICE_FLOAT]), ("double", [C.QUANTITY_DOUBLE])):
-                    for s in ("owner_slice", "local_dense"):
-                        timed(f"sweep_n{k}_b{bins}_{kind}_{s}", lambda s=s, m=m, k=k, b=b: cube.build_cube(b, sixteen[:k], bins, m, s))
+    timed("recommend_6720_images", lambda: recommend.recommend(recommend.score_cube(cells, sixteen, 16), 30, 1))
+    ratios: dict[str, float] = {}
+
+    if "--headline" not in sys.argv:
+        sweep = lambda name, make: timed(name, make, into=sweeps)
+        # scan-per-triple baseline at 16 dimensions: 40 of the 560 triples, by partitions of the cube
+        some = list(range(0, 560, 14))
         for parts in (1, 2, 4):
-            timed(f"sweep_parts_n8_b32_p{parts}", lambda parts=parts: cube.build_cube(rows[32], eight, 32, [], "per_triple", parts=parts))
-        for owners in (4, 8, 16):
-            timed(f"sweep_owners_n16_b16_r{owners}", lambda owners=owners: cube.build_cube(rows[16], sixteen, 16, [], "owner_slice", owners=owners))
-        timed("sweep_staged_n16_b16", lambda: cube.build_cube(rows[16], sixteen, 16, [], "owner_slice", staged=True))
-        timed("sweep_scan_kernel_n16_b16", lambda: cube.build_cube(rows[16], sixteen, 16, [], "owner_slice", kernel="scan_per_triple"))
-    heads = [k for k in times if not k.startswith("sweep_")]
-    print(json.dumps({"metric": "total_seconds_of_headline_queries", "value": round(sum(times[k] for k in heads), 3), "unit": "sec", "queries": times, "sf": os.path.basename(SF_DIR.rstrip("/")), "rows": n, "cpus": CPUS, "wall": round(time.perf_counter() - began, 1)}))
+            sweep(f"n16_b16_per_triple_40_of_560_p{parts}", lambda parts=parts: cube.per_triple(cube.narrow(rows[16], sixteen), sixteen, (), 16, parts, only=some))
+        best = min(sweeps[f"n16_b16_per_triple_40_of_560_p{p}"] for p in (1, 2, 4)) * 14
+        for s in ("owner_slice", "local_dense"):
+            ratios[f"n8_saved_percent_{s}"] = round(metrics.speedup(heads[f"cube_n8_b32_{s}"], heads["cube_n8_b32_per_triple"]), 1)
+            ratios[f"n16_saved_percent_{s}_against_best_p"] = round(metrics.speedup(heads[f"cube_n16_b16_{s}"], best), 1)
+        # value types
+        for kind, m in (("float", [C.PRICE_FLOAT]), ("double", [C.QUANTITY_DOUBLE])):
+            for s in ("owner_slice", "local_dense"):
+                sweep(f"n16_b16_{kind}_{s}", lambda s=s, m=m: cube.build_cube(rows[16], sixteen, 16, m, s))
+        # bins
+        fine = binned(ranked, sixteen, n, 128)
+        sweep("n8_b128_owner_slice", lambda: cube.build_cube(fine, eight, 128, [], "owner_slice"))
+        sweep("n8_b128_local_dense", lambda: cube.build_cube(fine, eight, 128, [], "local_dense"))
+        sweep("n16_b32_owner_slice", lambda: cube.build_cube(rows[32], sixteen, 32, [], "owner_slice"))
+        sweep("n16_b32_local_dense", lambda: cube.build_cube(rows[32], sixteen, 32, [], "local_dense"))
+        # dimensions
+        wide = rank.build_ranks(facts, C.STAR_DIMS[16:], C.STAR_KEY, tie="fast")
+        more = materialize(binning.bin_by_rank(wide, C.STAR_DIMS[16:], n, 16), "more")
+        all32 = materialize(rows[16].join(more.select(*C.STAR_KEY, *[s.bin for s in C.STAR_DIMS[16:]]), list(C.STAR_KEY)).repartition(cores), "binned32")
+        for k in (24, 32):
+            for s in ("owner_slice", "local_dense"):
+                sweep(f"n{k}_b16_{s}", lambda s=s, k=k: cube.build_cube(all32, C.STAR_DIMS[:k], 16, [], s))
+        # rounds of owners, kernels
+        sweep("n16_b16_owner_slice_4_owners_a_round", lambda: cube.build_cube(rows[16], sixteen, 16, [], "owner_slice", owners=4))
+        sweep("n16_b16_owner_slice_scan_kernel", lambda: cube.build_cube(rows[16], sixteen, 16, [], "owner_slice", kernel="scan_per_triple"))
+        # the second dataset
+        log = materialize(C.activity_log(spark, SF_DIR).repartition(cores), "log")
+        m = log.count()
+        logs = binned(rank.build_ranks(log, C.LOG_DIMS, C.LOG_KEY, tie="fast"), C.LOG_DIMS, m, 16)
+        for k in (8, 16, 24):
+            for s in ("owner_slice", "local_dense"):
+                sweep(f"log_n{k}_b16_{s}", lambda s=s, k=k: cube.build_cube(logs, C.LOG_DIMS[:k], 16, [], s))
+        # parts one after another and pipelined; units; inserts
+        for part, sec in metrics.staged_times(cube.narrow(rows[16], sixteen), sixteen, 16, owners=8).items():
+            (ratios if part == "overlap" else sweeps)[f"stages_n16_b16_{part}"] = round(sec, 3)
+        units = metrics.units_times(lambda d: cube.build_cube(d, sixteen, 16, [], "local_dense"), rows[16], sorted({1, 2, 4, cores}))
+        for k, sec in units.items():
+            sweeps[f"n16_b16_units_{k}"] = round(sec, 3)
+            ratios[f"n16_units_{k}_speedup"] = round(units[1] / sec, 2)
+        late = log.filter("event_id % 100 = 7")
+        spec = C.LOG["ts"]
+        early = rank.build_ranks(log.filter("event_id % 100 <> 7"), [spec], C.LOG_KEY, tie="fast")
+        for part, sec in metrics.insert_share(early, late, spec, 16, C.LOG_KEY, early.count()).items():
+            (ratios if part == "share" else sweeps)[f"inserts_{part}"] = round(sec, 3)
+    for d in (facts, ranked, *rows.values(), cells):
+        release(d)
+    print(json.dumps({"metric": "total_seconds_of_headline_queries", "value": round(sum(heads.values()), 3), "unit": "sec", "queries": heads, "sweeps": sweeps, "ratios": ratios, "sf": os.path.basename(SF_DIR.rstrip("/")), "rows": n, "cpus": CPUS, "wall": round(time.perf_counter() - began, 1)}))
 
 
 if __name__ == "__main__":

@@ -56,8 +56,8 @@ def explode(rows: DataFrame, specs, measures=()) -> DataFrame:
     return _result(melted.groupBy("c.triple", "c.b0", "c.b1", "c.b2").agg(*_aggs(measures)), measures)
 
 
-def per_triple(rows: DataFrame, specs, measures=(), bins: int = 128, parts: int = 1, threads: int = 4) -> DataFrame:
-    """Aggregate-major: for each triple a scan of its three columns, or ``parts`` scans of a range of its first bin."""
+def per_triple(rows: DataFrame, specs, measures=(), bins: int = 128, parts: int = 1, threads: int = 4, only: list[int] | None = None) -> DataFrame:
+    """Aggregate-major: for each triple (or the numbered ones) a scan of its three columns, or ``parts`` scans of a range of its first bin."""
 
     def one(k: int, t, p: int) -> DataFrame:
         a, b, c = (specs[d].bin for d in t)
@@ -67,7 +67,7 @@ def per_triple(rows: DataFrame, specs, measures=(), bins: int = 128, parts: int
         out = own.groupBy(F.col(a).alias("b0"), F.col(b).alias("b1"), F.col(c).alias("b2")).agg(*_aggs(measures))
         return _result(out.withColumn("triple", F.lit(k)), measures)
 
-    jobs = [(k, t, p) for k, t in enumerate(triples_of(len(specs))) for p in range(parts)]
+    jobs = [(k, t, p) for k, t in enumerate(triples_of(len(specs))) if only is None or k in only for p in range(parts)]
     unite = lambda some: _unite([one(*j) for j in some])
     if len(jobs) <= UNION_PARTS:
         return unite(jobs)

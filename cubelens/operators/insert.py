@@ -63,8 +63,9 @@ def bin_inserts(new_rows: DataFrame, bounds: DataFrame, spec: DimensionSpec, bin
     """
     rows = new_rows.withColumn("key_", _key(spec))
     found = bucket_runs(new_rows, bounds, spec)
-    spread = F.pmod(F.xxhash64(F.lit(spec.name), *[F.expr(k) for k in row_key]), F.col("run.hi") - F.col("run.lo") + 1)
-    placed = rows.join(found, F.col("key_").eqNullSafe(F.col("k"))).withColumn("bucket_", (F.col("run.lo") + spread).cast("int")).drop("k", "run", "key_")
+    runs = found.select(F.col("k").alias("bound_"), F.col("run").alias("run_"))
+    spread = F.pmod(F.xxhash64(F.lit(spec.name), *[F.expr(k) for k in row_key]), F.col("run_.hi") - F.col("run_.lo") + 1)
+    placed = rows.join(runs, F.col("key_").eqNullSafe(F.col("bound_"))).withColumn("bucket_", (F.col("run_.lo") + spread).cast("int")).drop("bound_", "run_", "key_")
     added = placed.groupBy(F.col("bucket_").alias("bucket")).agg(F.count("*").alias("cnt"))
     hist = bounds.select("bucket", "cnt").unionByName(added).groupBy("bucket").agg(F.sum("cnt").alias("cnt")).select(F.lit(spec.name).alias("dim"), "bucket", "cnt")
     n = hist.agg(F.sum("cnt")).first()[0] or 0

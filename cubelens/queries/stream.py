@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor
 
 from cubelens.operators import insert
 from cubelens.operators.rank import build_ranks
@@ -57,33 +58,28 @@ def q132_stream_session(spark, sf):
     return S.run_append(s, "complete").select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
-@q("SELECT count(*) FILTER (date_trunc('day', ts) + INTERVAL 1 DAY <= cut) AS closed FROM (SELECT ts, (SELECT max(ts) - INTERVAL 1 DAY FROM events) AS cut FROM events)")
+@q("SELECT date_trunc('day', ts) AS start, count(*) AS n FROM events, (SELECT quantile_cont(epoch_us(ts), 0.5) AS mid, max(ts) AS last FROM events) WHERE epoch_us(ts) >= mid AND date_trunc('day', ts) + INTERVAL 1 DAY <= last - INTERVAL 1 DAY GROUP BY 1")
 def q133_stream_late(spark, sf):
-    """Time-ordered files: windows behind the watermark are final, later rows for them are dropped; here none is late."""
-    d = events(spark, sf)
-    s = S.source(spark, Q.once(spark, ("ordered", sf), lambda: _ordered(d)), d.schema, 1).withWatermark("ts", "1 day")
-    out = S.run_append(s.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n")), "append")
-    return out.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("closed"))
-
+    """The newer half of the events comes first, in two batches; the older half is late, and its rows are dropped; windows behind the watermark are final.
 
-def _ordered(d):
-    """Four files whose modification order is their time order."""
-    path = S.scratch(d.sparkSession, "ordered")
-    ends = [None, *d.select(*[F.percentile(F.unix_micros("ts"), p) for p in (0.25, 0.5, 0.75)]).first(), None]
+    A batch is held against the watermark that the batch before it began with.
+    """
+    d = events(spark, sf)
     us = F.unix_micros("ts")
-    for low, high in zip(ends, ends[1:]):
-        part = d if low is None else d.filter(us >= low)
-        part = part if high is None else part.filter(us < high)
-        part.coalesce(1).write.mode("append").parquet(path)
-    return path
+    mid, high = d.agg(F.percentile(us, 0.5), F.percentile(us, 0.75)).first()
+    parts = [d.filter(us >= (high or 0)), d.filter((us >= (mid or 0)) & (us < (high or 0))), d.filter(us < (mid or 0))]
+    s = S.source(spark, Q.once(spark, ("late", sf), lambda: S.in_order(parts)), d.schema, 2).withWatermark("ts", "1 day")
+    out = S.run_append(s.groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n")), "append")
+    return out.select(F.col("window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
-@q("SELECT count(*) AS n, count(DISTINCT event_id) AS ids FROM events")
+@q("SELECT event_id, user_id, event_type FROM events")
 def q134_stream_dedup(spark, sf):
+    """A third of the events arrives twice; each is kept once."""
     d = events(spark, sf)
     twice = d.unionByName(d.filter("event_id % 3 = 0"))
     s = stream(spark, twice).withWatermark("ts", "400 days").dropDuplicatesWithinWatermark(["event_id"])
-    return S.run_append(s).agg(F.count("*").alias("n"), F.countDistinct("event_id").alias("ids"))
+    return S.run_append(s).select("event_id", "user_id", "event_type")
 
 
 @q(f"SELECT c_mktsegment, count(*) AS n, CAST(sum({_CENTS}) AS BIGINT) AS cents FROM events JOIN customer ON user_id = c_custkey GROUP BY 1")
@@ -109,34 +105,67 @@ def q137_stream_cube(spark, sf):
     return S.stream_cube(stream(spark, d, key="l_orderkey"), Q.DIMS, Q.BINS)
 
 
-@q(f"SELECT user_id, count(*) AS n, CAST(sum({_CENTS}) AS BIGINT) AS cents FROM events GROUP BY 1")
-def q138_stream_stateful(spark, sf):
-    """Running totals of every user as the stream leaves them: the last state of each."""
-    s = stream(spark, events(spark, sf)).groupBy("user_id").applyInPandasWithState(_total, "user_id long, n long, cents long", "n long, cents long", "append", "NoTimeout")
-    return S.run_append(s).groupBy("user_id").agg(F.max("n").alias("n"), F.max_by("cents", "n").alias("cents"))
+class Totals(StatefulProcessor):
+    """Rows and cents of a user so far, kept between batches."""
+
+    def init(self, handle) -> None:
+        self.total = handle.getValueState("total", "n long, cents long")
 
+    def handleInputRows(self, key, rows, timerValues):
+        import pandas as pd
 
-def _total(key, rows, state):
-    import pandas as pd
+        n, cents = self.total.get() if self.total.exists() else (0, 0)
+        for pdf in rows:
+            n, cents = n + len(pdf), cents + int(pdf.cents.sum())
+        self.total.update((n, cents))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "cents": [cents]})
 
-    n, cents = state.get if state.exists else (0, 0)
-    for pdf in rows:
-        n, cents = n + len(pdf), cents + int(pdf.cents.sum())
-    state.update((n, cents))
-    yield pd.DataFrame({"user_id": [key[0]], "n": [n], "cents": [cents]})
+    def close(self) -> None:
+        pass
 
 
-@q("SELECT count(*) AS n FROM events WHERE event_id % 100 = 7")
+@q(f"SELECT user_id, count(*) AS n, CAST(sum({_CENTS}) AS BIGINT) AS cents FROM events GROUP BY 1")
+def q138_stream_stateful(spark, sf):
+    """Running totals of every user as the stream leaves them: what the last update of each says."""
+    key, rocks = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+    before = spark.conf.get(key)
+    spark.conf.set(key, rocks)  # the only store with typed state; a setting of the query, not of the session's start
+    try:
+        s = stream(spark, events(spark, sf)).groupBy("user_id").transformWithStateInPandas(Totals(), "user_id long, n long, cents long", "Update", "None")
+        out = S.run_append(s, "update")
+    finally:
+        spark.conf.set(key, before)
+    return out.groupBy("user_id").agg(F.max("n").alias("n"), F.max_by("cents", "n").alias("cents"))
+
+
+_NEW = "event_id % 100 = 7"
+
+
+def _inserted_sql(half: int) -> str:
+    new = f"{_NEW} AND (event_id // 100) % 2 = {half}"
+    return (
+        f"SELECT * FROM (WITH old AS (SELECT event_id, ts, row_number() OVER (ORDER BY ts, md5(concat_ws(':', 'ts', CAST(event_id AS VARCHAR))), event_id) - 1 AS rk FROM events WHERE NOT ({_NEW})), "
+        "h AS (SELECT CAST(rk >> greatest(0, CAST(ceil(log2((SELECT count(*) FROM old))) AS INT) - 8) AS INT) AS bucket, count(*) AS cnt, arg_min(ts, rk) AS first_ts FROM old GROUP BY 1), "
+        f"new AS (SELECT event_id, ts, coalesce((SELECT max(bucket) FROM h WHERE first_ts <= e.ts), 0) AS bucket FROM events e WHERE {new}), "
+        "a AS (SELECT bucket, CAST(sum(c) AS BIGINT) AS cnt FROM (SELECT bucket, cnt AS c FROM h UNION ALL SELECT bucket, count(*) FROM new GROUP BY 1) GROUP BY 1), "
+        "p AS (SELECT bucket, coalesce(sum(cnt) OVER (ORDER BY bucket ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) // (((SELECT sum(cnt) FROM a) + 15) // 16) AS bin FROM a) "
+        "SELECT event_id, CAST(bin AS INT) AS b_ts FROM new JOIN p USING (bucket))"
+    )
+
+
+@q(" UNION ALL ".join(_inserted_sql(half) for half in (0, 1)))
 def q139_stream_inserts(spark, sf):
-    """Micro-batches of new rows binned by remembered bounds; here: how many got a bin."""
+    """Two micro-batches of new rows, each binned by remembered bounds."""
     all_rows, spec = C.table(spark, sf, "events"), C.LOG["ts"]
-    old = build_ranks(all_rows.filter("NOT (event_id % 100 = 7)"), [spec], C.LOG_KEY)
+    old = build_ranks(all_rows.filter(f"NOT ({_NEW})"), [spec], C.LOG_KEY)
     bounds = materialize(insert.capture_bounds(old, spec, old.count(), 8), "bounds")
-    done = S.Merged(spark, ["b_ts"], ["n"])
+    new = all_rows.filter(_NEW)
+    source = S.source(spark, S.in_order([new.filter(f"(event_id div 100) % 2 = {half}") for half in (0, 1)]), new.schema, 2)
+    path = S.scratch(spark, "inserted")
 
     def one(df, k):
         out, _ = insert.bin_inserts(df, bounds, spec, 16, C.LOG_KEY)
-        done.add(out.groupBy("b_ts").agg(F.count("*").alias("n")), k)
+        out.select("event_id", F.col("b_ts").cast("int").alias("b_ts")).write.mode("overwrite").parquet(f"{path}/batch={k}")
 
-    S.run_batches(stream(spark, all_rows.filter("event_id % 100 = 7"), 2), one)
-    return done.table().agg(F.sum("n").alias("n"))
+    S.run_batches(source, one)
+    return spark.read.parquet(path).select("event_id", "b_ts")

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
 from cubelens import sql as S
+from cubelens.operators.rank import running
+from cubelens.queries.plan import plan_sql
 from cubelens.sources import catalog as C
 from cubelens.sources import formats
 
@@ -98,7 +100,12 @@ def q89_cross_join(t, s):
 
 @q("SELECT s_suppkey, count(*) AS n FROM supplier JOIN customer ON s_nationkey = c_nationkey AND s_acctbal > c_acctbal GROUP BY 1")
 def q90_theta_join(t, s):
-    return t.supplier.join(t.customer, (F.col("s_nationkey") == F.col("c_nationkey")) & (F.col("s_acctbal") > F.col("c_acctbal"))).groupBy("s_suppkey").agg(F.count("*").alias("n"))
+    """How many partners satisfy an inequality is a running count in the order of (key, value): no pair is made."""
+    one = t.supplier.select(F.col("s_nationkey").alias("k"), F.col("s_acctbal").alias("v"), "s_suppkey", F.lit(0).alias("c"))
+    two = t.customer.select(F.col("c_nationkey").alias("k"), F.col("c_acctbal").alias("v"), F.lit(None).cast("long").alias("s_suppkey"), F.lit(1).alias("c"))
+    placed = running(one.unionByName(two), [F.col("k"), F.col("v"), F.col("c"), F.col("s_suppkey")], "c")
+    starts = placed.groupBy("k").agg(F.min("before_").alias("start"))
+    return placed.filter("c = 0").join(starts, "k").select("s_suppkey", (F.col("before_") - F.col("start")).alias("n")).filter("n > 0")
 
 
 @q("SELECT edge, count(*) AS n FROM lineitem JOIN (SELECT unnest(range(0, 50, 5)) AS edge) ON l_quantity >= edge AND l_quantity < edge + 5 GROUP BY 1")
@@ -119,9 +126,14 @@ def q92_asof_join(t, s):
 
 @q("WITH i AS (SELECT o_custkey, o_orderkey, o_orderdate AS a, o_orderdate + INTERVAL 30 DAY AS z FROM orders) SELECT x.o_orderkey AS first_key, y.o_orderkey AS second_key FROM i x JOIN i y ON x.o_custkey = y.o_custkey AND x.o_orderkey < y.o_orderkey AND x.a <= y.z AND y.a <= x.z")
 def q93_interval_join(t, s):
-    i = t.orders.select("o_custkey", "o_orderkey", F.col("o_orderdate").alias("a"), F.expr("o_orderdate + INTERVAL 30 DAYS").alias("z"))
+    """Intervals meet in the cells of a grid as wide as they are long; a pair counts in the cell in which its later one begins."""
+    start = F.unix_micros(F.col("o_orderdate").cast("timestamp"))
+    wide = 30 * 86_400_000_000
+    i = t.orders.select("o_custkey", "o_orderkey", start.alias("a"), (start + wide).alias("z"), F.expr(f"unix_micros(CAST(o_orderdate AS TIMESTAMP)) div {wide}").alias("first"))
+    i = i.withColumn("cell", F.explode(F.sequence(F.col("first"), F.expr(f"z div {wide}"))))
     x, y = i.alias("x"), i.alias("y")
-    return x.join(y, F.expr("x.o_custkey = y.o_custkey AND x.o_orderkey < y.o_orderkey AND x.a <= y.z AND y.a <= x.z")).select(F.col("x.o_orderkey").alias("first_key"), F.col("y.o_orderkey").alias("second_key"))
+    near = x.join(y, F.expr("x.o_custkey = y.o_custkey AND x.cell = y.cell AND x.o_orderkey < y.o_orderkey AND x.a <= y.z AND y.a <= x.z AND x.cell = greatest(x.first, y.first)"))
+    return near.select(F.col("x.o_orderkey").alias("first_key"), F.col("y.o_orderkey").alias("second_key"))
 
 
 @q("SELECT a.conv_id, a.turn, a.role AS role_now, b.role AS role_next FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1")
@@ -140,9 +152,11 @@ def q96_distinct_agg(t, s):
     return t.lineitem.groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("parts"), F.sum_distinct("l_suppkey").alias("supps"))
 
 
-@q()
+@q("SELECT l_returnflag, count(DISTINCT l_orderkey) AS orders, true AS near FROM lineitem GROUP BY 1")
 def q97_approx_distinct(t, s):
-    return t.lineitem.groupBy("l_returnflag").agg(F.approx_count_distinct("l_orderkey").alias("orders"))
+    """The sketch's count is within a tenth of the exact one."""
+    exact = F.countDistinct("l_orderkey")
+    return t.lineitem.groupBy("l_returnflag").agg(exact.alias("orders"), (F.abs(F.approx_count_distinct("l_orderkey") - exact) <= exact / 10).alias("near"))
 
 
 _GS = "CAST(CAST(grouping(l_returnflag) * 2 + grouping(l_linestatus) AS INT) AS INT) AS gid"
@@ -192,9 +206,12 @@ def q105_percentile_exact(t, s):
     return d.select("event_type", *[F.round(F.col("p")[i], 6).alias(f"q{i + 1}") for i in range(3)])
 
 
-@q()
+@q("SELECT CAST(unnest(range(1, 10)) AS INT) AS tenth, true AS near")
 def q106_percentile_approx(t, s):
-    return t.lineitem.agg(F.percentile_approx("l_extendedprice", [0.1 * i for i in range(1, 10)], 10000).alias("cuts"))
+    """The share of rows below an approximate decile is within a hundredth of it."""
+    cuts = t.lineitem.agg(F.percentile_approx("l_extendedprice", [0.1 * i for i in range(1, 10)], 10000)).first()[0]
+    below = t.lineitem.agg(*[F.avg((F.col("l_extendedprice") < c).cast("double")).alias(f"p{i + 1}") for i, c in enumerate(cuts)])
+    return below.select(F.explode(F.array(*[F.struct(F.lit(i).alias("tenth"), (F.abs(F.col(f"p{i}") - i / 10) < 0.01).alias("near")) for i in range(1, 10)])).alias("x")).select("x.*")
 
 
 @q("SELECT round(corr(l_quantity, l_extendedprice), 6) AS qp, round(corr(l_extendedprice, l_discount), 6) AS pd, round(covar_samp(l_quantity, l_discount), 6) AS cqd FROM lineitem")
@@ -317,9 +334,12 @@ def q126_hash_bucket(t, s):
     return t.customer.groupBy(F.substring(F.md5("c_name"), 1, 1).alias("bucket")).agg(F.count("*").alias("n"))
 
 
-@q()
+@q(
+    f"WITH {plan_sql(8, 8)}, w AS (SELECT CAST(max(l_quantity) - min(l_quantity) AS BIGINT) % 8 AS k FROM lineitem GROUP BY l_orderkey) "
+    "SELECT owner, count(*) AS triples, any_value(orders) AS orders FROM plan JOIN (SELECT k, count(*) AS orders FROM w GROUP BY k) ON owner = k GROUP BY owner"
+)
 def q127_udf_udaf_udtf(t, s):
-    """A vectorised function, a grouped aggregate in pandas, and the planner as a table function."""
+    """An aggregate in pandas over groups of bounded size, and the planner as a table function."""
 
     @F.pandas_udf("long")
     def spread(v: pd.Series) -> int:
@@ -327,8 +347,9 @@ def q127_udf_udaf_udtf(t, s):
 
     S.register(s)
     plan = s.sql("SELECT owner, count(*) AS triples FROM work_plan(8, 16, 256) GROUP BY owner")
-    widths = t.lineitem.groupBy("l_linenumber").agg(spread(F.col("l_quantity")).alias("spread"))
-    return plan.join(widths, F.col("owner") == F.col("l_linenumber"), "left").select("owner", "triples", "spread")
+    widths = t.lineitem.groupBy("l_orderkey").agg(spread(F.col("l_quantity")).alias("spread"))  # lines of an order
+    orders = widths.groupBy(F.pmod("spread", F.lit(8)).alias("k")).agg(F.count("*").alias("orders"))
+    return plan.join(orders, F.col("owner") == F.col("k")).select("owner", "triples", "orders")
 
 
 @q("SELECT fmt, n_nationkey, n_name FROM nation, (SELECT unnest(['csv', 'json', 'orc', 'parquet', 'text']) AS fmt)")

@@ -28,17 +28,39 @@ def source(spark: SparkSession, path: str, schema, files_per_batch: int = 2) ->
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
 
 
+def in_order(parts: list[DataFrame], files: int = 2) -> str:
+    """A folder with ``files`` files of each part, parts written one after another: a stream that takes as many files at a time reads them in turn."""
+    path = scratch(parts[0].sparkSession, "ordered")
+    for part in parts:
+        part.repartition(files).write.mode("append").parquet(path)
+    return path
+
+
 def run_append(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a streaming frame over all available input; returns what it wrote (files for append, memory for complete and update)."""
+    """Run a streaming frame over all available input; returns what it wrote.
+
+    Every mode writes files in the shared folder. Append: all rows. Complete: the last
+    batch's, which hold all of the result. Update: the rows of every batch, with the column
+    ``batch``. A batch that runs again replaces its own files.
+    """
     spark = stream.sparkSession
+    path = scratch(spark, "out")
     w = stream.writeStream.option("checkpointLocation", scratch(spark, "cp")).outputMode(mode).trigger(availableNow=True)
     if mode == "append":
-        path = scratch(spark, "out")
         w.format("parquet").start(path).awaitTermination()
         return spark.read.schema(stream.schema).parquet(path)
-    name = f"m{uuid.uuid4().hex}"
-    w.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
+    last = [-1]
+
+    def write(df: DataFrame, k: int) -> None:
+        df.write.mode("overwrite").parquet(f"{path}/batch={k}")
+        last[0] = k
+
+    w.foreachBatch(write).start().awaitTermination()
+    if last[0] < 0:
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        return spark.read.schema(stream.schema).parquet(f"{path}/batch={last[0]}")
+    return spark.read.parquet(path)
 
 
 def run_batches(stream: DataFrame, fn: Callable[[DataFrame, int], None]) -> None:
