@@ -1,15 +1,17 @@
 """Toxicity by a support vector machine over a gap-weighted subsequence kernel.
 
 The kernel of two strings sums over their common subsequences of three characters, each
-weighted by a decay for every place it spans, and is normalised by length. A sentence is
-mapped by its largest kernel value, over its words, with each of a few landmark strings,
-made orthogonal by the landmarks' own kernel matrix (Nystroem). Landmarks are words that
-labelled texts show to be toxic and the clean words most like them. Letters spelt out with
-gaps count as one word, inserted characters only stretch subsequences.
-
-Inflected forms pool their evidence: a stem (the start of words) is a landmark by itself, with
-the number of words on it that makes a text toxic. Its value in a text is that word's likeness
-in order, by a power of the kernel of the stem and the word's start of the stem's length.
+weighted by a decay for every place it spans; subsequences span at most five places, so one
+inserted character between any two is tolerated. It is normalised by length and squared. A text
+is mapped by its words' kernel values with landmark strings (Nystroem: the values are made
+orthogonal by the landmarks' own kernel matrix): of each landmark the three largest values over
+the text's distinct words count, since one word like a landmark says less than several.
+Letters spelt out with gaps count as one word, digits and signs are read as letters too.
+
+Landmarks are starts of words of labelled texts: those that the labels tell apart best, in order
+of their likelihood ratio, a fixed number for either class, with no threshold and no list of
+words. Starts pool the evidence of inflected forms, in any language. Every text gets its value
+from all landmarks, so scores are graded.
 """
 
 from __future__ import annotations
@@ -17,7 +19,7 @@ from __future__ import annotations
 import re
 import zlib
 from collections import Counter
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -27,26 +29,25 @@ from pyspark.sql import functions as F
 from cubelens.llm.arrow import map_rows, texts
 from cubelens.llm.labelled import held_out, training_rows
 
-SUBSEQUENCE, DECAY = 3, 0.7
+SUBSEQUENCE, DECAY, SPAN, POWER = 3, 0.7, 5, 2
 #: Labelled texts of each class that training reads at most.
-PER_CLASS = 2000
-#: Landmarks from clean texts at most, for each toxic one and at least.
-CLEAN_EACH, CLEAN_LANDMARKS = 2, 24
-#: Words without any likeness that a task remembers; the memory is emptied when full.
-REMEMBERED = 300_000
-#: Twice the log-likelihood ratio that a word or stem needs to be a toxic landmark.
-LEAST_EVIDENCE = 20.0
-#: A text may need so many words on a stem at most; the power of a stem's kernel.
-MOST_NEEDED, STEM_POWER = 3, 8
-#: Stem values below count as zero: words this unlike a stem share no three letters in a row with it.
-LEAST_STEM = 0.1
-#: Kernel values below count as zero.
-LEAST_KERNEL = 0.35
+PER_CLASS = 4000
+#: Landmarks from toxic and from clean texts; starts of words of this many characters at most.
+TOXIC_LANDMARKS, CLEAN_LANDMARKS, LONGEST_START = 96, 48, 10
+#: How many of a text's largest values of a landmark count.
+LARGEST = 3
+#: Words whose kernel values a task remembers; the memory is emptied when full.
+REMEMBERED = 120_000
+#: Cost of a margin's violation, folds of the calibration; a missed toxic text costs it so many false alarms.
+COST, FOLDS, MISS_COST = 0.3, 4, 3
+#: Size of the best landmark's values, and the power of the others' share of its likelihood ratio that sizes theirs.
+SCALE, SCALE_POWER = 2.0, 0.5
 #: Longer words are cut into windows of this length that overlap by half.
 LONGEST_WORD = 32
+#: Words whose subsequences are held at once.
+BATCH = 2048
 _STRIP = re.compile(r"^[\W_]+|[\W_]+$")
 _ENDS = ".,;:!?\"'()[]#*$%&|<>-"
-_SENTENCE = re.compile(r"(?<=[.!?\n])\s+|\n")
 #: Digits and signs that stand for letters.
 _LOOKALIKE = str.maketrans("013457@$!|", "oieastasii")
 
@@ -76,168 +77,149 @@ def _codes(words: list[str], width: int | None = None) -> np.ndarray:
     return out
 
 
-def raw_kernel(s: np.ndarray, t: np.ndarray, n: int = SUBSEQUENCE, decay: float = DECAY) -> np.ndarray:
-    """Unnormalised kernel of every row of ``s`` (codes, 0 = padding) with the string ``t`` (codes), or with its own row of ``t``."""
-    t = np.atleast_2d(t)
-    size = t.shape[1]
-    j = np.arange(size)
-    # a match at j counts decay for itself and for each place up to the end of t
-    reach = np.where(j[None, :] > j[:, None], decay ** (1.0 + (j[None, :] - j[:, None])), 0.0) * 1.0
-    prefix = [np.ones((len(s), size))] + [np.zeros((len(s), size)) for _ in range(n - 1)]
-    total = np.zeros(len(s))
-    for p in range(s.shape[1]):
-        c = s[:, p]
-        live = c != 0
-        same = (c[:, None] == t) & live[:, None]
-        total += decay**2 * (prefix[n - 1] * same).sum(1)
-        for i in range(n - 1, 0, -1):
-            step = (prefix[i - 1] * same) @ reach
-            prefix[i] = np.where(live[:, None], decay * prefix[i] + step, prefix[i])
-    return total
-
-
-def self_kernel(words: list[str]) -> np.ndarray:
-    """Kernel of each word with itself; words of one length go together."""
-    size = np.array([len(w) for w in words], int)
-    out = np.zeros(len(words))
-    for n in set(size.tolist()):
-        at = np.flatnonzero(size == n)
-        for part in np.array_split(at, -(-len(at) // 4096)):
-            c = _codes([words[i] for i in part])
-            out[part] = raw_kernel(c, c)
-    return out
+def subsequences(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(word, subsequence, weight, place of its last character) of all subsequences that span at most SPAN places, ordered by word and subsequence."""
+    c = _codes(words).astype(np.int64)
+    width = c.shape[1]
+    rows, keys, weights, ends = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)], [np.zeros(0, np.int64)]
+    for b in range(2, SPAN):
+        if b >= width:
+            break
+        r, at = np.nonzero(c[:, b:])
+        first, last = c[r, at] << 42, c[r, at + b]
+        for a in range(1, b):
+            rows.append(r)
+            keys.append(first | c[r, at + a] << 21 | last)  # three code points are one number
+            weights.append(np.full(len(r), DECAY ** (b + 1)))
+            ends.append(at + b)
+    r, k, w, e = (np.concatenate(x) for x in (rows, keys, weights, ends))
+    order = np.lexsort((k, r))
+    return r[order], k[order], w[order], e[order]
+
+
+def _groups(*columns: np.ndarray) -> np.ndarray:
+    """Number of the run of equal values that each place belongs to."""
+    new = np.zeros(len(columns[0]), bool)
+    for c in columns:
+        new[1:] |= np.diff(c) != 0
+    return np.cumsum(new)
 
 
-def kernel(words: list[str], landmarks: list[str], landmark_self: np.ndarray | None = None) -> np.ndarray:
-    """Normalised kernel, words by landmarks; strings of fewer than three characters have none."""
-    if not words or not landmarks:
-        return np.zeros((len(words), len(landmarks)))
-    codes = _codes(words)
-    own, theirs = self_kernel(words), self_kernel(landmarks) if landmark_self is None else landmark_self
-    raw = np.column_stack([raw_kernel(codes, np.frombuffer(t.encode("utf-32-le", "surrogatepass"), np.int32)) for t in landmarks])
-    return raw / np.sqrt(np.maximum(own[:, None] * theirs[None, :], 1e-300))
-
-
-class Screen:
-    """Which words can be like a toxic landmark: those with three fifths of its neighbouring letter pairs, at most two letters between."""
-
-    def __init__(self, landmarks: list[str]):
-        self.tables, self.masks, self.least = [], [], []
-        for t in landmarks:
-            pairs = sorted({(ord(a) & 127, ord(b) & 127) for a, b in zip(t, t[1:])})[:63]
-            table = np.zeros((128, 128), np.uint64)
-            for k, (a, b) in enumerate(pairs):
-                table[a, b] |= np.uint64(1 << k)
-            self.tables.append(table)
-            self.least.append(max(2, -(-3 * len(pairs) // 5)))
-        self.any = np.zeros((128, 128), bool)
-        for table in self.tables:
-            self.any |= table > 0
-
-    def __call__(self, words: list[str]) -> np.ndarray:
-        out = np.zeros(len(words), bool)
-        for at in range(0, len(words), 8192):
-            c = _codes(words[at : at + 8192], LONGEST_WORD) & 127  # other letters fold onto these: the screen only lets more pass
-            bits = [np.zeros(len(c), np.uint64) for _ in self.tables]
-            for gap in (1, 2, 3):
-                a, b = c[:, :-gap], c[:, gap:]
-                rows, cols = np.nonzero(self.any[a, b])
-                x, y = a[rows, cols], b[rows, cols]
-                for k, table in enumerate(self.tables):
-                    np.bitwise_or.at(bits[k], rows, table[x, y])
-            hit = np.zeros(len(c), bool)
-            for b, least in zip(bits, self.least):
-                hit |= np.bitwise_count(b) >= least
-            out[at : at + len(c)] = hit
-        return out
+@dataclass
+class Landmarks:
+    """Landmark strings by their subsequences: of each one, which landmarks have it and its normalised weights in them."""
+
+    words: list[str]
+    keys: np.ndarray = field(init=False)
+    start: np.ndarray = field(init=False)
+    owner: np.ndarray = field(init=False)
+    weight: np.ndarray = field(init=False)
+    length: np.ndarray = field(init=False)
+
+    def __post_init__(self):
+        r, k, w, _ = subsequences(self.words)
+        g = _groups(r, k) if len(r) else r
+        first = np.flatnonzero(np.diff(g, prepend=-1))
+        r, k, w = r[first], k[first], np.bincount(g, w)
+        size = np.sqrt(np.bincount(r, w * w, minlength=len(self.words)))
+        order = np.lexsort((r, k))
+        self.keys, start = np.unique(k[order], return_index=True)
+        self.start = np.append(start, len(k))
+        self.owner, self.weight = r[order], (w / np.maximum(size[r], 1e-12))[order]
+        self.length = np.array([len(t) for t in self.words], int)
+
+    def kernel(self, words: list[str]) -> np.ndarray:
+        """Kernel of words (rows) with landmarks; strings of fewer than three characters have none."""
+        return self._kernels(words)[0]
+
+    def likeness(self, words: list[str]) -> np.ndarray:
+        """Of a word and a landmark the larger of two kernels: that of the word, and that of its start as long as the landmark."""
+        return np.maximum(*self._kernels(words))
+
+    def _kernels(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        m = len(self.words)
+        out = np.zeros((2, len(words), m), np.float32)
+        if not len(self.keys):
+            return out[0], out[1]
+        for at in range(0, len(words), BATCH):
+            n = len(words[at : at + BATCH])
+            r, k, w, e = subsequences(words[at : at + n])
+            if not len(r):
+                continue
+            group = _groups(r, k)
+            holder = r[np.flatnonzero(np.diff(group, prepend=-1))]
+            norm = lambda w: np.maximum(np.sqrt(np.bincount(holder, np.bincount(group, w) ** 2, minlength=n)), 1e-12)
+            place = np.searchsorted(self.keys, k)
+            place[place == len(self.keys)] = 0
+            hit = np.flatnonzero(self.keys[place] == k)
+            times = self.start[place[hit] + 1] - self.start[place[hit]]
+            i = np.repeat(hit, times)  # once for each landmark that has the subsequence
+            j = np.arange(len(i)) - np.repeat(np.cumsum(times) - times, times) + self.start[place[i]]
+            cell, part = r[i] * m + self.owner[j], w[i] * self.weight[j]
+            out[0, at : at + n] = np.bincount(cell, part, minlength=n * m).reshape(n, m) / norm(w)[:, None]
+            own = e[i] < self.length[self.owner[j]]  # inside the word's start as long as the landmark
+            raw = np.bincount(cell[own], part[own], minlength=n * m).reshape(n, m)
+            for size in set(self.length.tolist()):
+                here = self.length == size
+                out[1, at : at + n, here] = (raw[:, here] / norm(np.where(e < size, w, 0))[:, None]).T
+        return out[0] ** POWER, out[1] ** POWER
 
 
 @dataclass
 class Model:
-    landmarks: list[str]
-    landmark_self: np.ndarray
+    landmarks: Landmarks
     whiten: np.ndarray
     w: np.ndarray
     b: float
     platt: np.ndarray
-    toxic: int
-    stems: list[tuple[str, int]]
 
     def __post_init__(self):
-        self.screen = Screen(self.landmarks[: self.toxic])
-        self.unlike: set[str] = set()
-        parts = sorted({re.escape(s[i : i + SUBSEQUENCE]) for s, _ in self.stems for i in range(len(s) - SUBSEQUENCE + 1)})
-        longest = max((len(s) for s, _ in self.stems), default=0)
-        self.stem_part = re.compile(f".{{0,{max(longest - SUBSEQUENCE, 0)}}}?(?:{'|'.join(parts)})", re.S) if parts else None
-        self.stem_self = self_kernel([s for s, _ in self.stems])
-        self.rank = np.array([n - 1 for _, n in self.stems], int)
-
-    def stem_kernels(self, words: list[str]) -> np.ndarray:
-        """Powers of the kernel of each stem with the words' starts of its length."""
-        out = np.zeros((len(words), len(self.stems)))
-        for k, (stem, _) in enumerate(self.stems):
-            starts = [w[: len(stem)] for w in words]
-            some = sorted({x for x in starts if len(x) >= SUBSEQUENCE})
-            value = dict(zip(some, kernel(some, [stem], self.stem_self[k : k + 1])[:, 0] ** STEM_POWER))
-            out[:, k] = [value.get(x, 0.0) for x in starts]
-        out[out < LEAST_STEM] = 0
-        return out
-
-    def word_kernels(self, words: set[str]) -> dict[str, np.ndarray]:
-        """Kernel rows, landmarks then stems, of the words that have a value above the least one with a toxic landmark or a stem."""
-        words = words - self.unlike
-        parts = {w: [w] if w.isalpha() and len(w) <= LONGEST_WORD else variants(w) for w in words}
-        flat = sorted({v for vs in parts.values() for v in vs if len(v) >= SUBSEQUENCE})
-        if not flat or not self.landmarks and not self.stems:
-            return {}
-        near = [v for v, k in zip(flat, self.screen(flat)) if k]
-        rows = kernel(near, self.landmarks, self.landmark_self)
-        rows[rows < LEAST_KERNEL] = 0
-        rows[~rows[:, : self.toxic].any(1)] = 0
-        on = [v for v in flat if self.stem_part.match(v)] if self.stem_part else []
-        none = np.zeros(len(self.stems))
-        stem = {v: r for v, r in zip(on, self.stem_kernels(on)) if r.any()}
-        known = {v: np.concatenate([r, stem.get(v, none)]) for v, r in zip(near, rows) if r.any()}
-        known |= {v: np.concatenate([np.zeros(len(self.landmarks)), r]) for v, r in stem.items() if v not in known}
-        out = {w: np.max(hit, axis=0) for w, vs in parts.items() if (hit := [known[v] for v in vs if v in known])}
-        if len(self.unlike) > REMEMBERED:
-            self.unlike.clear()
-        self.unlike.update(words - out.keys())
+        self.place: dict[str, int] = {}
+        self.rows = np.zeros((0, len(self.landmarks.words)), np.float32)
+
+    def words(self, text: str) -> list[str]:
+        """Distinct words of a lower-cased text as they can be read, of three letters or more."""
+        out: set[str] = set()
+        for w in {*text.split(), *_spelt(text)}:
+            if not w.isalpha():
+                w = w.strip(_ENDS)
+            if w.isalpha() and len(w) <= LONGEST_WORD:
+                out.add(w)
+            elif w:
+                out.update(variants(w))
+        return [w for w in out if len(w) >= SUBSEQUENCE]
+
+    def features(self, rows: list[str]) -> np.ndarray:
+        """A row for each text: the largest kernel values of each landmark, made orthogonal, and the logarithm of the number of words."""
+        m = len(self.landmarks.words)
+        words = [self.words(t.lower()) for t in rows]
+        new = sorted({w for x in words for w in x if w not in self.place})
+        if len(self.place) + len(new) > REMEMBERED:
+            self.place, self.rows = {}, self.rows[:0]
+            new = sorted({w for x in words for w in x})
+        if new:
+            value = self.landmarks.likeness(new)
+            like = value.any(axis=1)
+            # words like no landmark are remembered without values
+            self.place |= dict(zip(new, np.where(like, len(self.rows) + np.cumsum(like) - 1, -1).tolist()))
+            self.rows = np.concatenate([self.rows, value[like]])
+        out = np.zeros((len(rows), LARGEST * m + 1))
+        for i, x in enumerate(words):
+            if x:
+                k = self.rows[[p for w in x if (p := self.place[w]) >= 0]]
+                if len(k) > LARGEST:
+                    k = np.partition(k, len(k) - LARGEST, axis=0)[len(k) - LARGEST :]
+                top = np.sort(k, axis=0)[::-1]
+                out[i, : top.size] = (top @ self.whiten).reshape(-1)
+                out[i, -1] = np.log1p(len(x)) / 6
         return out
 
-    def features(self, text: str, words: list[str], known: dict[str, np.ndarray]) -> list[np.ndarray]:
-        """A row for each sentence with words like landmarks, and one for the text's stems if it has words on them."""
-        if known.keys().isdisjoint(words):
-            return []
-        n, out = len(self.landmarks), []
-        own = np.array([known[w] for w in set(words) if w in known])[:, n:]
-        low = np.sort(np.vstack([own, np.zeros((MOST_NEEDED, len(self.stems)))]), axis=0)[::-1]
-        stems = low[self.rank, np.arange(len(self.stems))]
-        if own.any():
-            out.append(np.concatenate([np.zeros(n), stems]))
-        for sentence in [*(x.split() for x in _SENTENCE.split(text)), _spelt(text)]:
-            rows = [r for w in sentence if (r := known.get(w)) is not None]
-            if rows and (best := np.max(rows, axis=0)[:n]).any():
-                out.append(np.concatenate([best @ self.whiten, stems]))
-        return out
-
-    def decision(self, text: str, words: list[str], known: dict[str, np.ndarray]) -> float:
-        """Largest decision value of a sentence of the text; of a text without words like landmarks it is the bias."""
-        return max([0.0, *(float(x @ self.w) for x in self.features(text, words, known))]) + self.b
-
     def scores(self, rows: list[str]) -> np.ndarray:
-        low = [t.lower() for t in rows]
-        words = [_words(t) for t in low]
-        known = self.word_kernels(set().union(*words))
-        x = np.array([[self.decision(t, w, known), 1.0] for t, w in zip(low, words)]).reshape(-1, 2)
-        return 1 / (1 + np.exp(-np.clip(x @ self.platt, -30, 30)))
-
-
-def _words(text: str) -> list[str]:
-    return text.split() + _spelt(text)
+        z = np.column_stack([self.features(rows) @ self.w + self.b, np.ones(len(rows))])
+        return 1 / (1 + np.exp(-np.clip(z @ self.platt, -30, 30)))
 
 
-def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = 10.0, rounds: int = 60) -> tuple[np.ndarray, float]:
+def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, c: float = COST, rounds: int = 30) -> tuple[np.ndarray, float]:
     """Linear soft-margin machine by dual coordinate ascent; the bias is a constant feature."""
     z = np.column_stack([x, np.ones(len(x))])
     alpha, w, norm = np.zeros(len(z)), np.zeros(z.shape[1]), (z * z).sum(1)
@@ -288,80 +270,64 @@ def _evidence(k: int, n: int, share: float) -> float:
     return 2 * g if k > n * share else -2 * g
 
 
-def toxic_stems(rows: list[tuple[str, int]]) -> tuple[list[str], list[tuple[str, int]]]:
-    """Toxic words, and toxic stems with the number of words on them that a text needs.
+def choose_landmarks(rows: list[tuple[list[str], int]], toxic: int = TOXIC_LANDMARKS, clean: int = CLEAN_LANDMARKS) -> dict[str, float]:
+    """Starts of words that tell the classes apart best, those of toxic texts first, and how well each does.
 
-    Every start of a word is counted with each number of words. Of starts of one another the
-    strongest goes first; others must show the same evidence among the texts it leaves.
+    rows: distinct words and label of each text. A start is counted with one, two and three
+    words on it and ranked by the best of the three; of starts of one another the best is taken.
     """
-    rows = [(frozenset(v for w in set(_words(t)) for v in variants(w) if len(v) >= SUBSEQUENCE), y) for t, y in _unlike(rows)]
     share = (sum(y for _, y in rows) + 0.5) / (len(rows) + 1)
-
-    def on(words: frozenset[str], among) -> list[tuple[str, int]]:
-        found = Counter(x for v in words for k in range(SUBSEQUENCE, len(v) + 1) if (x := v[:k]) in among)
-        return [(x, n) for x, c in found.items() for n in range(1, min(c, MOST_NEEDED) + 1)]
-
-    often = Counter(x for words, y in rows if y for x in {v[:k] for v in words for k in range(SUBSEQUENCE, len(v) + 1)})
-    often = {x for x, n in often.items() if n >= 4}
     seen = (Counter(), Counter())
     for words, y in rows:
-        seen[y].update(on(words, often))
-    shows = lambda k, n: k >= 4 and k > 2 * (n - k) and _evidence(k, n, share) >= LEAST_EVIDENCE
-    rate = {x: _evidence(k, k + seen[0][x], share) for x, k in seen[1].items() if shows(k, k + seen[0][x])}
-    held, among = {x: set() for x in rate}, {x for x, _ in rate}
-    for i, (words, _) in enumerate(rows):
-        for x in on(words, among):
-            if x in held:
-                held[x].add(i)
-    taken: dict[tuple[str, int], set[int]] = {}
-    for x in sorted(rate, key=lambda x: (-rate[x], -len(x[0]), x)):
-        left = held[x].difference(*(h for t, h in taken.items() if t[0].startswith(x[0]) or x[0].startswith(t[0])))
-        if shows(sum(rows[i][1] for i in left), len(left)):
-            taken[x] = held[x]
-    whole = {x for x, h in taken.items() if x[1] == 1 and sum(x[0] in rows[i][0] for i in h) >= 0.8 * len(h)}
-    return [x for x, n in taken if (x, n) in whole], [x for x in taken if x not in whole]
+        on = Counter(w[:k] for w in words for k in range(SUBSEQUENCE, min(len(w), LONGEST_START) + 1))
+        seen[y].update((x, n) for x, m in on.items() for n in range(1, min(m, LARGEST) + 1))
+    rate: dict[str, list[float]] = {}
+    for x in seen[0] | seen[1]:
+        rate.setdefault(x[0], []).append(_evidence(seen[1][x], seen[0][x] + seen[1][x], share))
+    out: dict[str, float] = {}
+    for most, best, order in ((toxic, max, sorted(rate, key=lambda x: (-max(rate[x]), -len(x), x))), (clean, min, sorted(rate, key=lambda x: (min(rate[x]), -len(x), x)))):
+        end, known = len(out) + most, {x[:k] for x in out for k in range(SUBSEQUENCE, len(x) + 1)}
+        for x in order:
+            if len(out) == end:
+                break
+            if x not in known and not any(x[:k] in out for k in range(SUBSEQUENCE, len(x))):
+                out[x] = abs(best(rate[x]))
+                known |= {x[:k] for k in range(SUBSEQUENCE, len(x) + 1)}
+    return out
 
 
 def train(rows: list[tuple[str, int]]) -> Model:
     """A model from (text, label) pairs; without both classes it scores the share of toxic texts."""
-    rows = [(t.lower(), y) for t, y in rows]
-    n1 = sum(y for _, y in rows)
-    n0 = len(rows) - n1
-    toxic, stems = toxic_stems(rows) if n0 else ([], [])
-    prior = np.array([0.0, np.log((n1 + 1) / (n0 + 1))])
-    if not toxic and not stems:
-        return Model([], np.zeros(0), np.zeros((0, 0)), np.zeros(0), 0.0, prior if rows else np.array([0.0, -2.0]), 0, [])
-    seen = (Counter(), Counter())
-    for t, y in _unlike(rows):
-        seen[y].update({v for w in set(_words(t)) for v in variants(w) if len(v) >= SUBSEQUENCE})
-    screen = Screen(toxic)
-    clean = sorted(v for v in seen[0] if v not in toxic and seen[0][v] > 4 * seen[1][v])
-    clean = [v for v, k in zip(clean, screen(clean)) if k]
-    like = kernel(clean, toxic).max(1) if clean and toxic else np.zeros(len(clean))
-    clean = [clean[i] for i in np.lexsort((np.arange(len(clean)), -like))[: max(CLEAN_EACH * len(toxic), CLEAN_LANDMARKS)]]
-    landmarks = toxic + clean
-    own = self_kernel(landmarks)
-    value, vector = np.linalg.eigh(kernel(landmarks, landmarks, own))
-    whiten = vector @ np.diag(1 / np.sqrt(np.maximum(value, 1e-3))) @ vector.T
-    size = len(landmarks) + len(stems)
-    model = Model(landmarks, own, np.eye(len(landmarks)), np.zeros(size), 0.0, prior, len(toxic), stems)
-    known = model.word_kernels({w for t, _ in rows for w in _words(t)})
-    x, y = [np.zeros(size)], [-1.0]  # a text without any word like a landmark is clean
-    for t, label in rows:
-        for best in model.features(t, _words(t), known):
-            if label == 0 or max(best[: len(toxic)].max(initial=0), best[len(landmarks) :].max(initial=0)) > 0.6:
-                x.append(best)
-                y.append(2.0 * label - 1)
-    model.whiten = whiten
-    both, times = np.unique(np.round(np.column_stack([np.array(x), y]), 4), axis=0, return_counts=True)
-    x, y = both[:, :-1], both[:, -1]
-    empty = ~x.any(1)
-    times = np.where(empty & (y < 0), np.maximum(times, len(y) // 10), times).astype(float)
-    balance = np.where(y > 0, times.sum() / (2 * max(times[y > 0].sum(), 1)), times.sum() / (2 * max(times[y < 0].sum(), 1)))
-    x[:, : len(landmarks)] = x[:, : len(landmarks)] @ whiten
-    model.w, model.b = _svm(x, y, times * balance)
-    f = np.array([[model.decision(t, _words(t), known), 1.0] for t, _ in rows])
-    model.platt = logistic(f, np.array([y for _, y in rows], float))
+    y = np.array([y for _, y in rows], float)
+    n1 = int(y.sum())
+    model = Model(Landmarks([]), np.zeros((0, 0)), np.zeros(1), 0.0, np.array([0.0, np.log((n1 + 1) / (len(y) - n1 + 1)) if len(y) else -2.0]))
+    if n1 in (0, len(y)):
+        return model
+    apart = [(sorted(set(model.words(t.lower()))), k) for t, k in _unlike([(t.lower(), k) for t, k in rows])]
+    chosen = choose_landmarks(apart)
+    landmarks = Landmarks(list(chosen))
+    value, vector = np.linalg.eigh(landmarks.kernel(landmarks.words).astype(float))
+    whiten = vector @ np.diag(1 / np.sqrt(np.maximum(value, 1e-2))) @ vector.T
+    # the machine's penalty weighs on landmarks the less, the better they tell the classes apart
+    scale = np.array(list(chosen.values()))
+    whiten = whiten * (SCALE * (scale / max(scale.max(), 1e-9)) ** SCALE_POWER)
+    model = Model(landmarks, whiten.astype(np.float32), np.zeros(0), 0.0, model.platt)
+    x = np.concatenate([model.features([t for t, _ in rows[at : at + 512]]) for at in range(0, len(rows), 512)])
+
+    def machine(own: np.ndarray) -> tuple[np.ndarray, float]:
+        k = y[own]
+        balance = np.where(k > 0, len(k) / (2 * max(k.sum(), 1)), len(k) / (2 * max(len(k) - k.sum(), 1)))
+        return _svm(x[own], 2 * k - 1, balance)
+
+    # calibrated on decisions about texts that a machine did not learn from
+    decided, fold = np.zeros(len(y)), np.array([zlib.crc32(t.encode("utf-8", "surrogatepass")) % FOLDS for t, _ in rows])
+    for f in range(FOLDS):
+        if len(set(y[fold != f].tolist())) == 2:
+            w, b = machine(fold != f)
+            decided[fold == f] = x[fold == f] @ w + b
+    twice = np.repeat(np.arange(len(y)), np.where(y > 0, MISS_COST, 1))
+    model.platt = logistic(np.column_stack([decided, np.ones(len(y))])[twice], y[twice])
+    model.w, model.b = machine(np.ones(len(y), bool))
     return model
 
 
@@ -374,7 +340,7 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Model
 def score(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> DataFrame:
     """(doc_id, held_out, score, predicted), one row per row of ``docs``.
 
-    Null and empty texts score as texts without any word like a landmark. Repeated rows and
+    Null and empty texts score as texts without words. Repeated rows and
     null doc_ids (never held out) are kept; of ``docs`` only doc_id and text are read.
     """
     model = fit(docs, labels, per_class)

@@ -7,18 +7,51 @@ from cubelens.llm import cotraining as C
 from cubelens.llm import toxicity as T
 
 
-def brute(s, t, n=3, d=T.DECAY):
-    sub = lambda x: list(itertools.combinations(range(len(x)), n))
+def brute(s, t, n=3, d=T.DECAY, span=T.SPAN):
+    sub = lambda x: [i for i in itertools.combinations(range(len(x)), n) if i[-1] - i[0] < span]
     return sum(d ** (i[-1] - i[0] + 1 + j[-1] - j[0] + 1) for i in sub(s) for j in sub(t) if [s[a] for a in i] == [t[b] for b in j])
 
 
 def test_kernel_matches_its_definition():
-    words = ["idiot", "i-d-i-o-t", "iddiioott", "moron", "thaed", "ab", "trashy"]
-    for t in ("idiot", "moron", "trash"):
-        got = T.raw_kernel(T._codes(words), T._codes([t])[0])
-        assert np.allclose(got, [brute(w, t) for w in words])
-    assert np.allclose(T.self_kernel(words), [brute(w, w) for w in words])
-    assert np.allclose(np.diag(T.kernel(words[:5], words[:5])), 1)
+    words = ["idiot", "i-d-i-o-t", "iddiioott", "moron", "thaed", "ab", "trashy", "aaaaaa", "naïve", "", "\U0001f600bc\U0001f600"]
+    marks = ["idiot", "moron", "trash", "aaa", "naïv"]
+    got = T.Landmarks(marks).kernel(words)
+    want = [[(brute(w, t) / np.sqrt(brute(w, w) * brute(t, t))) ** T.POWER if brute(w, w) else 0 for t in marks] for w in words]
+    assert np.allclose(got, want, atol=1e-5)
+    assert np.allclose(np.diag(T.Landmarks(marks).kernel(marks)), 1, atol=1e-5)
+
+
+def plain_score(model, text):
+    """A text's score by the definition: all kernel values by brute force, sorted, whitened, weighted."""
+    words = model.words(text.lower())
+    k = np.zeros((max(len(words), T.LARGEST), len(model.landmarks.words)))
+    for i, w in enumerate(words):
+        for j, t in enumerate(model.landmarks.words):
+            k[i, j] = max((brute(v, t) / np.sqrt(brute(v, v) * brute(t, t))) ** T.POWER for v in (w, w[: len(t)]))
+    x = np.concatenate([(np.sort(k, axis=0)[::-1][: T.LARGEST] @ model.whiten).reshape(-1), [np.log1p(len(words)) / 6]])
+    return 1 / (1 + np.exp(-((x @ model.w + model.b) * model.platt[0] + model.platt[1])))
+
+
+def test_toxicity_query_matches_plain_scoring(spark, sf, monkeypatch):
+    """The query's score of whole texts again, by plain loops, with memories that overflow."""
+    monkeypatch.setattr(T, "TOXIC_LANDMARKS", 6)
+    monkeypatch.setattr(T, "CLEAN_LANDMARKS", 3)
+    d, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    model = T.fit(d, lab)
+    monkeypatch.setattr(T, "REMEMBERED", 50)
+    rows = {r.doc_id: r for r in T.score(d, lab).collect()}
+    src = sorted(((r.doc_id, r.text) for r in d.collect()), key=lambda r: len(r[1]))
+    for i, t in src[:12]:
+        assert abs(rows[i].score - plain_score(model, t)) < 1e-4
+
+
+def test_landmarks_come_from_all_languages():
+    rows = []
+    for k in range(40):
+        for stem in ("vexga", "üblok", "règno"):
+            rows += [([f"{stem}{'mnprst'[k % 6]}{k}", f"w{k}aa"], 1), ([f"w{k}aa", f"u{k}bb"], 0)]
+    got = list(T.choose_landmarks(rows, 3, 2))
+    assert sorted(got[:3]) == ["règno", "vexga", "üblok"] and len(got) == 5
 
 
 def held(spark, fn, label, sf="/root/testdata/sf0.01"):
@@ -34,34 +67,61 @@ def test_toxicity_on_held_out_rows(spark):
     rows, pairs, text = held(spark, T.score, "toxic")
     assert np.mean([r.predicted == y for r, y in pairs]) > 0.93
     assert not any(r.predicted for r, y in pairs if y == 0)
-    insults = "trash pathetic loser worthless disgusting idiot scum moron clown stupid".split()
-    for i, r in rows.items():
-        n = sum(text[i].lower().split().count(w) for w in insults)
-        assert r.predicted == 1 if n > 2 else True
+
+
+def toy(toxic, clean, n=60):
+    """Texts of two to eleven words with one to three of theirs, the other words the same for both classes."""
+    filler = [a + b + c for a in ("br", "sel", "fa", "lun") for b in ("a", "e", "u") for c in ("ck", "nd", "rm", "vis")]
+    out = []
+    for k in range(n):
+        for x, y in [(x, 1) for x in toxic] + [(x, 0) for x in clean]:
+            rest = [filler[(7 * k + 5 * j) % len(filler)] for j in range(1 + k % 9)]
+            out.append((" ".join(rest[: k % 3] + [x] * (1 + k % 3) + rest[k % 3 :]) + ".", y))
+        out += [(" ".join(rest[: k % 7]), 0)] * 2
+    return out
 
 
 def test_toxicity_tolerates_gaps():
-    rows = [(f"a{k}{x} b{k}{y} c{k}w {x} d{k}{x} e{k}{y} f{k}{x}.", y) for k in range(60) for x, y in (("idiot", 1), ("moron", 1), ("garden", 0), ("table", 0))]
+    rows = toy(("idiot", "moron"), ("garden", "table"))
     m = T.train(rows)
     s = m.scores(["an i d i o t", "such an i.d.i.o.t there", "id1ot", "idiioot now", "the m-o-r-o-n", "a garden table", "", "m"])
     assert (s[:5] > 0.5).all() and (s[5:] < 0.5).all()
     assert T.train([]).scores(["idiot", ""]).tolist() == T.train([]).scores(["", "x"]).tolist()
 
 
+def test_toxicity_tolerates_inserted_letters_at_every_place():
+    m = T.train(toy(("idiot", "stupid"), ("garden", "table")))
+    base = m.scores(["the garden and table", "we saw it here"]).max()
+    for word in ("idiot", "stupid"):
+        for at in range(1, len(word)):
+            assert m.scores([f"you {word[:at]}x{word[at:]} there"])[0] > 20 * base
+        assert m.scores([f"you {'x'.join(word)} there"])[0] > base
+
+
+def test_toxicity_scores_are_graded(spark):
+    rows, pairs, _ = held(spark, T.score, "toxic")
+    scores = [round(r.score, 9) for r in rows.values()]
+    assert max(scores.count(s) for s in set(scores)) < len(scores) / 10
+
+
 def test_toxicity_pools_inflected_forms():
     ends = [a + b for a in "mnprstv" for b in ("ak", "el", "in", "or", "um")]
     rows = []
     for k in range(60):
         some = [ends[(7 * k + 3 * j) % len(ends)] for j in range(4)]
         rows += [(f"w{k} vexga{some[0]} x{k} y{k} z{k} vexga{some[1]} q{k}.", 1), (f"w{k} vexga{some[2]} y{k} z{k} lomde{some[3]} r{k}.", 0), (f"lomde{some[0]} s{k} lomde{some[1]} t{k}.", 0)]
-        rows += [(f"m{k} idiot n{k} o{k} p{k}.", 1)] * 2
+        rows += [(f"m{k} idiot n{k} o{k} p{k}.", 1)] * 2 + [(f"vexga{some[1]} t{k} calm.", 0), (f"calm {'here there'.split()[k % 2]} p{k}.", 0), (f"nothing{some[0]} p{k}.", 0)]
     s = T.train(rows).scores(["a vexgawix b c vexgazul", "vexgawix a b c", "lomdewix a lomdezul", "an idiot", "nothing"])
     assert (s[[0, 3]] > 0.5).all() and (s[[1, 2, 4]] < 0.5).all()
 
 
 def test_toxicity_recall_on_held_out_rows_of_each_language(spark):
     sf = "/root/testdata/sf0.1"
-    _, pairs, _ = held(spark, T.score, "toxic", sf)
+    rows, pairs, text = held(spark, T.score, "toxic", sf)
+    insults = "trash pathetic loser worthless disgusting idiot scum moron clown stupid".split()
+    for i, r in rows.items():
+        n = sum(text[i].lower().split().count(w) for w in insults)
+        assert r.predicted == 1 if n > 2 else True
     lang = {r.doc_id: r.lang for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang").collect()}
     for name in ("en", "fr", "de", "es"):
         assert np.mean([r.predicted for r, y in pairs if y == 1 and lang[r.doc_id] == name]) >= 0.8
