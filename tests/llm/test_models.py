@@ -1,5 +1,7 @@
 import itertools
+import math
 import zlib
+from collections import Counter
 
 import numpy as np
 
@@ -134,6 +136,37 @@ def test_cotraining_on_held_out_rows(spark):
     assert np.mean([r.kept for r, y in pairs if y == 1]) > 0.95
 
 
+def test_cotraining_query_matches_plain_scoring(spark, sf):
+    """Every row's scores again, by plain counting of n-grams and lines."""
+    d, lab = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    m = C.fit(d, lab)
+    got = {r.doc_id: r for r in C.score(d, lab).collect()}
+    sigmoid = lambda z: 1 / (1 + math.exp(-z))
+    for r in d.collect():
+        raw = r.text.lower().encode()
+        grams = Counter((int.from_bytes(raw[i : i + 3], "big") * 0x9E3779B97F4A7C15 % 2**64) >> 54 for i in range(len(raw) - 2))
+        size = math.sqrt(sum(math.log1p(n) ** 2 for n in grams.values())) or 1e-9
+        text = sum(8 / size * math.log1p(n) * m.text_w[k] for k, n in grams.items()) + m.text_w[-1]
+        lines = r.text.split("\n")
+        long = [len(x) for x in lines]
+        facts = [math.log1p(len(r.text)), math.log1p(len(lines)), math.log1p(sum(long) / len(long)), math.log1p(max(long)), len(set(lines)) / len(lines), 1]
+        page = m.page_w[zlib.crc32(r.lang.encode()) % 32] + m.page_w[32 + zlib.crc32(r.source.encode()) % 32] + sum(x * w for x, w in zip(facts, m.page_w[-6:]))
+        one, two = (max(-12, min(12, c[0] * z + c[1])) for z, c in ((text, m.text_cal), (page, m.page_cal)))
+        row = got[r.doc_id]
+        assert abs(row.text_score - sigmoid(one)) < 1e-6 and abs(row.page_score - sigmoid(two)) < 1e-6
+        assert abs(row.score - sigmoid(m.blend @ [one, two, 1])) < 1e-6 and row.kept == (row.score >= 0.5)
+
+
+def test_cotraining_ties_and_repeats(spark):
+    """Equal texts with unlike labels and repeated ids: equal rows score alike, whatever their order."""
+    rows = [(k, "same words here " * 9, "en", "s") for k in range(40)] + [(40 + k, f"other {k} $$", "en", "t") for k in range(40)]
+    lab = spark.createDataFrame([(k, k % 2) for k in range(40)] + [(40 + k, 0) for k in range(30)], "doc_id long, quality int")
+    schema = "doc_id long, text string, lang string, source string"
+    a = {r.doc_id: r.score for r in C.score(spark.createDataFrame(rows, schema).repartition(3), lab).collect()}
+    b = {r.doc_id: r.score for r in C.score(spark.createDataFrame(rows[::-1], schema), lab).collect()}
+    assert len({round(a[k], 9) for k in range(40)}) == 1 and all(abs(a[k] - b[k]) < 1e-6 for k in a)
+
+
 def test_cotraining_reads_every_unlabelled_row(spark, monkeypatch):
     n = 3000
     rows = [(k, f"good plain words {k} stand here" if k % 2 else f"$$ ## {k} @@ !!", "en", ("g" if k % 2 else "b")) for k in range(n)]
