@@ -17,6 +17,7 @@ from all landmarks, so scores are graded.
 from __future__ import annotations
 
 import re
+import sys
 import zlib
 from collections import Counter
 from dataclasses import dataclass, field
@@ -31,9 +32,11 @@ from cubelens.llm.labelled import held_out, training_rows
 
 SUBSEQUENCE, DECAY, SPAN, POWER = 3, 0.7, 5, 2
 #: Labelled texts of each class that training reads at most.
-PER_CLASS = 4000
+PER_CLASS = 3000
 #: Landmarks from toxic and from clean texts; starts of words of this many characters at most.
 TOXIC_LANDMARKS, CLEAN_LANDMARKS, LONGEST_START = 96, 48, 10
+#: Buckets of starts by which those of a single text are told from others, to spare the driver's memory.
+START_BUCKETS = 1 << 22
 #: How many of a text's largest values of a landmark count.
 LARGEST = 3
 #: Words whose kernel values a task remembers; the memory is emptied when full.
@@ -256,7 +259,7 @@ def _unlike(rows: list[tuple[str, int]]) -> list[tuple[str, int]]:
     seen: set[int] = set()
     out = []
     for t, y in rows:
-        w = t.split()
+        w = t.lower().split()
         sketch = sorted({zlib.crc32(" ".join(g).encode("utf-8", "surrogatepass")) for g in zip(w, w[1:], w[2:])})[:5]
         if sum(h in seen for h in sketch) < 2:
             out.append((t, y))
@@ -277,13 +280,23 @@ def choose_landmarks(rows: list[tuple[list[str], int]], toxic: int = TOXIC_LANDM
     words on it and ranked by the best of the three; of starts of one another the best is taken.
     """
     share = (sum(y for _, y in rows) + 0.5) / (len(rows) + 1)
-    seen = (Counter(), Counter())
+    starts = lambda words: [w[:k] for w in words for k in range(SUBSEQUENCE, min(len(w), LONGEST_START) + 1)]
+    texts_with = np.zeros(START_BUCKETS, np.int32)
+    bucket = lambda x: zlib.crc32(x.encode("utf-8", "surrogatepass")) % START_BUCKETS
+    for words, _ in rows:
+        texts_with[list({bucket(x) for x in starts(words)})] += 1
+    # a start of a single text has the same ratio with any number of words on it: a text's longest is as good as its others
+    seen, single = (Counter(), Counter()), ({}, {})
     for words, y in rows:
-        on = Counter(w[:k] for w in words for k in range(SUBSEQUENCE, min(len(w), LONGEST_START) + 1))
-        seen[y].update((x, n) for x, m in on.items() for n in range(1, min(m, LARGEST) + 1))
+        on = Counter(starts(words))
+        several = {x: m for x, m in on.items() if texts_with[bucket(x)] > 1}
+        seen[y].update((x, n) for x, m in several.items() for n in range(1, min(m, LARGEST) + 1))
+        single[y].update(dict.fromkeys(sorted(on.keys() - several.keys(), key=lambda x: (-len(x), x))[:1]))
     rate: dict[str, list[float]] = {}
-    for x in seen[0] | seen[1]:
+    for x in seen[0].keys() | seen[1].keys():
         rate.setdefault(x[0], []).append(_evidence(seen[1][x], seen[0][x] + seen[1][x], share))
+    for y in (0, 1):
+        rate |= dict.fromkeys(single[y], [_evidence(y, 1, share)])
     out: dict[str, float] = {}
     for most, best, order in ((toxic, max, sorted(rate, key=lambda x: (-max(rate[x]), -len(x), x))), (clean, min, sorted(rate, key=lambda x: (min(rate[x]), -len(x), x)))):
         end, known = len(out) + most, {x[:k] for x in out for k in range(SUBSEQUENCE, len(x) + 1)}
@@ -303,8 +316,7 @@ def train(rows: list[tuple[str, int]]) -> Model:
     model = Model(Landmarks([]), np.zeros((0, 0)), np.zeros(1), 0.0, np.array([0.0, np.log((n1 + 1) / (len(y) - n1 + 1)) if len(y) else -2.0]))
     if n1 in (0, len(y)):
         return model
-    apart = [(sorted(set(model.words(t.lower()))), k) for t, k in _unlike([(t.lower(), k) for t, k in rows])]
-    chosen = choose_landmarks(apart)
+    chosen = choose_landmarks([(sorted(map(sys.intern, model.words(t.lower()))), k) for t, k in _unlike(rows)])
     landmarks = Landmarks(list(chosen))
     value, vector = np.linalg.eigh(landmarks.kernel(landmarks.words).astype(float))
     whiten = vector @ np.diag(1 / np.sqrt(np.maximum(value, 1e-2))) @ vector.T
@@ -326,9 +338,8 @@ def train(rows: list[tuple[str, int]]) -> Model:
             w, b = machine(fold != f)
             decided[fold == f] = x[fold == f] @ w + b
     twice = np.repeat(np.arange(len(y)), np.where(y > 0, MISS_COST, 1))
-    model.platt = logistic(np.column_stack([decided, np.ones(len(y))])[twice], y[twice])
-    model.w, model.b = machine(np.ones(len(y), bool))
-    return model
+    platt = logistic(np.column_stack([decided, np.ones(len(y))])[twice], y[twice])
+    return Model(landmarks, model.whiten, *machine(np.ones(len(y), bool)), platt)  # without the memory of training
 
 
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = PER_CLASS) -> Model:
