@@ -80,13 +80,11 @@ def staged_times(rows: DataFrame, specs, bins: int, measures=(), owners: int | N
     return out
 
 
-def units_times(make: Callable[[DataFrame], DataFrame], rows: DataFrame, units: list[int]) -> dict[int, float]:
-    """Seconds by the number of tasks that work at a time: the same rows in as many partitions, written so that nothing else is timed."""
-    out = {}
-    for k in units:
-        dealt = materialize(rows.repartition(k), "dealt")
-        out[k] = timed(lambda dealt=dealt, k=k: make(dealt.coalesce(k)))
-        release(dealt)
+def units_times(make: Callable[[DataFrame, int], DataFrame], rows: DataFrame, units: list[int]) -> dict[int, float]:
+    """Seconds by the number of tasks that may work at a time: the same written rows, read by and sent to as many."""
+    dealt = materialize(rows.repartition(max(units)), "dealt")
+    out = {k: timed(lambda k=k: make(dealt.coalesce(k), k)) for k in units}
+    release(dealt)
     return out
 
 
