@@ -21,6 +21,7 @@ import sys
 import zlib
 from collections import Counter
 from dataclasses import dataclass, field
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -34,15 +35,15 @@ SUBSEQUENCE, DECAY, SPAN, POWER = 3, 0.7, 5, 2
 #: Labelled texts of each class that training reads at most.
 PER_CLASS = 3000
 #: Landmarks from toxic and from clean texts; starts of words of this many characters at most.
-TOXIC_LANDMARKS, CLEAN_LANDMARKS, LONGEST_START = 96, 48, 10
+TOXIC_LANDMARKS, CLEAN_LANDMARKS, LONGEST_START = 64, 32, 10
 #: Buckets of starts by which those of a single text are told from others, to spare the driver's memory.
 START_BUCKETS = 1 << 22
 #: How many of a text's largest values of a landmark count.
 LARGEST = 3
-#: Words whose kernel values a task remembers; the memory is emptied when full.
-REMEMBERED = 120_000
+#: Words as written that a task remembers; the memory is emptied when full.
+REMEMBERED = 250_000
 #: Cost of a margin's violation, folds of the calibration; a missed toxic text costs it so many false alarms.
-COST, FOLDS, MISS_COST = 0.3, 4, 3
+COST, FOLDS, MISS_COST = 0.3, 4, 2
 #: Size of the best landmark's values, and the power of the others' share of its likelihood ratio that sizes theirs.
 SCALE, SCALE_POWER = 2.0, 0.5
 #: Longer words are cut into windows of this length that overlap by half.
@@ -80,6 +81,20 @@ def _codes(words: list[str], width: int | None = None) -> np.ndarray:
     return out
 
 
+def tokens_of(text: str) -> set[str]:
+    """The distinct words of a text as written, in lower case, and those spelt out."""
+    low = text.lower()
+    return {*low.split(), *_spelt(low)}
+
+
+def readings(token: str) -> list[str]:
+    """What a word as written can be read as, three letters or more."""
+    if not token.isalpha():
+        token = token.strip(_ENDS)
+    found = [token] if token.isalpha() and len(token) <= LONGEST_WORD else variants(token) if token else []
+    return [w for w in found if len(w) >= SUBSEQUENCE]
+
+
 def subsequences(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """(word, subsequence, weight, place of its last character) of all subsequences that span at most SPAN places, ordered by word and subsequence."""
     c = _codes(words).astype(np.int64)
@@ -177,44 +192,48 @@ class Model:
     platt: np.ndarray
 
     def __post_init__(self):
+        self.known: dict[str, tuple[int, ...]] = {}
         self.place: dict[str, int] = {}
-        self.rows = np.zeros((0, len(self.landmarks.words)), np.float32)
-
-    def words(self, text: str) -> list[str]:
-        """Distinct words of a lower-cased text as they can be read, of three letters or more."""
-        out: set[str] = set()
-        for w in {*text.split(), *_spelt(text)}:
-            if not w.isalpha():
-                w = w.strip(_ENDS)
-            if w.isalpha() and len(w) <= LONGEST_WORD:
-                out.add(w)
-            elif w:
-                out.update(variants(w))
-        return [w for w in out if len(w) >= SUBSEQUENCE]
+        self.rows, self.used = np.zeros((0, len(self.landmarks.words)), np.float32), 0
+
+    def _learn(self, tokens: set[str]) -> None:
+        """Remember for words as written the rows of kernel values of what they can be read as; none if like no landmark."""
+        read = {w: readings(w) for w in tokens}
+        new = sorted(set(chain.from_iterable(read.values())) - self.place.keys())
+        if new:
+            value = self.landmarks.likeness(new)
+            like = value.any(axis=1)
+            self.place |= dict(zip(new, np.where(like, self.used + np.cumsum(like) - 1, -1).tolist()))
+            end = self.used + int(like.sum())
+            if end > len(self.rows):  # room for twice as many
+                self.rows = np.concatenate([self.rows[: self.used], np.zeros((2 * end - self.used, self.rows.shape[1]), np.float32)])
+            self.rows[self.used : end] = value[like]
+            self.used = end
+        place = self.place
+        self.known |= {w: tuple(p for v in r if (p := place[v]) >= 0) for w, r in read.items()}
 
     def features(self, rows: list[str]) -> np.ndarray:
         """A row for each text: the largest kernel values of each landmark, made orthogonal, and the logarithm of the number of words."""
         m = len(self.landmarks.words)
-        words = [self.words(t.lower()) for t in rows]
-        new = sorted({w for x in words for w in x if w not in self.place})
-        if len(self.place) + len(new) > REMEMBERED:
-            self.place, self.rows = {}, self.rows[:0]
-            new = sorted({w for x in words for w in x})
+        tokens = [tokens_of(t) for t in rows]
+        every = set().union(*tokens)
+        new = every - self.known.keys()
+        if len(self.known) + len(new) > REMEMBERED:
+            self.__post_init__()
+            new = every
         if new:
-            value = self.landmarks.likeness(new)
-            like = value.any(axis=1)
-            # words like no landmark are remembered without values
-            self.place |= dict(zip(new, np.where(like, len(self.rows) + np.cumsum(like) - 1, -1).tolist()))
-            self.rows = np.concatenate([self.rows, value[like]])
-        out = np.zeros((len(rows), LARGEST * m + 1))
-        for i, x in enumerate(words):
+            self._learn(new)
+        out, known = np.zeros((len(rows), LARGEST * m + 1)), self.known.__getitem__
+        for i, x in enumerate(tokens):
             if x:
-                k = self.rows[[p for w in x if (p := self.place[w]) >= 0]]
-                if len(k) > LARGEST:
-                    k = np.partition(k, len(k) - LARGEST, axis=0)[len(k) - LARGEST :]
-                top = np.sort(k, axis=0)[::-1]
-                out[i, : top.size] = (top @ self.whiten).reshape(-1)
                 out[i, -1] = np.log1p(len(x)) / 6
+                at = set(chain.from_iterable(map(known, x)))
+                if at:
+                    k = self.rows[list(at)]
+                    if len(k) > LARGEST:
+                        k = np.partition(k, len(k) - LARGEST, axis=0)[len(k) - LARGEST :]
+                    top = np.sort(k, axis=0)[::-1]
+                    out[i, : top.size] = (top @ self.whiten).reshape(-1)
         return out
 
     def scores(self, rows: list[str]) -> np.ndarray:
@@ -316,7 +335,7 @@ def train(rows: list[tuple[str, int]]) -> Model:
     model = Model(Landmarks([]), np.zeros((0, 0)), np.zeros(1), 0.0, np.array([0.0, np.log((n1 + 1) / (len(y) - n1 + 1)) if len(y) else -2.0]))
     if n1 in (0, len(y)):
         return model
-    chosen = choose_landmarks([(sorted(map(sys.intern, model.words(t.lower()))), k) for t, k in _unlike(rows)])
+    chosen = choose_landmarks([(sorted({sys.intern(v) for w in tokens_of(t) for v in readings(w)}), k) for t, k in _unlike(rows)])
     landmarks = Landmarks(list(chosen))
     value, vector = np.linalg.eigh(landmarks.kernel(landmarks.words).astype(float))
     whiten = vector @ np.diag(1 / np.sqrt(np.maximum(value, 1e-2))) @ vector.T

@@ -25,12 +25,13 @@ def test_kernel_matches_its_definition():
 
 def plain_score(model, text):
     """A text's score by the definition: all kernel values by brute force, sorted, whitened, weighted."""
-    words = model.words(text.lower())
+    tokens = T.tokens_of(text)
+    words = sorted({v for w in tokens for v in T.readings(w)})
     k = np.zeros((max(len(words), T.LARGEST), len(model.landmarks.words)))
     for i, w in enumerate(words):
         for j, t in enumerate(model.landmarks.words):
             k[i, j] = max((brute(v, t) / np.sqrt(brute(v, v) * brute(t, t))) ** T.POWER for v in (w, w[: len(t)]))
-    x = np.concatenate([(np.sort(k, axis=0)[::-1][: T.LARGEST] @ model.whiten).reshape(-1), [np.log1p(len(words)) / 6]])
+    x = np.concatenate([(np.sort(k, axis=0)[::-1][: T.LARGEST] @ model.whiten).reshape(-1), [np.log1p(len(tokens)) / 6]])
     return 1 / (1 + np.exp(-((x @ model.w + model.b) * model.platt[0] + model.platt[1])))
 
 
