@@ -35,13 +35,15 @@ SUBSEQUENCE, DECAY, SPAN, POWER = 3, 0.7, 5, 2
 #: Labelled texts of each class that training reads at most.
 PER_CLASS = 3000
 #: Landmarks from toxic and from clean texts; starts of words of this many characters at most.
-TOXIC_LANDMARKS, CLEAN_LANDMARKS, LONGEST_START = 64, 32, 10
+TOXIC_LANDMARKS, CLEAN_LANDMARKS, LONGEST_START = 48, 24, 8
 #: Buckets of starts by which those of a single text are told from others, to spare the driver's memory.
 START_BUCKETS = 1 << 22
 #: How many of a text's largest values of a landmark count.
 LARGEST = 3
+#: Words whose values are all below this add nothing that their text's other words do not.
+LEAST = 0.04
 #: Words as written that a task remembers; the memory is emptied when full.
-REMEMBERED = 250_000
+REMEMBERED = 600_000
 #: Cost of a margin's violation, folds of the calibration; a missed toxic text costs it so many false alarms.
 COST, FOLDS, MISS_COST = 0.3, 4, 2
 #: Size of the best landmark's values, and the power of the others' share of its likelihood ratio that sizes theirs.
@@ -179,7 +181,9 @@ class Landmarks:
             raw = np.bincount(cell[own], part[own], minlength=n * m).reshape(n, m)
             for size in set(self.length.tolist()):
                 here = self.length == size
-                out[1, at : at + n, here] = (raw[:, here] / norm(np.where(e < size, w, 0))[:, None]).T
+                some = np.flatnonzero(raw[:, here].any(axis=1))
+                if len(some):
+                    out[1, at + some[:, None], np.flatnonzero(here)] = raw[some][:, here] / norm(np.where(e < size, w, 0))[some, None]
         return out[0] ** POWER, out[1] ** POWER
 
 
@@ -202,7 +206,7 @@ class Model:
         new = sorted(set(chain.from_iterable(read.values())) - self.place.keys())
         if new:
             value = self.landmarks.likeness(new)
-            like = value.any(axis=1)
+            like = (value >= LEAST).any(axis=1)
             self.place |= dict(zip(new, np.where(like, self.used + np.cumsum(like) - 1, -1).tolist()))
             end = self.used + int(like.sum())
             if end > len(self.rows):  # room for twice as many
