@@ -74,7 +74,7 @@ def per_triple(rows: DataFrame, specs, measures=(), bins: int = 128, parts: int
     batches = [jobs[i : i + UNION_PARTS] for i in range(0, len(jobs), UNION_PARTS)]
     with ThreadPoolExecutor(threads) as pool:  # batches overlap: one fills slots that another leaves
         done = list(pool.map(lambda b: materialize(unite(b), "cube"), batches))
-    return _unite(done)
+    return keep(_unite(done), *done)
 
 
 def _unite(frames: list[DataFrame]) -> DataFrame:
