@@ -31,6 +31,7 @@ def plain_score(model, text):
     for i, w in enumerate(words):
         for j, t in enumerate(model.landmarks.words):
             k[i, j] = max((brute(v, t) / np.sqrt(brute(v, v) * brute(t, t))) ** T.POWER for v in (w, w[: len(t)]))
+    k[(k < T.LEAST).all(axis=1)] = 0  # words like no landmark
     x = np.concatenate([(np.sort(k, axis=0)[::-1][: T.LARGEST] @ model.whiten).reshape(-1), [np.log1p(len(tokens)) / 6]])
     return 1 / (1 + np.exp(-((x @ model.w + model.b) * model.platt[0] + model.platt[1])))
 
