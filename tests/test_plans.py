@@ -80,3 +80,10 @@ def test_costs():
     assert cost.choose_strategy(10**12, 32, 128, 500, 1 << 30) == "local_dense"
     assert cost.scans("local_dense", 32, 128) == 155 and cost.scans("local_dense", 16, 16) == 1
     assert cost.row_copies("owner_slice", 16) == 16 and cost.row_copies("explode", 16) == 560
+
+
+def test_plan_queries_read_line_items(spark, sf):
+    import __spark_entry__ as entry
+
+    for name in ("q21_plan_owner", "q22_plan_rounds", "q22b_plan_replicate", "q22c_plan_units", "q23_plan_pairs", "q23b_orbits", "q24_plan_balance", "q24b_costs", "q24c_suggest_bins"):
+        assert any("lineitem" in f for f in entry.queries()[name](spark, sf).inputFiles()), name
