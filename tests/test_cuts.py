@@ -1,12 +1,19 @@
 """Bins without ranks, and units that work in turn."""
 
 from collections import Counter
+from hashlib import md5
+from itertools import combinations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import functions as F
 
+from cubelens import storage
 from cubelens.dimension import DimensionSpec
 from cubelens.operators import binning, cube, cuts
+from cubelens.operators.digest import Ties
 from cubelens.operators.rank import build_ranks
+from cubelens.plans.triples import plan_rounds
 from cubelens.queries import base as Q
 from cubelens.sources import catalog as C
 
@@ -52,3 +59,51 @@ def test_owners_in_turn(spark, monkeypatch):
             got = cube.build_cube(rows, specs, bins, m, "owner_slice")
             assert bool(getattr(got, "_shared_paths", [])) == (limit == 1)
             assert Counter(map(tuple, got.select("triple", "b0", "b1", "b2", "cnt", "v").collect())) == want
+
+
+def test_digests_are_those_of_md5():
+    """Null and empty texts, several blocks of 64 bytes, long texts, slices of an array."""
+    texts = [None if i % 17 == 0 else "" if i % 19 == 0 else "x" * (i * 7 % 300) if i % 5 == 0 else f"{i}:é{i * 7}" for i in range(3000)]
+    for some in (pa.array(texts), pa.array(texts)[100:2000], pa.array([None, None], pa.string()), pa.array(["", ""])):
+        for name in ("a", "segment_by_balance", "n" * 70):
+            want = [md5((name if t is None else f"{name}:{t}").encode()).digest() for t in some.to_pylist()]
+            got = Ties(some).digests(name, np.arange(len(some)))
+            assert [int(a).to_bytes(8, "big") + int(b).to_bytes(8, "big") for a, b in got] == want
+
+
+def test_cuts_inside_a_key_need_no_order_of_all_its_rows(spark, monkeypatch):
+    """Bins are those of ranks, and of a frequent key a few rows near the cuts are ordered; row keys that repeat too."""
+    monkeypatch.setattr(cuts, "WHOLE", 50)
+    n, bins, ordered = 40_000, 8, []
+    write = cuts.materialize
+    monkeypatch.setattr(cuts, "materialize", lambda df, name: ordered.append(write(df, name)) or ordered[-1])
+    kept = []
+    monkeypatch.setattr(cuts, "release", kept.append)
+    specs = [DimensionSpec("two", ("two",)), DimensionSpec("two_by_three", ("two", "three desc"))]
+    d = spark.range(n).select("id", (F.col("id") % 2).alias("two"), F.concat(F.lit("k"), F.col("id") % 3).alias("word"), (F.col("id") % 3).alias("three"))
+    want = binning.bin_by_rank(build_ranks(d, specs, ("id",)), specs, n, bins).select(*[s.bin for s in specs])
+    assert Counter(map(tuple, cuts.bin_rows(d, specs, ("id",), bins).collect())) == Counter(map(tuple, want.collect()))
+    assert len(ordered) == 1 and ordered[0].filter("k IS NOT NULL").count() < n  # both dimensions have n rows in such keys
+    same = d.withColumn("id", F.col("id") % 4)
+    got = Counter(r[0] for r in cuts.bin_rows(same, specs[:1], ("id",), bins).collect())
+    assert sum(got.values()) == n and len(ordered) == 3  # found by ordering the whole keys
+    for t in kept:
+        storage.release(t)
+
+
+def test_keys_reach_python_without_digests(spark, sf):
+    """Digests were made for all dimensions and rows of frequent keys in every scan."""
+    frame = cuts._Layout(C.order_star(spark, sf), C.STAR_DIMS, C.STAR_KEY).frame()
+    assert "md5" not in frame._jdf.queryExecution().toString() and len(frame.columns) < len(C.STAR_DIMS)
+
+
+def test_pairs_are_counted_together():
+    """Every pair of an owner is in a group, and groups are a fifth of the triples at 32 dimensions and 8 bins."""
+    for n, bins, most in ((32, 8, 992), (16, 16, 280), (8, 128, 56)):
+        owned, groups = cube.owned_by_round(plan_rounds(n))[0], 0
+        for triples in owned.values():
+            pairs = [(j, k) for _, j, k in triples]
+            found = cube.cover(pairs, cube.joint_size(bins))
+            assert set(pairs) <= {p for g in found for p in combinations(g, 2)} and all(len(g) <= cube.joint_size(bins) for g in found)
+            groups += len(found)
+        assert groups <= most
