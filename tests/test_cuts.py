@@ -93,7 +93,8 @@ def test_cuts_inside_a_key_need_no_order_of_all_its_rows(spark, monkeypatch):
 
 def test_keys_reach_python_without_digests(spark, sf):
     """Digests were made for all dimensions and rows of frequent keys in every scan."""
-    frame = cuts._Layout(C.order_star(spark, sf), C.STAR_DIMS, C.STAR_KEY).frame()
+    base = C.order_star(spark, sf)
+    frame = cuts._Layout(base, C.STAR_DIMS, C.STAR_KEY).frame(base)
     assert "md5" not in frame._jdf.queryExecution().toString() and len(frame.columns) < len(C.STAR_DIMS)
 
 
